@@ -15,6 +15,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from spanweave.llm import boosting
+from spanweave.llm.batches import bounded_sample
 
 #: Documented bound of the training sample: labelled URLs with the smallest hashes.
 TRAIN_ROWS = 20_000
@@ -119,8 +120,8 @@ def with_statistics(df: DataFrame, labelled: DataFrame) -> DataFrame:
 
 
 def train(df: DataFrame, rows: int = TRAIN_ROWS, **options) -> boosting.Forest:
-    """Fits trees to ``FEATURES`` and ``label`` of at most ``rows`` distinct labelled rows, those with the smallest hashes."""
-    sample = df.filter("label is not null").select("label", *FEATURES).distinct().orderBy(F.xxhash64(*FEATURES)).limit(rows).collect()
+    """Fits trees to ``FEATURES`` and ``label`` of about ``rows`` labelled rows at most, those with the smallest hashes."""
+    sample = bounded_sample(df.filter("label is not null"), rows, "page_id").select("label", *FEATURES).orderBy("label", *FEATURES).collect()
     x = np.array([[float(r[f]) for f in FEATURES] for r in sample]).reshape(len(sample), len(FEATURES))
     return boosting.fit(x, np.array([r["label"] for r in sample]), **({"trees": 20, "depth": 3, "rate": 0.3} | options))
 
