@@ -6,13 +6,17 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from spanweave.llm import language_id, license_scan, packing, pii, quality, url_filter
+from spanweave.llm import decontamination, language_id, license_scan, packing, pii, quality, url_filter
 
 
 def _read(spark: SparkSession, sf_dir: str, table: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{table}.parquet")
 
 
+def op2_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return decontamination.matches(_read(spark, sf_dir, "documents"), _read(spark, sf_dir, "benchmark"))
+
+
 def op3_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pii.report(_read(spark, sf_dir, "documents"))
 
@@ -38,7 +42,7 @@ def op10_url_filters(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op3_pii, op4_license_scan, op5_packing, op7_language_id, op9_quality, op10_url_filters)}
+    return {f.__name__: f for f in (op2_decontamination, op3_pii, op4_license_scan, op5_packing, op7_language_id, op9_quality, op10_url_filters)}
 
 
 def oracle_sql() -> dict[str, str]:
