@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from spanweave.llm import decontamination, language_id, license_scan, packing, pii, quality, url_filter
+from spanweave.llm import decontamination, language_id, license_scan, near_duplicates, packing, pii, quality, url_filter
 
 
 def _read(spark: SparkSession, sf_dir: str, table: str) -> DataFrame:
@@ -33,6 +33,10 @@ def op7_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
     return language_id.identify(_read(spark, sf_dir, "documents"))
 
 
+def op8_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return near_duplicates.find(_read(spark, sf_dir, "documents"))
+
+
 def op9_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality.score(_read(spark, sf_dir, "documents"), _read(spark, sf_dir, "labels"))
 
@@ -42,7 +46,7 @@ def op10_url_filters(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op2_decontamination, op3_pii, op4_license_scan, op5_packing, op7_language_id, op9_quality, op10_url_filters)}
+    return {f.__name__: f for f in (op2_decontamination, op3_pii, op4_license_scan, op5_packing, op7_language_id, op8_near_duplicates, op9_quality, op10_url_filters)}
 
 
 def oracle_sql() -> dict[str, str]:
