@@ -6,13 +6,17 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from spanweave.llm import decontamination, language_id, license_scan, near_duplicates, packing, pii, quality, url_filter
+from spanweave.llm import decontamination, embedding_dedup, language_id, license_scan, near_duplicates, packing, pii, quality, url_filter
 
 
 def _read(spark: SparkSession, sf_dir: str, table: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{table}.parquet")
 
 
+def op1_embedding_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return embedding_dedup.find(_read(spark, sf_dir, "embeddings"))
+
+
 def op2_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     return decontamination.matches(_read(spark, sf_dir, "documents"), _read(spark, sf_dir, "benchmark"))
 
@@ -46,7 +50,7 @@ def op10_url_filters(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op2_decontamination, op3_pii, op4_license_scan, op5_packing, op7_language_id, op8_near_duplicates, op9_quality, op10_url_filters)}
+    return {f.__name__: f for f in (op1_embedding_dedup, op2_decontamination, op3_pii, op4_license_scan, op5_packing, op7_language_id, op8_near_duplicates, op9_quality, op10_url_filters)}
 
 
 def oracle_sql() -> dict[str, str]:
