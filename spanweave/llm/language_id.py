@@ -174,22 +174,27 @@ def train(docs: DataFrame, rows: int = TRAIN_ROWS) -> Model:
     return Model.fit(bounded_sample(known, rows, "doc_id").select("text", "lang").toLocalIterator())
 
 
+def classify(model: Model, texts: list[str | None]) -> tuple[list[str], np.ndarray]:
+    """Language of each text and the share of its letters labelled so."""
+    names, n, k = [*model.languages, "und"], len(texts), len(model.languages)
+    winner, share = np.full(n, k), np.zeros(n)
+    words = Words.of(texts)
+    if k and len(words.first):
+        letters = np.bincount(words.text * k + model.label(words), words.size, n * k).reshape(n, k)
+        total = letters.sum(1)
+        ranked = letters + np.exp(model.prior) * 1e-6
+        winner = np.where(total > 0, ranked.argmax(1), k)
+        share = np.where(total > 0, letters.max(1) / np.maximum(total, 1), 0.0)
+    return [names[i] for i in winner], share
+
+
 def predict(docs: DataFrame, model: Model) -> DataFrame:
     """doc_id, lang_pred, score (share of the letters labelled so) of every document."""
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        names = [*model.languages, "und"]
         for part in slices(batches):
-            n, k = part.num_rows, len(model.languages)
-            winner, share = np.full(n, k), np.zeros(n)
-            words = Words.of(part.column("text").to_pylist())
-            if k and len(words.first):
-                letters = np.bincount(words.text * k + model.label(words), words.size, n * k).reshape(n, k)
-                total = letters.sum(1)
-                ranked = letters + np.exp(model.prior) * 1e-6
-                winner = np.where(total > 0, ranked.argmax(1), k)
-                share = np.where(total > 0, letters.max(1) / np.maximum(total, 1), 0.0)
-            yield pa.record_batch([part.column("doc_id"), pa.array([names[i] for i in winner], pa.string()), pa.array(share)], names=["doc_id", "lang_pred", "score"])
+            names, share = classify(model, part.column("text").to_pylist())
+            yield pa.record_batch([part.column("doc_id"), pa.array(names, pa.string()), pa.array(share)], names=["doc_id", "lang_pred", "score"])
 
     return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, lang_pred string, score double")
 
@@ -218,3 +223,17 @@ def identify(docs: DataFrame, *, train_rows: int = TRAIN_ROWS) -> DataFrame:
     held = docs.select("doc_id", "text", "lang").withColumn("held_out", F.coalesce(is_held_out(), F.lit(False)))
     model = train(held.filter(~F.col("held_out")), train_rows)
     return predict(docs, model).select("doc_id", F.coalesce(is_held_out(), F.lit(False)).alias("held_out"), "lang_pred", "score")
+
+
+def keep_known(docs: DataFrame, least_share: float, *, train_rows: int = TRAIN_ROWS) -> DataFrame:
+    """The rows whose text has letters, at least ``least_share`` of them in one language; that language becomes ``lang``, other columns stay."""
+    model = train(docs, train_rows)
+
+    def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for part in slices(batches):
+            names, share = classify(model, part.column("text").to_pylist())
+            at = part.schema.get_field_index("lang")
+            part = part.set_column(at, part.schema.field(at), pa.array(names, part.schema.field(at).type))
+            yield part.filter(pa.array((share >= least_share) & (share > 0)))
+
+    return docs.mapInArrow(run, docs.schema)

@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from spanweave.llm import decontamination, embedding_dedup, language_id, license_scan, near_duplicates, packing, pii, quality, url_filter
+from spanweave.llm import decontamination, embedding_dedup, language_id, license_scan, near_duplicates, packing, pii, preferences, quality, url_filter
 
 
 def _read(spark: SparkSession, sf_dir: str, table: str) -> DataFrame:
@@ -33,6 +33,10 @@ def op5_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack(_read(spark, sf_dir, "documents"))
 
 
+def op6_preferences(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return preferences.from_neighbours(_read(spark, sf_dir, "conversations"))
+
+
 def op7_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
     return language_id.identify(_read(spark, sf_dir, "documents"))
 
@@ -50,8 +54,8 @@ def op10_url_filters(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_embedding_dedup, op2_decontamination, op3_pii, op4_license_scan, op5_packing, op7_language_id, op8_near_duplicates, op9_quality, op10_url_filters)}
+    return {f.__name__: f for f in (op1_embedding_dedup, op2_decontamination, op3_pii, op4_license_scan, op5_packing, op6_preferences, op7_language_id, op8_near_duplicates, op9_quality, op10_url_filters)}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op4_license_scan": license_scan.oracle()}
+    return {"op4_license_scan": license_scan.oracle(), "op6_preferences": preferences.ORACLE}
