@@ -26,13 +26,14 @@ from collections.abc import Iterable, Iterator
 from functools import cache
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from spanweave.llm.batches import slices
 from spanweave.operators.components import connected_components
-from spanweave.session import Stored, stored
+from spanweave.session import stored
 
 WORDS = 5
 PERCENT = 75
@@ -41,6 +42,8 @@ AGREE = 28
 #: Rows of a block side, and the size up to which families share a block.
 BLOCK = 1024
 SMALL = 64
+#: Most bits of the map that keeps texts without a family from being shuffled.
+FILTER_BITS = 1 << 26
 
 _M1, _M2, _GOLD = np.uint64(0xBF58476D1CE4E5B9), np.uint64(0x94D049BB133111EB), np.uint64(0x9E3779B97F4A7C15)
 
@@ -252,23 +255,49 @@ def blocks(member: DataFrame, block: int = BLOCK, small: int = SMALL) -> DataFra
     return few.unionByName(dealt.select("rep", "family", "hub", F.col("family").alias("g"), "s.i", "s.j", "s.side"))
 
 
-def links(docs: DataFrame, member: DataFrame, *, words: int, agree: int, percent: int, coordinates: int) -> DataFrame:
-    """(a, b): spanning links between classes, each confirmed on full sets."""
-    wanted = member.select(F.col("rep").alias("_rep")).distinct()
-    texts = docs.select("doc_id", "text").join(wanted, F.col("doc_id") == F.col("_rep")).select("doc_id", "text").dropDuplicates(["doc_id"])
+def bit_map(ids: DataFrame, column: str, most_bits: int = FILTER_BITS) -> tuple[np.ndarray, int]:
+    """A map of at most ``most_bits`` bits in which the ids' places are set, put together word by word by the executors."""
+    bits = min(most_bits, 1 << max(16, (16 * ids.count()).bit_length()))
+
+    def mark(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            at = mix(b.column(0).to_numpy().view(np.uint64)) % np.uint64(bits)
+            word, where = np.unique(at >> np.uint64(6), return_inverse=True)
+            value = np.zeros(len(word), np.uint64)
+            np.bitwise_or.at(value, where, np.uint64(1) << (at & np.uint64(63)))
+            yield pa.record_batch([_signed(word), _signed(value)], names=["word", "value"])
+
+    known = ids.select(column).filter(F.col(column).isNotNull())
+    rows = known.mapInArrow(mark, "word long, value long").groupBy("word").agg(F.bit_or("value").alias("value")).toArrow()  # bits / 64 rows at most
+    table = np.zeros(bits // 64, np.uint64)
+    table[rows.column("word").to_numpy()] = rows.column("value").to_numpy().view(np.uint64)
+    return table, bits
 
-    def to_sets(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for part in slices(batches, limit=1_000_000):
-            sets = shingle_sets(part.column("text").to_pylist(), words)
-            yield pa.record_batch([part.column("doc_id"), pa.array([s.tobytes() for s in sets], pa.binary())], names=["_id", "bytes"])
 
-    sets = stored(texts.mapInArrow(to_sets, "_id long, bytes binary"), "sets")
+def maybe_in(docs: DataFrame, ids: DataFrame, column: str) -> DataFrame:
+    """The rows with ``_maybe``: true for every doc_id among the ids and a few others, null for null; decided where the rows are read."""
+    table, bits = bit_map(ids, column)
+    shared = docs.sparkSession.sparkContext.broadcast(table)
+
+    @F.pandas_udf("boolean")
+    def look(doc_id: pd.Series) -> pd.Series:
+        at = mix(doc_id.to_numpy(np.int64).view(np.uint64)) % np.uint64(bits)
+        hit = (shared.value[(at >> np.uint64(6)).astype(np.int64)] >> (at & np.uint64(63))) & np.uint64(1)
+        return pd.Series(hit > 0)
+
+    return docs.withColumn("_maybe", F.when(F.col("doc_id").isNotNull(), look(F.coalesce("doc_id", F.lit(0)))))
+
+
+def links(docs: DataFrame, member: DataFrame, *, words: int, agree: int, percent: int, coordinates: int) -> DataFrame:
+    """(a, b): spanning links between classes, each confirmed on full sets."""
     dealt = stored(blocks(member), "blocks")
-    full = dealt.join(sets, F.col("rep") == F.col("_id")).drop("_id")
+    texts = maybe_in(docs.select("doc_id", "text"), member, "rep").filter("_maybe").drop("_maybe")
+    full = dealt.join(texts, F.col("rep") == F.col("doc_id")).drop("doc_id")
 
     def run(table: pa.Table) -> pa.Table:
         family, hub, ids, side = (table.column(n).to_numpy() for n in ("family", "hub", "rep", "side"))
-        data = [np.frombuffer(x, np.uint64) for x in table.column("bytes").to_pylist()]
+        texts = table.column("text").to_pylist()
+        data = [x for k in range(0, len(texts), 256) for x in shingle_sets(texts[k : k + 256], words)]
         order = np.lexsort((ids, family))
         cuts = np.flatnonzero(np.append(True, np.diff(family[order]) != 0))
         out: list[tuple[int, int]] = []
@@ -288,7 +317,7 @@ def find(docs: DataFrame, *, words: int = WORDS, percent: int = PERCENT, coordin
     summary = stored(summarize(docs, words, coordinates), "signatures")
     some = summary.filter("n_shingles > 0")
     classes = stored(some.groupBy("n_shingles", "h1", "h2").agg(F.min(F.struct("doc_id", "sig")).alias("x")).select("n_shingles", "h1", "h2", F.col("x.doc_id").alias("rep"), "x.sig"), "classes")
-    prefix = stored(prefixes(stored(postings(classes, coordinates), "postings"), agree), "prefixes")
+    prefix = stored(prefixes(postings(classes, coordinates), agree), "prefixes")
     member = families(prefix)
     found = stored(links(docs, member, words=words, agree=agree, percent=percent, coordinates=coordinates), "found")
     parts = connected_components(found)
@@ -300,6 +329,11 @@ def find(docs: DataFrame, *, words: int = WORDS, percent: int = PERCENT, coordin
 
 
 def first_of_each(docs: DataFrame, **options) -> DataFrame:
-    """The documents that are the least doc_id of their component, with all their columns."""
-    kept = find(docs, **options).filter("kept").select(F.col("doc_id").alias("_kept_id")).distinct()
-    return docs.join(kept, F.col("doc_id") == F.col("_kept_id"), "left_semi")
+    """The documents that are the least doc_id of their component (and those without doc_id), with all their columns.
+
+    Texts stay where they are read unless their id may be one to drop; only those meet the list of ids."""
+    drop = stored(find(docs, **options).filter("not kept").select(F.col("doc_id").alias("_drop")).distinct(), "drop")
+    marked = maybe_in(docs, drop, "_drop")
+    sure = marked.filter(~F.coalesce("_maybe", F.lit(False))).drop("_maybe")
+    asked = marked.filter("_maybe").drop("_maybe")
+    return sure.unionByName(asked.join(drop, F.col("doc_id") == F.col("_drop"), "left_anti"))
