@@ -80,8 +80,13 @@ def fillings(histogram: np.ndarray, window: int = WINDOW, *, breadth: int = 24,
         if len(abc):
             made.append(np.column_stack([abc, fits[window - abc.sum(1)]]))
     rows = np.concatenate(made)
-    rows = np.unique(np.sort(rows[rows.sum(1) >= window * (1 - slack)], 1), axis=0)
-    return rows
+    # besides full fillings, the best ones of each length, so that a length without exact partners is not left over
+    first, waste = rows[:, 0], window - rows.sum(1)
+    order = np.lexsort((waste, first))
+    place = np.arange(len(rows)) - np.searchsorted(first[order], first[order])
+    keep = waste <= window * slack
+    keep[order[place < 4]] = True
+    return np.unique(np.sort(rows[keep], 1), axis=0)
 
 
 def solve_counts(rows: np.ndarray, histogram: np.ndarray, steps: int = 400) -> np.ndarray:
@@ -92,7 +97,8 @@ def solve_counts(rows: np.ndarray, histogram: np.ndarray, steps: int = 400) -> n
     apply = lambda x: np.bincount(rows.ravel(), np.repeat(x, rows.shape[1]), size) * live
     live = np.ones(size)
     live[0] = 0
-    weight = 1.0 / np.maximum(1.0, histogram)  # relative misfit, so that rare lengths count too
+    # relative misfit, so that rare lengths count too, and more for long ones, which are the harder to place later
+    weight = (np.arange(size) / size) ** 2 / np.maximum(1.0, histogram)
     degree = np.bincount(rows[used], minlength=size)
     bound = max(1e-12, float((np.where(used, (weight * degree)[rows], 0).sum(1) * rows.shape[1]).max()))
     x = y = np.zeros(len(rows))

@@ -151,7 +151,7 @@ def test_plan_places_each_remainder_once():
     ranges, sequences = packing.plan(h, 512)
     assert all(ranges[ranges[:, 0] == n, 4].sum() == h[n] for n in range(1, 512))
     # no packing has fewer sequences than its tokens fill, or than there are lengths above half a window
-    assert sequences <= 1.02 * max((h * np.arange(512)).sum() / 512, h[257:].sum())
+    assert sequences <= 1.04 * max((h * np.arange(512)).sum() / 512, h[257:].sum())
 
 
 def test_ids_equal_the_reference_tokenizer(rng):
