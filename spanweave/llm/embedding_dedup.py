@@ -35,7 +35,7 @@ COSINE = 0.95
 #: Documented bound of the training sample, in distinct vectors.
 TRAIN_ROWS = 16_000
 MOST_LISTS = 4096
-SUBSPACES = 4
+SUBSPACES = 8
 CODEWORDS = 64
 BLOCK_QUERIES, BLOCK_ENTRIES = 2048, 1024
 
@@ -86,17 +86,28 @@ class Quantizer:
     def links(self, y: np.ndarray, x: np.ndarray, at: int, codes: np.ndarray, error: np.ndarray) -> Iterator[tuple[int, np.ndarray]]:
         """For each row of y that has any, the rows of list ``at`` with a cosine of at least the threshold."""
         rest = y - self.centroids[at]
-        total = np.zeros((len(y), len(x)), np.float32)
+        most = ((self.reach + error) ** 2 + 1e-4).astype(np.float32)[:, None]
+        tables, codes = [], codes.astype(np.intp)
         for m, (a, b) in enumerate(zip(self.cuts, self.cuts[1:])):
             part, book = rest[:, a:b], self.books[m]
-            table = ((part * part).sum(1)[:, None] + (book * book).sum(1) - 2 * part @ book.T).astype(np.float32)
-            total += table[:, codes[:, m]]
-        near = total <= ((self.reach + error) ** 2 + 1e-4).astype(np.float32)
-        for i in np.flatnonzero(near.any(1)):
-            some = np.flatnonzero(near[i])
-            good = some[x[some] @ y[i] >= self.cosine]
-            if len(good):
-                yield int(i), good
+            tables.append(((book * book).sum(1)[:, None] + (part * part).sum(1) - 2 * book @ part.T).astype(np.float32))
+        total, more = np.empty((len(x), 256), np.float32), np.empty((len(x), 256), np.float32)
+        for start in range(0, len(y), 256):  # rows of the tables are copied whole, entries by queries, and stay in cache
+            some = slice(start, min(len(y), start + 256))
+            t, u = (z if some.stop - start == 256 else np.empty((len(x), some.stop - start), np.float32) for z in (total, more))
+            np.take(np.ascontiguousarray(tables[0][:, some]), codes[:, 0], axis=0, out=t, mode="clip")
+            for m in range(1, len(tables)):
+                np.take(np.ascontiguousarray(tables[m][:, some]), codes[:, m], axis=0, out=u, mode="clip")
+                t += u
+            entry, query = np.nonzero(t <= most)
+            order = np.argsort(query, kind="stable")
+            entry, query = entry[order], query[order]
+            for rows in np.split(np.arange(len(query)), np.flatnonzero(np.diff(query)) + 1):
+                if len(rows):
+                    i, near = start + int(query[rows[0]]), entry[rows]
+                    good = near[x[near] @ y[i] >= self.cosine]
+                    if len(good):
+                        yield i, good
 
 
 def classes(vectors: DataFrame) -> DataFrame:
