@@ -69,7 +69,7 @@ def bucketed_sssp(g: WeightedGraph, source: int, delta=None) -> Paths:
             plan = plan.withColumns({"light": F.col("_accepted") | (F.col("light") & ~F.col("_mine")), "heavy": (F.col("_accepted") | F.col("heavy")) & F.lit(heavy is not None)})
             state, got, seconds = loop.run(plan, waits, ("_offer", "_n", "_accepted", "_mine"))
             loop.note("light", now, 0, delta or 0, got, seconds)
-            if plan_again(state, "light", bucket, now):
+            if got["next_light"] == now:
                 continue
             if heavy is not None:
                 mine = F.col("heavy") & F.coalesce(bucket(F.col("dist")) == now, F.lit(False))
@@ -77,17 +77,12 @@ def bucketed_sssp(g: WeightedGraph, source: int, delta=None) -> Paths:
                 plan = plan.withColumns({"light": F.col("_accepted") | F.col("light"), "heavy": F.col("_accepted") | (F.col("heavy") & ~F.col("_mine"))})
                 state, got, seconds = loop.run(plan, waits, ("_offer", "_n", "_accepted", "_mine"))
                 loop.note("heavy", now, 0, delta, got, seconds)
-            left = state.filter("light or heavy").agg(F.min(bucket(F.col("dist"))).alias("b")).first()["b"]
-            if left is None:
+            if got["next_any"] is None:
                 break
-            now = left
+            now = got["next_any"]
     return Paths(state.select("node", "dist", "parent", "hops"), loop, time.time() - began)
 
 
-def plan_again(state: DataFrame, flag: str, bucket, now: int) -> bool:
-    return not state.filter(F.col(flag) & (bucket(F.col("dist")) == now)).isEmpty()
-
-
 def bellman_ford(g: WeightedGraph, source: int) -> Paths:
     return bucketed_sssp(g, source, None)
 

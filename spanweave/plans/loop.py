@@ -40,14 +40,14 @@ class Superstep:
         shared_dir(self.spark)
 
     def run(self, plan: DataFrame, counters: dict[str, Column], drop: tuple[str, ...] = ()) -> tuple[DataFrame, dict[str, int], float]:
-        """The checkpointed next state without the working columns ``drop``, its counters, the seconds."""
+        """The checkpointed next state without the working columns ``drop``, its counters (null over no rows), the seconds."""
         seen, began = Observation(), time.time()
         observed = plan.observe(seen, *[c.alias(k) for k, c in counters.items()])
         state = observed.drop(*drop).checkpoint(eager=True)
-        return state, {k: v or 0 for k, v in seen.get.items()}, time.time() - began
+        return state, dict(seen.get), time.time() - began
 
     def note(self, phase: str, stage: int, guess: int, delta, got: dict, seconds: float) -> Step:
-        step = Step(phase, stage, guess, len(self.steps), float(delta), *(int(got.get(k, 0)) for k in ("messages", "combined", "updates", "covered", "uncovered")), seconds)
+        step = Step(phase, stage, guess, len(self.steps), float(delta), *(int(got.get(k) or 0) for k in ("messages", "combined", "updates", "covered", "uncovered")), seconds)
         self.steps.append(step)
         return step
 
