@@ -405,12 +405,12 @@ def light_distance_small(spark, sf_dir):
   UNION SELECT q.a, q.z, q.h FROM (SELECT p.a, b.dst AS z, min(p.h + 1) AS h FROM p JOIN b ON b.src = p.z GROUP BY ALL) q LEFT JOIN recurring.p old ON old.a = q.a AND old.z = q.z WHERE old.a IS NULL)
 SELECT a AS node, max(h) AS hops FROM p GROUP BY a""")
 def hop_eccentricity_exact_masks(spark, sf_dir):
-    return baselines.sketch_eccentricity(small_graph(spark), exact=True)[0]
+    return baselines.sketch_eccentricity(small_graph(spark), registers=5, exact=True)[0]
 
 
 @query()
 def hop_eccentricity_sketch(spark, sf_dir):
-    return baselines.sketch_eccentricity(small_graph(spark))[0]
+    return baselines.sketch_eccentricity(small_graph(spark), registers=8)[0]
 
 
 @query(f"""WITH RECURSIVE {ORDER_PART}, l AS (SELECT * FROM b WHERE w <= 3),

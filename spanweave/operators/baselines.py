@@ -55,13 +55,13 @@ def sketch_eccentricity(g: WeightedGraph, registers: int = 16, seed: int = 7, ex
     loop = Superstep(g.spark)
     if exact:
         order = g.nodes.select("node", (F.dense_rank().over(Window.orderBy("node")) - 1).alias("k"))
-        bits = [F.when(F.floor(F.col("k") / 62) == i, F.shiftleft(F.lit(1).cast("long"), F.pmod("k", F.lit(62)).cast("int"))).otherwise(F.lit(0).cast("long")) for i in range(registers)]
+        bits = [F.when(F.floor(F.col("k") / 62) == i, F.call_function("shiftleft", F.lit(1).cast("long"), F.pmod("k", F.lit(62)).cast("int"))).otherwise(F.lit(0).cast("long")) for i in range(registers)]
         start = order.select("node", *[b.alias(f"m{i}") for i, b in enumerate(bits)])
     else:
         hash_ = lambda i: h32(joined(seed, i, F.col("node")))
         # trailing zeros of the hash, 31 at most
         low = lambda i: F.least(F.lit(31), F.bit_count(hash_(i).bitwiseXOR(hash_(i) - 1)) - 1).cast("int")
-        start = g.nodes.select("node", *[F.shiftleft(F.lit(1).cast("long"), low(i)).alias(f"m{i}") for i in range(registers)])
+        start = g.nodes.select("node", *[F.call_function("shiftleft", F.lit(1).cast("long"), low(i)).alias(f"m{i}") for i in range(registers)])
     masks = [f"m{i}" for i in range(registers)]
     figures: list[dict] = []
     with fixed_plan(g.spark):
