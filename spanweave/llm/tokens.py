@@ -1,7 +1,7 @@
 """Token ids of a byte-level BPE whose vocabulary a ``tokenizers`` JSON file holds.
 
 The merges are run by ``tiktoken`` over the ranks of that same file, which gives the ids of
-``tokenizers`` (tests hold both equal) at about a third of the time; a text that its pattern
+``tokenizers`` (tests hold both equal) at about a quarter of the time; a text that its pattern
 engine refuses goes to ``tokenizers`` itself. Strings of special tokens are ordinary text.
 """
 
