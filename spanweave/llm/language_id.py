@@ -32,6 +32,8 @@ TRAIN_ROWS = 4_000
 BUCKETS = 1 << 17
 SWITCH = 12.0
 SMOOTHING = 0.2
+#: Bytes of text labelled at once.
+SLICE = 1_200_000
 #: A language is a candidate for a script that holds this share of its words.
 SCRIPT_SHARE = 0.02
 
@@ -192,7 +194,7 @@ def predict(docs: DataFrame, model: Model) -> DataFrame:
     """doc_id, lang_pred, score (share of the letters labelled so) of every document."""
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for part in slices(batches):
+        for part in slices(batches, limit=SLICE):
             names, share = classify(model, part.column("text").to_pylist())
             yield pa.record_batch([part.column("doc_id"), pa.array(names, pa.string()), pa.array(share)], names=["doc_id", "lang_pred", "score"])
 
@@ -203,7 +205,7 @@ def spans(docs: DataFrame, model: Model) -> DataFrame:
     """doc_id, start, end (codepoints), lang of the runs of words with one label; texts without words have none."""
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for part in slices(batches):
+        for part in slices(batches, limit=SLICE):
             words = Words.of(part.column("text").to_pylist())
             if not len(model.languages) or not len(words.first):
                 continue
@@ -230,7 +232,7 @@ def keep_known(docs: DataFrame, least_share: float, *, train_rows: int = TRAIN_R
     model = train(docs, train_rows)
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for part in slices(batches):
+        for part in slices(batches, limit=SLICE):
             names, share = classify(model, part.column("text").to_pylist())
             at = part.schema.get_field_index("lang")
             part = part.set_column(at, part.schema.field(at), pa.array(names, part.schema.field(at).type))
