@@ -8,6 +8,9 @@ digits stay valid, and equal values get equal pseudonyms in every document. ``re
 Kinds: card (13-19 digits, Luhn), iban, phone (with a country code, or in the 3-3-4 form), ssn (3-2-4),
 ipv4, email (local part and host labels before the last two), date (four usual forms, 1800-2199)
 and secret (quoted hexadecimal of 32 or more). Numbers that fail validation stay as they are.
+Cards and IBANs are sought in runs of groups parted by one blank (cards: or hyphen), as a run can
+hold other groups beside the value: at each group the value is that group alone if it is a valid card,
+else the longest valid run of whole groups from there, and the search goes on behind it.
 
 Defined cases: null text stays null with no finds; empty texts stay empty; repeated rows are
 treated alike; a value that overlaps an earlier kind is left to that kind; other columns of the
@@ -19,6 +22,7 @@ from __future__ import annotations
 import datetime
 import hashlib
 import re
+from bisect import bisect_left
 from collections.abc import Callable, Iterable, Iterator
 from functools import lru_cache
 
@@ -97,21 +101,28 @@ def _fill(shape: str, free: str, wanted: Callable[[str], bool]) -> str:
     return "".join(next(it) if wanted(ch) else ch for ch in shape)
 
 
-def _card(p: Permuter, s: str) -> str | None:
+def _is_card(digits: str) -> bool:
+    return 13 <= len(digits) <= 19 and not luhn_sum(digits) and len(set(digits)) > 1
+
+
+def _card(p: Permuter, s: str) -> str:
     digits = re.sub(r"\D", "", s)
-    if not 13 <= len(digits) <= 19 or luhn_sum(digits) or len(set(digits)) == 1:
-        return None
     body = p.symbols(digits[:-1], _DIGITS, "card")
     return _fill(s, body + str(-luhn_sum(body + "0") % 10), str.isdigit)
 
 
-def _iban(p: Permuter, s: str) -> str | None:
+def _mod97(s: str) -> int:
+    return int("".join(str(int(ch, 36)) for ch in s)) % 97
+
+
+def _is_iban(flat: str) -> bool:
+    return 15 <= len(flat) <= 34 and _mod97(flat[4:] + flat[:4]) == 1
+
+
+def _iban(p: Permuter, s: str) -> str:
     flat = s.replace(" ", "")
-    to_int = lambda x: int("".join(str(int(ch, 36)) for ch in x))
-    if not 15 <= len(flat) <= 34 or to_int(flat[4:] + flat[:4]) % 97 != 1:
-        return None
     body = _mixed(p, flat[4:], "iban")
-    check = 98 - to_int(body + flat[:2] + "00") % 97
+    check = 98 - _mod97(body + flat[:2] + "00")
     return _fill(s, f"{flat[:2]}{check:02d}{body}", lambda ch: ch != " ")
 
 
@@ -179,14 +190,66 @@ def _secret(p: Permuter, s: str) -> str | None:
     return out.upper() if s.isupper() else out
 
 
+_GROUP, _IBAN = re.compile(r"\d+"), re.compile(r"[A-Z]{2}\d{2}(?: ?[A-Z0-9]{4}){2,7}(?: ?[A-Z0-9]{1,3})?")
+_IBAN_RUN, _IBAN_CUT = re.compile(r"[A-Z0-9]+(?: [A-Z0-9]+)*"), re.compile(r" |(?![A-Za-z0-9 ])|$")
+
+
+def _free(start: int, end: int, taken: list[tuple[int, int]]) -> bool:
+    return not any(start < e and b < end for b, e in taken)
+
+
+def _card_end(text: str, at: int, taken: list[tuple[int, int]]) -> int | None:
+    """The end of the card that begins with the group at ``at``, if there is one."""
+    digits, best, first = "", None, at
+    while (m := _GROUP.match(text, at)) and len(digits) + len(m.group()) <= 19 and _free(m.start(), m.end(), taken):
+        if at > first and _is_card(m.group()):
+            break
+        digits += m.group()
+        if _is_card(digits):
+            best = m.end()
+            if at == first:
+                break
+        if text[m.end() : m.end() + 1] not in (" ", "-"):
+            break
+        at = m.end() + 1
+    return best
+
+
+def _iban_end(text: str, at: int, taken: list[tuple[int, int]]) -> int | None:
+    """The end of the longest valid IBAN of whole groups from ``at``, if there is one."""
+    if not (m := _IBAN_RUN.match(text, at, at + 48)):
+        return None
+    run = m.end()
+    ends = [m.start() for m in _IBAN_CUT.finditer(text, at, run + 1) if at < m.start() <= run]
+    for end in reversed(ends):
+        if _IBAN.fullmatch(text, at, end) and _is_iban(text[at:end].replace(" ", "")) and _free(at, end, taken):
+            return end
+    return None
+
+
+#: Kinds sought group by group: their pattern finds the groups that can begin a value, the function its end.
+_ENDS = {"card": _card_end, "iban": _iban_end}
+#: No value of these kinds is longer with its blanks.
+_REACH = 64
+
+
+def _groups(text: str, kind: str, starts: re.Pattern, taken: list[tuple[int, int]]) -> list[tuple[int, int | None]]:
+    """(start, end of the value that begins there or None) of the groups, going on behind each value."""
+    seen, at = [], 0
+    while m := starts.search(text, at):
+        seen.append((m.start(), _ENDS[kind](text, m.start(), taken)))
+        at = seen[-1][1] or m.start() + 1
+    return seen
+
+
 #: kind, what must be in the text at all, pattern, pseudonym (None: the value is not valid)
 _FINDERS: tuple[tuple[str, str, re.Pattern, Callable[[Permuter, str], str | None]], ...] = (
     ("email", "@", re.compile(r"(?<![A-Za-z0-9._%+-])[A-Za-z0-9._%+-]{1,64}@(?:[A-Za-z0-9-]{1,63}\.){1,8}[A-Za-z]{2,24}"), _email),
     ("secret", '"', re.compile(r'(?<=")(?:[0-9a-f]{32,128}|[0-9A-F]{32,128})(?=")'), _secret),
-    ("iban", "", re.compile(r"(?<![A-Za-z0-9])[A-Z]{2}\d{2}(?: ?[A-Z0-9]{4}){2,7}(?: ?[A-Z0-9]{1,3})?(?![A-Za-z0-9])"), _iban),
+    ("iban", "", re.compile(r"(?<![A-Za-z0-9])[A-Z]{2}\d{2}(?=(?: ?[A-Z0-9]{4}){2})"), _iban),
     ("ipv4", ".", re.compile(r"(?<![\d.])\d{1,3}(?:\.\d{1,3}){3}(?!\.?\d)"), _ipv4),
     ("date", "", re.compile(r"(?<![\d./-])(?:\d{4}-\d{2}-\d{2}|\d{4}/\d{2}/\d{2}|\d{2}/\d{2}/\d{4}|\d{2}[.-]\d{2}[.-]\d{4})(?![./-]?\d)"), _date),
-    ("card", "", re.compile(r"(?<![\d+.-])\d(?:[ -]?\d){12,18}(?![ -]?\d)"), _card),
+    ("card", "", re.compile(r"(?:(?<![\d+.-])|(?<=\d-))\d(?=(?:[ -]?\d){12})"), _card),
     ("phone", "", re.compile(r"(?<![\w+])(?:\+\d{1,3}[ .-]?(?:\(\d{1,4}\)|\d{1,4})(?:[ .-]?\d{2,4}){2,4}|\(\d{3}\) ?\d{3}[ .-]\d{4}|\d{3}[.-]\d{3}[.-]\d{4})(?!\d)"), _phone),
     ("ssn", "-", re.compile(r"(?<![\d-])\d{3}-\d{2}-\d{4}(?![\d-])"), _ssn),
 )
@@ -194,18 +257,39 @@ _DIGIT = re.compile(r"\d")
 
 
 def finds(text: str | None, permuter: Permuter) -> list[tuple[int, int, str, str]]:
-    """(start, end, kind, pseudonym) of the values in a text, in order and without overlaps."""
+    """(start, end, kind, pseudonym) of the values in a text, in order and without overlaps.
+
+    A pseudonym after which a group nearby would be read otherwise is permuted again, so that the
+    same values are found when it is restored (values are then taken in the opposite order)."""
     if not text or not ("@" in text or _DIGIT.search(text) or '"' in text):
         return []
     out: list[tuple[int, int, str, str]] = []
     taken: list[tuple[int, int]] = []
+    watched = []
     for kind, needs, pattern, pseudonym in _FINDERS:
         if needs and needs not in text:
             continue
-        for m in pattern.finditer(text):
-            if not any(m.start() < e and b < m.end() for b, e in taken) and (new := pseudonym(permuter, m.group())) is not None:
-                out.append((m.start(), m.end(), kind, new))
+        if kind in _ENDS:
+            if seen := _groups(text, kind, pattern, taken):
+                watched.append((_ENDS[kind], seen, taken))
+                out += [(s, e, kind, pseudonym(permuter, text[s:e])) for s, e in seen if e]
+        else:
+            for m in pattern.finditer(text):
+                if _free(m.start(), m.end(), taken) and (new := pseudonym(permuter, m.group())) is not None:
+                    out.append((m.start(), m.end(), kind, new))
         taken = sorted((x[0], x[1]) for x in out)
+    if watched:
+        again, now = {f[0]: f[3] for f in _FINDERS}, text
+        for i in reversed(range(len(out))) if permuter.inverse else range(len(out)):
+            s, e, kind, new = out[i]
+            near = [(end_of, seen[j], by) for end_of, seen, by in watched for j in range(bisect_left(seen, (s - _REACH,)), bisect_left(seen, (e,)))]
+            if len(new) != e - s:  # an address, which no group reaches into
+                continue
+            now = now[:s] + new + now[e:]
+            while not all(end_of(now, a, by) == b for end_of, (a, b), by in near):
+                new = again[kind](permuter, new)
+                now = now[:s] + new + now[e:]
+            out[i] = (s, e, kind, new)
     return sorted(out)
 
 
