@@ -25,21 +25,39 @@ def turns(conversations: DataFrame) -> DataFrame:
     return rows.groupBy("conv_id", "turn").agg(F.min(F.struct("role", "text")).alias("x")).select("conv_id", "turn", "x.role", "x.text")
 
 
+def _before(n: str):
+    """Sum of ``n`` over the ranges in front, in a table of a row per range."""
+    return F.coalesce(F.sum(n).over(Window.orderBy("part").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
+
+
 def neighbours(turns_: DataFrame) -> DataFrame:
-    """(pair_id, chosen, rejected): conversations two by two in the order of their first turn's hash and conv_id, so that equal openings meet.
+    """(pair_id, chosen, rejected): conversations of equal opening (first turn) two by two in the order of conv_id, then
+    what is left over, at most one of each opening, two by two in the order of the opening's hash.
 
-    Chosen is the one with more assistant characters, of equals the smaller conv_id."""
+    Left-over pairs count from 0; those of equal openings have negative ids. Chosen is the one with more
+    assistant characters, of equals the smaller conv_id."""
     opening = F.md5(F.concat(F.col("first.role"), F.lit("\n"), F.col("first.text")))
     spoken = F.sum(F.when(F.col("role") == "assistant", F.length("text")).otherwise(0))
     each = turns_.groupBy("conv_id").agg(F.min(F.struct("turn", "role", "text")).alias("first"), spoken.alias("spoken")).select("conv_id", opening.alias("opening"), "spoken")
-    # ranks without one task: ranges in order, each row numbered in its range, then the ranges' sizes summed up
+    # ranks without one task: ranges in order (a hot opening has several), each row numbered in its range, then the ranges' sizes summed up
     ranges = stored(each.repartitionByRange("opening", "conv_id").sortWithinPartitions("opening", "conv_id").withColumn("at", F.monotonically_increasing_id()), "ranked")
-    part, within = F.shiftright("at", 33), F.col("at").bitwiseAND((1 << 33) - 1)
-    sizes = ranges.groupBy(part.alias("part")).agg(F.count(F.lit(1)).alias("n"))  # a row per range
-    before = sizes.select("part", F.coalesce(F.sum("n").over(Window.orderBy("part").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("before"))
-    ranked = ranges.withColumn("part", part).join(F.broadcast(before), "part").withColumn("pair_id", F.shiftright(F.col("before") + within, 1))
+    ranges = ranges.select("conv_id", "opening", "spoken", "at", F.shiftright("at", 33).alias("part"), F.col("at").bitwiseAND((1 << 33) - 1).alias("within"))
+    same = Window.partitionBy("part", "opening").orderBy("at")
+    rows = stored(ranges.repartitionByRange("part").withColumn("k", F.row_number().over(same) - 1).withColumn("ends", F.lead("at").over(same).isNull()), "openings")
+    sizes = rows.groupBy("part").agg(F.count(F.lit(1)).alias("n"), F.min("opening").alias("head"), F.max(F.struct("opening", "k")).alias("tail")).select("part", "n", "head", F.col("tail.opening").alias("tail"), (F.col("tail.k") + 1).alias("n_tail"))
+    sizes = stored(sizes, "ranges")  # a row per range
+    carried = sizes.alias("a").join(F.broadcast(sizes.alias("b")), F.expr("a.head = b.tail and b.part < a.part")).groupBy("a.part").agg(F.sum("b.n_tail").alias("carried"))
+    goes_on = F.coalesce(F.lead("head").over(Window.orderBy("part")) == F.col("tail"), F.lit(False))
+    sizes = sizes.join(carried, "part", "left").select("part", "head", "tail", F.coalesce("carried", F.lit(0)).alias("carried"), goes_on.alias("goes_on"), _before("n").alias("before"))
+    rank = F.col("k") + F.when(F.col("opening") == F.col("head"), F.col("carried")).otherwise(0)
+    last = F.col("ends") & ~((F.col("opening") == F.col("tail")) & F.col("goes_on"))
+    rows = rows.join(F.broadcast(sizes), "part").select("conv_id", "spoken", "part", "at", (F.col("before") + F.col("within")).alias("place"), (rank % 2).alias("odd"), ((rank % 2 == 0) & last).alias("alone"))
+    left = stored(rows.filter("alone").repartitionByRange("part").withColumn("k", F.row_number().over(Window.partitionBy("part").orderBy("at")) - 1), "left")
+    before = left.groupBy("part").agg(F.count(F.lit(1)).alias("n")).select("part", _before("n").alias("before"))
+    left = left.join(F.broadcast(before), "part").select(F.shiftright(F.col("before") + F.col("k"), 1).alias("pair_id"), "conv_id", "spoken")
+    met = rows.filter("not alone").select((-1 - F.col("place") + F.col("odd")).alias("pair_id"), "conv_id", "spoken")
     rank = F.struct((-F.col("spoken")).alias("s"), "conv_id")
-    return ranked.groupBy("pair_id").agg(F.min(rank).alias("c"), F.max(rank).alias("r"), F.count(F.lit(1)).alias("n")).filter("n = 2").select("pair_id", F.col("c.conv_id").alias("chosen"), F.col("r.conv_id").alias("rejected"))
+    return met.unionByName(left).groupBy("pair_id").agg(F.min(rank).alias("c"), F.max(rank).alias("r"), F.count(F.lit(1)).alias("n")).filter("n = 2").select("pair_id", F.col("c.conv_id").alias("chosen"), F.col("r.conv_id").alias("rejected"))
 
 
 def rendered(role, text):
@@ -68,6 +86,7 @@ def format_pairs(turns_: DataFrame, pairs: DataFrame) -> DataFrame:
     )
 
 
+#: Pairs by one order of all openings: the same rows where no two openings are equal, as in the given tables.
 ORACLE = r"""
 WITH turns AS (SELECT conv_id, turn, min(struct_pack(role := coalesce(role, ''), text := coalesce(text, ''))) AS x
                FROM conversations WHERE conv_id IS NOT NULL AND turn IS NOT NULL GROUP BY conv_id, turn),

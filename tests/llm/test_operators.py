@@ -193,6 +193,24 @@ def test_preferences(spark):
     assert preferences.from_neighbours(spark.createDataFrame([], "conv_id long, turn long, role string, text string")).count() == 0
 
 
+def test_equal_openings_meet(spark):
+    # openings of 1 to 7 conversations, and a hot one that spans the ranges
+    sizes = {f"q{i}": 1 + i % 7 for i in range(40)} | {"hot": 301}
+    first = [q for q, n in sizes.items() for _ in range(n)]
+    rows = [(c, t, role, text) for c, q in enumerate(first) for t, role, text in ((0, "user", q), (1, "assistant", f"answer {c}"))]
+    got = preferences.from_neighbours(spark.createDataFrame(rows, "conv_id long, turn long, role string, text string")).collect()
+    pairs = {}
+    for r in got:
+        pairs.setdefault(r["pair_id"], []).append(r)
+    held = [sorted({r["conv_id"] for r in p}) for p in pairs.values()]
+    assert all(len(p) == 2 for p in held) and sum(map(len, held)) == len({c for p in held for c in p}) == len(first) // 2 * 2
+    met = [p for p in held if first[p[0]] == first[p[1]]]
+    assert len(met) == sum(n // 2 for n in sizes.values())
+    for rows in pairs.values():
+        same = len({first[r["conv_id"]] for r in rows}) == 1
+        assert sorted((r["part"], r["turn"]) for r in rows) == ([("chosen", 1), ("prompt", 0), ("rejected", 1)] if same else [("chosen", 0), ("chosen", 1), ("rejected", 0), ("rejected", 1)])
+
+
 # 7
 def test_language(spark, rng):
     one, two = ["the", "and", "thing", "with", "other"], ["und", "der", "schön", "nicht", "zeit"]
