@@ -180,6 +180,17 @@ def test_ids_equal_the_reference_tokenizer(rng):
         assert tokens.encode(t, path).tolist() == tokens._slow(path).encode(t, add_special_tokens=False).ids
 
 
+def test_added_tokens_have_their_own_ids(rng):
+    from tokenizers import Tokenizer
+
+    path = tokens.default_path()
+    plain = Tokenizer.from_file(path)
+    end = "<|endoftext|>"
+    assert tokens.encode(f"a {end} b", path).tolist() == [64, 220, 50256, 275]
+    for t in [end, end * 3, f"  {end}\n\n {end}  x", f"x{end[:-1]}{end}>", f"<|{end}|>", end.upper(), f"{words(rng, 50)} {end}{words(rng, 50)}"]:
+        assert tokens.encode(t, path).tolist() == plain.encode(t, add_special_tokens=False).ids
+
+
 # 6
 def test_preferences(spark):
     rows = [(1, 0, "user", "hi", 9), (1, 1, "assistant", "good long answer", 9), (2, 0, "user", "hi", 9), (2, 1, "assistant", "no", 9), (3, 0, "user", None, 9), (None, 0, "user", "z", 9), (2, 1, "assistant", "no", 9), (4, 0, None, "a<|end|>b", 9)]
