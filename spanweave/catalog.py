@@ -150,9 +150,9 @@ def _grown(spark, sf_dir, steps: int, **options) -> tuple[graph.WeightedGraph, D
     g = graph.build(fixtures.part_mesh(spark, sf_dir))
     state = growth.place_centers(growth.initial_state(g.nodes), drawn(F.col("node"), SHARE, 7, 0))
     loop = Superstep(spark)
-    with fixed_plan(spark):
+    with fixed_plan(spark, g.partitions):
         for _ in range(steps):
-            state, _, _ = loop.run(growth.grow_step(state, g.edges, DELTA, **options), growth.counters(), growth.WORKING)
+            state, _, _ = loop.run(growth.grow_step(state, g, DELTA, **options), growth.counters(), growth.WORKING)
     return g, state
 
 
@@ -184,8 +184,8 @@ SELECT s0.node, r.center, r.d AS grow_dist FROM s0 LEFT JOIN r ON r.node = s0.no
 def grow_fixpoint_bounded(spark, sf_dir):
     g = graph.build(fixtures.part_mesh(spark, sf_dir))
     state = growth.place_centers(growth.initial_state(g.nodes), drawn(F.col("node"), SHARE, 7, 0))
-    with fixed_plan(spark):
-        return growth.grow_to_fixpoint(Superstep(spark), state, g.edges, DELTA).select("node", "center", "grow_dist")
+    with fixed_plan(spark, g.partitions):
+        return growth.grow_to_fixpoint(Superstep(spark), state, g, DELTA).select("node", "center", "grow_dist")
 
 
 @query(f"""WITH {MESH}, {_START}, {_STEPS}
@@ -193,7 +193,7 @@ SELECT coalesce(x.center, b.src) AS src, coalesce(y.center, b.dst) AS dst, min(w
 WHERE x.center IS NULL OR y.center IS NULL GROUP BY ALL""")
 def contract_stage(spark, sf_dir):
     g, state = _grown(spark, sf_dir, 3)
-    return growth.contract(state, g.edges)
+    return growth.contract(state, g)
 
 
 @query(f"""WITH {MESH}, {_START}, {_STEPS},
@@ -202,20 +202,21 @@ k AS (SELECT coalesce(x.center, b.src) AS src, b.dst AS dst, CASE WHEN x.center
 SELECT src, dst, min(w) AS w FROM (SELECT * FROM k UNION ALL SELECT dst, src, w FROM k) GROUP BY ALL""")
 def contract_rescaled_stage(spark, sf_dir):
     g, state = _grown(spark, sf_dir, 3)
-    return growth.contract_rescaled(state, g.edges, DELTA)
+    return growth.contract_rescaled(state, g, DELTA)
 
 
 @query("SELECT 0::BIGINT AS differing")
 def implicit_equals_materialised(spark, sf_dir):
     """One more stage by settled offers and by explicit contraction: how many nodes get another center or distance."""
     g, state = _grown(spark, sf_dir, 3)
-    loop = Superstep(spark)
-    with fixed_plan(spark):
-        implicit = growth.grow_to_fixpoint(loop, growth.settle(state, 0), g.edges, DELTA)
-        edges = stored(growth.contract(state, g.edges).withColumn("pw", F.col("w")), "contracted")
+    with fixed_plan(spark, g.partitions):
+        implicit = growth.grow_to_fixpoint(Superstep(spark), growth.settle(state, 0), g, DELTA)
+        edges = stored(growth.contract(state, g).withColumn("pw", F.col("w")), "contracted")
         nodes = state.filter("center is null or center = node").select("node")
-        again = growth.place_centers(growth.initial_state(nodes), F.col("node").isin([r["center"] for r in state.filter("node = center").select("center").collect()]))
-        explicit = growth.grow_to_fixpoint(loop, again, edges, DELTA)
+        centers = state.filter("node = center").select(F.col("node").alias("_c"))
+        again = growth.initial_state(nodes).join(centers, F.col("node") == F.col("_c"), "left")
+        again = growth.place_centers(again, F.col("_c").isNotNull()).drop("_c")
+        explicit = growth.grow_to_fixpoint(Superstep(spark), again, graph.plain(edges, nodes, g.n), DELTA)
     new = implicit.filter("settled_stage is null").select("node", "center", "grow_dist")
     old = explicit.filter("center is null or center <> node").select("node", F.col("center").alias("c"), F.col("grow_dist").alias("d"))
     same = F.col("center").eqNullSafe(F.col("c")) & F.col("grow_dist").eqNullSafe(F.col("d"))
@@ -302,7 +303,7 @@ def staged_bounds(spark, sf_dir):
         now = [s for s in d.loop.steps if s.stage == stage][-1].uncovered
         halves, left = halves and now <= left / 2, now
     few = d.count <= 8 * (d.stages + 1) * decompose.logarithm(g.n)
-    greedy = measures.greedy_k_center(measures.local_graph(g), 1)
+    greedy = measures.greedy_k_center(measures.in_arrays(g), 1)
     return spark.createDataFrame([(halves, few, d.delta_end <= 4 * greedy)], "halves boolean, few_clusters boolean, threshold_bounded boolean")
 
 
@@ -397,7 +398,7 @@ def hop_bound_small(spark, sf_dir):
 def light_distance_small(spark, sf_dir):
     """Pairs within a bound are those within it along edges up to it."""
     g = small_graph(spark)
-    near = baselines.all_pairs(graph.WeightedGraph(g.edges.filter(F.col("pw") <= SCALE), g.nodes, g.n)).filter(F.col("dist") <= SCALE)
+    near = baselines.all_pairs(g.mapped(lambda e: e.filter(F.col("pw") <= SCALE))).filter(F.col("dist") <= SCALE)
     return near.agg(F.lit(SCALE).cast("long").alias("bound"), F.count(F.lit(1)).alias("pairs"))
 
 

@@ -2,12 +2,13 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from spanweave.functions.hashing import h32, joined
-from spanweave.operators.graph import WeightedGraph
-from spanweave.operators.quotient import eccentricities
+from spanweave.operators.decompose import weight_type
+from spanweave.operators.graph import WeightedGraph, encode_ids
+from spanweave.operators.quotient import eccentricities, quotient_diameter
 from spanweave.plans.loop import Superstep, fixed_plan
 from spanweave.session import Stored
 
@@ -18,21 +19,32 @@ def _weighted(g: WeightedGraph) -> DataFrame:
 
 def exact_diameter(g: WeightedGraph):
     """The largest distance within a component, by one search from every node over a broadcast graph of checked size."""
-    return eccentricities(_weighted(g), g.edges.schema["pw"].dataType.simpleString()).agg(F.max("ecc").alias("d")).first()["d"] or 0
+    return eccentricities(_weighted(g), weight_type(g)).agg(F.max("ecc").alias("d")).first()["d"] or 0
+
+
+def bounded_exact_diameter(g: WeightedGraph):
+    """The same by few searches, from nodes that the triangle inequality leaves open."""
+    return quotient_diameter(_weighted(g))[0]
 
 
 def all_pairs(g: WeightedGraph, max_nodes: int = 2_000) -> DataFrame:
-    """(src, dst, dist, hops) of all pairs by repeated min-plus products; ``hops``: the fewest edges of a least path. For small graphs."""
+    """(src, dst, dist, hops) of all pairs by repeated min-plus products; ``hops``: the fewest edges of a least path.
+
+    For small graphs."""
     if g.n > max_nodes:
         raise ValueError(f"{g.n} nodes give too many pairs; the bound is {max_nodes}")
-    one = g.edges.select("src", "dst", F.struct(F.col("pw").alias("d"), F.lit(1).alias("h")).alias("p"))
-    now = Stored(g.nodes.select(F.col("node").alias("src"), F.col("node").alias("dst"), F.struct(F.lit(0).cast(g.edges.schema["pw"].dataType).alias("d"), F.lit(0).alias("h")).alias("p")).unionByName(one), "pairs")
+    way = lambda d, h: F.struct(d.alias("d"), h.alias("h"))
+    one = g.edges.select("src", "dst", way(F.col("pw"), F.lit(1)).alias("p"))
+    none = way(F.lit(0).cast(weight_type(g)), F.lit(0)).alias("p")
+    itself = g.nodes.select(F.col("node").alias("src"), F.col("node").alias("dst"), none)
+    now = Stored(itself.unionByName(one), "pairs")
     while True:
         a = now.df.select(F.col("src"), F.col("dst").alias("mid"), F.col("p").alias("p1"))
         b = now.df.select(F.col("src").alias("mid"), F.col("dst"), F.col("p").alias("p2"))
-        step = a.join(b, "mid").groupBy("src", "dst").agg(F.min(F.struct((F.col("p1.d") + F.col("p2.d")).alias("d"), (F.col("p1.h") + F.col("p2.h")).alias("h"))).alias("p"))
-        new = Stored(step, "pairs")
-        total = [x.df.agg(F.count(F.lit(1)).alias("n"), F.sum("p.d").alias("d"), F.sum("p.h").alias("h")).first() for x in (now, new)]
+        both = way(F.col("p1.d") + F.col("p2.d"), F.col("p1.h") + F.col("p2.h"))
+        new = Stored(a.join(b, "mid").groupBy("src", "dst").agg(F.min(both).alias("p")), "pairs")
+        sums = [F.count(F.lit(1)).alias("n"), F.sum("p.d").alias("d"), F.sum("p.h").alias("h")]
+        total = [x.df.agg(*sums).first() for x in (now, new)]
         now.drop()
         now = new
         if total[0] == total[1]:
@@ -47,38 +59,65 @@ def hop_bound(g: WeightedGraph, delta=None) -> int:
     return pairs.agg(F.max("hops").alias("h")).first()["h"] or 0
 
 
-def sketch_eccentricity(g: WeightedGraph, registers: int = 16, seed: int = 7, exact: bool = False, max_hops: int = 100_000) -> tuple[DataFrame, list[dict]]:
+#: Bits of a mask, and the correction of the mean position of the lowest unset bit (a published constant).
+BITS, CORRECTION = 62, 0.77351
+
+
+def _bit(place) -> Column:
+    return F.call_function("shiftleft", F.lit(1).cast("long"), place.cast("int"))
+
+
+def _own_bits(g: WeightedGraph, registers: int) -> DataFrame:
+    """A bit of its own for every node: dense numbers by ranges, 62 to a mask."""
+    if g.n > BITS * registers:
+        raise ValueError(f"{g.n} nodes need more than {registers} masks")
+    k = F.col("id")
+    mask = lambda i: F.when(F.floor(k / BITS) == i, _bit(F.pmod(k, F.lit(BITS)))).otherwise(F.lit(0).cast("long"))
+    return encode_ids(g.nodes, "node").select("node", *[mask(i).alias(f"m{i}") for i in range(registers)])
+
+
+def _hashed_bits(g: WeightedGraph, registers: int, seed: int) -> DataFrame:
+    """In each mask one bit, by the trailing zeros of a hash (31 at most)."""
+
+    def mask(i: int) -> Column:
+        h = h32(joined(seed, i, F.col("node")))
+        return _bit(F.least(F.lit(31), F.bit_count(h.bitwiseXOR(h - 1)) - 1))
+
+    return g.nodes.select("node", *[mask(i).alias(f"m{i}") for i in range(registers)])
+
+
+def sketch_eccentricity(
+    g: WeightedGraph, registers: int = 16, seed: int = 7, exact: bool = False, max_hops: int = 100_000
+) -> tuple[DataFrame, list[dict]]:
     """(node, hops): the last hop at which a node's sketch of its ball changed, and the neighbourhood function's estimate per hop.
 
     A sketch is ``registers`` bit masks; every node sets in each one bit with geometric chance. ``exact`` gives every node
     a bit of its own instead (graphs of up to 62 * registers nodes). Weights are not used: the method cannot take them."""
     loop = Superstep(g.spark)
-    if exact:
-        order = g.nodes.select("node", (F.dense_rank().over(Window.orderBy("node")) - 1).alias("k"))
-        bits = [F.when(F.floor(F.col("k") / 62) == i, F.call_function("shiftleft", F.lit(1).cast("long"), F.pmod("k", F.lit(62)).cast("int"))).otherwise(F.lit(0).cast("long")) for i in range(registers)]
-        start = order.select("node", *[b.alias(f"m{i}") for i, b in enumerate(bits)])
-    else:
-        hash_ = lambda i: h32(joined(seed, i, F.col("node")))
-        # trailing zeros of the hash, 31 at most
-        low = lambda i: F.least(F.lit(31), F.bit_count(hash_(i).bitwiseXOR(hash_(i) - 1)) - 1).cast("int")
-        start = g.nodes.select("node", *[F.call_function("shiftleft", F.lit(1).cast("long"), low(i)).alias(f"m{i}") for i in range(registers)])
+    start = _own_bits(g, registers) if exact else _hashed_bits(g, registers, seed)
     masks = [f"m{i}" for i in range(registers)]
+    # the mean position of the lowest unset bit over the registers estimates a ball's size
+    lowest = [F.bit_count(F.col(m).bitwiseAND(F.bitwise_not(F.col(m) + 1))).cast("double") for m in masks]
+    size = F.pow(F.lit(2.0), sum(lowest, F.lit(0.0)) / registers) / CORRECTION
+    if exact:
+        size = sum((F.bit_count(m) for m in masks), F.lit(0)).cast("double")
     figures: list[dict] = []
-    with fixed_plan(g.spark):
-        state = start.withColumns({"hops": F.lit(0), "changed": F.lit(True)}).checkpoint(eager=True)
+    with fixed_plan(g.spark, g.partitions):
+        state = loop.start(start.withColumns({"hops": F.lit(0), "changed": F.lit(True)}), g.partitions)
         for hop in range(1, max_hops + 1):
             # only balls that grew in the last hop can make a neighbour's grow
-            sent = state.filter("changed").join(g.edges, F.col("node") == F.col("src")).groupBy("dst").agg(*[F.bit_or(m).alias(f"_{m}") for m in masks])
-            new = state.join(sent, F.col("node") == F.col("dst"), "left")
+            sent = g.along(state.filter("changed").select("node", *masks))
+            offer = sent.groupBy("dst").agg(*[F.bit_or(m).alias(f"_{m}") for m in masks])
+            new = state.join(offer.hint("shuffle_hash"), F.col("node") == F.col("dst"), "left")
             merged = {m: F.col(m).bitwiseOR(F.coalesce(F.col(f"_{m}"), F.lit(0).cast("long"))) for m in masks}
             grew = F.lit(False)
             for m in masks:
                 grew = grew | (merged[m] != F.col(m))
-            plan = new.select("node", *[c.alias(m) for m, c in merged.items()], F.when(grew, F.lit(hop)).otherwise(F.col("hops")).alias("hops"), grew.alias("changed"))
-            # the mean position of the lowest unset bit over the registers estimates a ball's size
-            lowest = sum((F.bit_count(F.col(m).bitwiseAND(F.bitwise_not(F.col(m) + 1))).cast("double") for m in masks), F.lit(0.0)) / registers
-            size = sum((F.bit_count(m) for m in masks), F.lit(0)).cast("double") if exact else F.pow(F.lit(2.0), lowest) / 0.77351
-            state, got, _ = loop.run(plan, {"updates": F.sum(F.col("changed").cast("long")), "pairs": F.sum(size)})
+            hops = F.when(grew, F.lit(hop)).otherwise(F.col("hops"))
+            columns = [c.alias(m) for m, c in merged.items()]
+            plan = new.select("node", *columns, hops.alias("hops"), grew.alias("changed"))
+            state, got, seconds = loop.run(plan, {"updates": F.sum(F.col("changed").cast("long")), "pairs": F.sum(size)})
+            loop.note("sketch", 0, 0, hop, got, seconds)
             if not got["updates"]:
                 break
             figures.append({"hop": hop, "changed": got["updates"], "pairs": float(got["pairs"])})

@@ -39,13 +39,13 @@ def start_threshold(g: WeightedGraph, rule):
     """min, mean (rounded up for whole weights) or a number."""
     if not isinstance(rule, str):
         return rule
-    row = g.edges.agg(F.min("w").alias("least"), F.avg("w").alias("mean")).first()
+    row = g.edges.agg(F.min("w").alias("least"), F.sum("w").alias("total"), F.count(F.lit(1)).alias("n")).first()
     if row["least"] is None:
         return 1
     if rule == "min":
         return row["least"]
     if rule == "mean":
-        return row["mean"] if isinstance(row["least"], float) else math.ceil(row["mean"])
+        return row["total"] / row["n"] if isinstance(row["least"], float) else -(-int(row["total"]) // row["n"])
     raise ValueError(f"unknown start threshold {rule!r}")
 
 
@@ -53,56 +53,62 @@ def logarithm(n: int) -> float:
     return math.log2(n) if n > 1 else 0.0
 
 
-def _weight_type(g: WeightedGraph) -> str:
-    return g.edges.schema["pw"].dataType.simpleString()
+def weight_type(g: WeightedGraph) -> str:
+    return g.near.schema["pw"].dataType.simpleString()
 
 
-def _finish(g: WeightedGraph, state: DataFrame, stage: int, loop: Superstep, delta, guesses: int, contractions: int) -> Decomposition:
+def _finish(
+    g: WeightedGraph, state: DataFrame, stage: int, loop: Superstep, delta, guesses: int, contractions: int
+) -> Decomposition:
     clusters = state.select(
-        "node", F.coalesce("center", "node").alias("center"), F.coalesce("path_weight", F.lit(0)).alias("path_weight"), F.coalesce("settled_stage", F.lit(stage)).alias("stage")
-    ).checkpoint(eager=True)
-    row = clusters.agg(F.max("path_weight").alias("r"), F.sum((F.col("node") == F.col("center")).cast("long")).alias("k")).first()
+        "node", F.coalesce("center", "node").alias("center"), F.coalesce("path_weight", F.lit(0)).alias("path_weight"),
+        F.coalesce("settled_stage", F.lit(stage)).alias("stage"),
+    ).checkpoint(eager=True)
+    loop.release()
+    own = F.sum((F.col("node") == F.col("center")).cast("long"))
+    row = clusters.agg(F.max("path_weight").alias("r"), own.alias("k")).first()
     return Decomposition(clusters, row["r"] or 0, row["k"] or 0, delta, stage, guesses, loop, contractions)
 
 
 def staged_decompose(
-    g: WeightedGraph, tau: int = 1, *, seed: int = 7, delta0="mean", gamma: float = GAMMA, step_cap: int | str | None = None,
-    count: str = "uncovered", active_only: bool = True, draw: str = "md5",
+    g: WeightedGraph, tau: int = 1, *, seed: int = 7, delta0="mean", gamma: float = GAMMA,
+    step_cap: int | str | None = None, count: str = "uncovered", active_only: bool = True, draw: str = "md5",
 ) -> Decomposition:
     """Batches of random centers grow together under one threshold, which doubles until each stage covers half of what is left.
 
-    ``step_cap``: growing steps per guess at most (``auto``: n / tau). ``count``: what the inner stop counts,
-    the newly covered among the ``uncovered`` or the covered among ``all_nodes`` of the contracted graph."""
+    ``step_cap``: growing steps per guess at most (``auto``: n / tau). ``count``: what the inner stop counts, the newly
+    covered among the ``uncovered``, or the covered among ``all_nodes`` of the contracted graph (the clusters of
+    earlier stages, one node each, count as covered there)."""
     if not 1 <= tau <= max(1, g.n):
         raise ValueError(f"tau must lie between 1 and the number of nodes, not {tau}")
     cap = max(1, g.n // tau) if step_cap == "auto" else step_cap
     log_n = logarithm(g.n)
     loop = Superstep(g.spark)
     delta = start_threshold(g, delta0)
-    state, uncovered, clusters = growth.initial_state(g.nodes, _weight_type(g)), g.n, 0
+    state, uncovered, clusters = growth.initial_state(g.nodes, weight_type(g)), g.n, 0
     stage = guesses = 0
-    with fixed_plan(g.spark):
-        state = state.repartition(int(g.spark.conf.get("spark.sql.shuffle.partitions")), "node").checkpoint(eager=True)
+    with fixed_plan(g.spark, g.partitions):
+        state = loop.start(state, g.partitions)
         while uncovered and uncovered >= 8 * tau * log_n:
-            target = math.ceil(uncovered / 2)
-            probability = min(1.0, gamma * tau * log_n / uncovered)
+            left, before = uncovered, clusters
+            probability = min(1.0, gamma * tau * log_n / left)
             state = growth.place_centers(state, drawn(F.col("node"), probability, seed, stage, draw))
-            guesses, taken, old = guesses + 1, 0, clusters
+            guesses, taken = guesses + 1, 0
             while True:
-                grown, got, seconds = loop.run(growth.grow_step(state, g.edges, delta, active_only=active_only), growth.counters(), growth.WORKING)
+                plan = growth.grow_step(state, g, delta, active_only=active_only)
+                grown, got, seconds = loop.run(plan, growth.counters(), growth.WORKING)
                 if not got["centers"]:  # nothing drawn and no cluster yet: the least hash is the center
                     first = g.nodes.orderBy(h32(joined(seed, stage, F.col("node"))), "node").first()["node"]
-                    state = growth.place_centers(state, F.col("node") == first)
+                    state = growth.place_centers(grown, F.col("node") == first)
                     continue
                 state, taken = grown, taken + 1
                 step = loop.note("staged", stage, guesses, delta, got, seconds)
                 uncovered, clusters = step.uncovered, got["centers"]
-                if step.covered >= target:
+                if 2 * step.covered >= left:
                     break
-                whole = old + target * 2 if count == "all_nodes" else None
-                stops = whole is not None and old + step.covered >= whole / 2
+                stops = count == "all_nodes" and 2 * (before + step.covered) >= before + left
                 if stops or step.updates == 0 or (cap and taken >= cap):
-                    if step.updates == 0 and not growth.has_boundary(state, g.edges):
+                    if step.updates == 0 and not growth.has_boundary(state, g):
                         break
                     delta, guesses, taken = delta * 2, guesses + 1, 0
                     state = growth.reactivate(state)
@@ -111,7 +117,10 @@ def staged_decompose(
         return _finish(g, state, stage, loop, delta, guesses, stage)
 
 
-def rescaled_decompose(g: WeightedGraph, tau: int = 1, *, seed: int = 7, step_cap: int | str | None = None, base: Decomposition | None = None, radius=None, delta0="mean") -> Decomposition:
+def rescaled_decompose(
+    g: WeightedGraph, tau: int = 1, *, seed: int = 7, step_cap: int | str | None = None,
+    base: Decomposition | None = None, radius=None, delta0="mean",
+) -> Decomposition:
     """Centers drawn with doubling probability; each iteration grows all clusters by twice the radius of a staged run."""
     base_steps = base
     if radius is None:
@@ -125,23 +134,28 @@ def rescaled_decompose(g: WeightedGraph, tau: int = 1, *, seed: int = 7, step_ca
     loop = Superstep(g.spark)
     if base_steps:
         loop.steps.extend(base_steps.loop.steps)
-    light = g.edges.filter(F.col("w") <= F.lit(reach))
-    state = growth.initial_state(g.nodes, _weight_type(g))
+    state = growth.initial_state(g.nodes, weight_type(g))
     iterations = max(1, math.ceil(log_n))
-    with fixed_plan(g.spark):
-        state = state.repartition(int(g.spark.conf.get("spark.sql.shuffle.partitions")), "node").checkpoint(eager=True)
+    with fixed_plan(g.spark, g.partitions):
+        state = loop.start(state, g.partitions)
         done = 0
         for i in range(1, iterations + 1):
             probability = 1.0 if i == iterations else min(1.0, 2**i / n)
             state = growth.place_centers(state, drawn(F.col("node"), probability, seed + 1, i))
-            state = growth.grow_to_fixpoint(loop, state, light, reach, cap=cap, stage=i, phase="rescaled")
+            state = growth.grow_to_fixpoint(loop, state, g, reach, cap=cap, stage=i, phase="rescaled")
             state = growth.settle(state, i, rescale=reach)
             done = i
             if loop.steps[-1].uncovered == 0:
                 break
-        return _finish(g, state, done, loop, reach, done, done + (base_steps.contractions if base_steps else 0))
+        contractions = done + (base_steps.contractions if base_steps else 0)
+        return _finish(g, state, done, loop, reach, done, contractions)
+
+
+def by_hops(g: WeightedGraph) -> WeightedGraph:
+    """The same graph growing by hops: every edge counts 1, paths keep their weights."""
+    return g.mapped(lambda e: e.withColumn("w", F.lit(1).cast("long")))
 
 
 def hop_decompose(hops: WeightedGraph, tau: int = 1, *, seed: int = 7) -> Decomposition:
-    """The unweighted predecessor: all frontiers advance one hop a step until half is covered. ``hops`` is built with ``growth_weight="unit"``."""
+    """The unweighted predecessor: all frontiers advance one hop a step until half is covered (``hops``: see ``by_hops``)."""
     return staged_decompose(hops, tau, seed=seed, delta0=max(1, hops.n))

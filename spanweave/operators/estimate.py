@@ -4,113 +4,168 @@ from __future__ import annotations
 
 import math
 import time
+from collections.abc import Iterable, Iterator
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from spanweave.operators import decompose, graph
 from spanweave.operators.graph import WeightedGraph
-from spanweave.operators.quotient import adjacency, local_sssp, quotient, quotient_diameter
-from spanweave.session import stored
+from spanweave.operators.quotient import MAX_EDGES, MAX_NODES, LocalGraph, bounded_diameter, quotient, quotient_diameter
+from spanweave.session import Stored, stored
 
-#: Above so many clusters all searches are replaced by bounding ones, and above MAX_LOCAL by the estimate of the quotient itself.
-EXACT_UP_TO, MAX_LOCAL = 5_000, 100_000
+#: Up to so many clusters the quotient's diameter is exact; beyond, an upper bound within this share or after so many
+#: searches; above MAX_NODES an estimate.
+EXACT_UP_TO, TOLERANCE, MOST_SEARCHES = 1_000, 0.02, 256
+#: Components of more edges than this are estimated, smaller ones solved, each by one task.
+SMALL_COMPONENT = 20_000
 
 
 def choose_tau(n: int, *, eps: float | None = None, max_quotient_nodes: int | None = None) -> int:
-    """tau = n^eps, or the largest whose expected clusters (over the stages, with leftovers) fit the quotient."""
+    """tau = n^eps, or one whose expected clusters fill the quotient that is allowed.
+
+    Stages usually cover far more than half, so two of them are reckoned with, and the leftovers: (8 + 2 gamma) tau log n."""
     if eps is not None:
         return max(1, math.ceil(n**eps))
     log_n = max(1.0, decompose.logarithm(n))
-    room, tau = max_quotient_nodes or MAX_LOCAL, 1
-    clusters = lambda t: math.ceil(max(1, math.log2(max(2, n / (8 * t * log_n))))) * decompose.GAMMA * t * log_n + 8 * t * log_n
-    while 2 * tau <= n and clusters(2 * tau) <= room:
-        tau *= 2
-    return tau
+    room = max_quotient_nodes or MAX_NODES
+    return max(1, min(n, int(room / ((8 + 2 * decompose.GAMMA) * log_n))))
 
 
-def _cluster_bound(q: DataFrame, d: decompose.Decomposition):
-    """max over clusters A, B of r(A) + dist(A, B) + r(B), and 2 r(A): at most the printed estimate, still conservative."""
-    radius = {r["center"]: r["r"] for r in d.clusters.groupBy("center").agg(F.max("path_weight").alias("r")).collect()}
-    adj = adjacency(q)
-    return max([2 * r for r in radius.values()] + [radius[a] + x + radius[b] for a in adj for b, x in local_sssp(adj, a).items() if a != b])
+def _radii(d: decompose.Decomposition) -> dict:
+    """The radius of each cluster; as many rows as the quotient has nodes."""
+    per = d.clusters.groupBy("center").agg(F.max("path_weight").alias("r")).toArrow()
+    return dict(zip(per.column("center").to_pylist(), per.column("r").to_pylist()))
 
 
 def estimate_diameter(
-    g: WeightedGraph, tau: int = 1, *, method: str = "staged", quotient_mode: str = "auto", seed: int = 7, bound: str = "radius", depth: int = 0, **options
-) -> tuple[dict, decompose.Decomposition]:
-    """One row of figures and the decomposition behind it. ``method``: staged, rescaled or hop; ``bound="per_cluster"`` gives the tighter sum."""
+    g: WeightedGraph, tau: int = 1, *, method: str = "staged", quotient_mode: str = "auto", seed: int = 7,
+    bound: str = "radius", depth: int = 0, base: decompose.Decomposition | None = None, **options,
+) -> tuple[dict, decompose.Decomposition]:
+    """One row of figures and the decomposition behind it.
+
+    ``method``: staged, rescaled or hop. ``bound``: the estimate is the quotient's diameter plus twice the ``radius``, or
+    with ``per_cluster`` the most that r(A) + dist(A, B) + r(B) or 2 r(A) comes to: never more, and conservative too.
+    ``base``: a decomposition to estimate from."""
     began = time.time()
-    if method == "hop":
-        hops = graph.WeightedGraph(g.edges.withColumn("w", F.lit(1).cast("long")), g.nodes, g.n, g.scale)
-        d = decompose.hop_decompose(hops, tau, seed=seed)
+    if base is not None:
+        d = base
+    elif method == "hop":
+        d = decompose.hop_decompose(decompose.by_hops(g), tau, seed=seed)
     else:
-        d = {"staged": decompose.staged_decompose, "rescaled": decompose.rescaled_decompose}[method](g, tau, seed=seed, **options)
-    q = stored(quotient(g, d), "quotient")
-    kind = g.edges.schema["pw"].dataType.simpleString()
+        run = {"staged": decompose.staged_decompose, "rescaled": decompose.rescaled_decompose}[method]
+        d = run(g, tau, seed=seed, **options)
+    grown = time.time()
+    kept = Stored(quotient(g, d), "quotient")
+    q, edges = kept.df, kept.df.count()
+    fits = d.count <= MAX_NODES and edges <= MAX_EDGES
     mode = quotient_mode
     if mode == "auto":
-        mode = "exact" if d.count <= EXACT_UP_TO else "bounds" if d.count <= MAX_LOCAL else "recursive"
+        mode = "bounds" if fits else "recursive"
+    exact = quotient_mode != "auto" or d.count <= EXACT_UP_TO
+    limits = {} if exact else {"tolerance": TOLERANCE, "most_searches": MOST_SEARCHES}
+    radii = _radii(d) if bound == "per_cluster" and fits else None
+    tight = None
     if mode == "recursive" and d.count < g.n and depth < 8:
-        inner, _ = estimate_diameter(graph.build(q), max(1, tau // 4), seed=seed + 1, depth=depth + 1, quotient_mode="auto" if d.count > MAX_LOCAL else "bounds")
+        inner_graph = graph.build(q)
+        inner, _ = estimate_diameter(
+            inner_graph, max(1, tau // 4), seed=seed + 1, depth=depth + 1, quotient_mode="bounds" if fits else "auto"
+        )
+        inner_graph.release()
         phi = inner["estimate"]
     else:
-        phi = quotient_diameter(q, "bounds" if mode == "recursive" else mode, kind)
-    estimate = phi + 2 * d.radius if bound == "radius" else _cluster_bound(q, d)
+        phi, tight = quotient_diameter(q, "bounds" if mode == "recursive" else mode, radius=radii, **limits)
+    kept.drop()
+    done = time.time()
     row = {
-        "method": method, "estimate": estimate, "quotient_diameter": phi, "radius": d.radius, "clusters": d.count, "quotient_edges": q.count(), "delta_end": d.delta_end, "stages": d.stages,
-        "guesses": d.guesses, "growing_steps": d.loop.growing_steps, "rounds": d.rounds, "work": d.loop.work, "seconds": time.time() - began,
+        "method": method, "estimate": phi + 2 * d.radius if tight is None else tight, "quotient_diameter": phi,
+        "radius": d.radius, "clusters": d.count, "quotient_edges": edges, "delta_end": d.delta_end, "stages": d.stages,
+        "guesses": d.guesses, "growing_steps": d.loop.growing_steps, "rounds": d.rounds, "work": d.loop.work,
+        "seconds": done - began, "quotient_seconds": done - grown,
     }
     return row, d
 
 
-def fast_estimate(g: WeightedGraph, *, max_quotient_nodes: int = MAX_LOCAL, seed: int = 7, tau: int | None = None) -> tuple[dict, decompose.Decomposition]:
-    """The staged decomposition from the mean weight, with the largest tau whose quotient fits; tau is halved while it does not."""
+def fast_estimate(
+    g: WeightedGraph, *, max_quotient_nodes: int = MAX_NODES, seed: int = 7, tau: int | None = None, **options
+) -> tuple[dict, decompose.Decomposition]:
+    """The staged decomposition from the mean weight, with a tau that fills the allowed quotient; halved while it does not fit."""
     tau = tau or choose_tau(g.n, max_quotient_nodes=max_quotient_nodes)
     while True:
-        row, d = estimate_diameter(g, tau, seed=seed)
+        d = decompose.staged_decompose(g, tau, seed=seed)
         if d.count <= max_quotient_nodes or tau == 1:
-            return row | {"tau": tau}, d
+            row, _ = estimate_diameter(g, tau, seed=seed, base=d, **options)
+            return row | {"seconds": sum(s.seconds for s in d.loop.steps) + row["seconds"], "tau": tau}, d
         tau = max(1, tau // 2)
 
 
-def result_frame(spark, rows: list[dict], whole: bool = True) -> DataFrame:
-    """RESULT rows; figures of wall time are left out where results are compared."""
+WALL = ("seconds", "quotient_seconds")
+
+
+def result_frame(spark, rows: list[dict], whole: bool = True, wall: bool = False) -> DataFrame:
+    """Rows of figures; those of wall time only if asked for, as no two runs agree in them."""
     w = "long" if whole else "double"
-    kinds = {"estimate": w, "quotient_diameter": w, "radius": w, "delta_end": w, "seconds": "double", "ratio": "double", "lower": w, "exact": w, "upper": w}
-    names = [k for k in rows[0] if k != "decomposition"]
-    schema = ", ".join(f"{k} {kinds.get(k, 'string' if isinstance(rows[0][k], str) else 'double' if isinstance(rows[0][k], float) else 'long')}" for k in names)
-    cast = lambda k, v: float(v) if v is not None and kinds.get(k) == "double" else int(v) if kinds.get(k) == "long" and v is not None else v
-    return spark.createDataFrame([tuple(cast(k, r[k]) for k in names) for r in rows], schema)
+    amounts = ("estimate", "quotient_diameter", "radius", "delta_end", "lower", "exact", "upper")
+    names = [k for k in rows[0] if k != "decomposition" and (wall or k not in WALL)]
 
+    def kind(k: str) -> str:
+        v = rows[0][k]
+        return w if k in amounts else "string" if isinstance(v, str) else "double" if isinstance(v, float) else "long"
 
-def diameter_by_component(g: WeightedGraph) -> DataFrame:
-    """(component, diameter, nodes), exact, of graphs whose components are small: each is solved by one task."""
-    import pandas as pd
+    as_ = {"long": int, "double": float, "string": str}
+    kinds = {k: kind(k) for k in names}
+    data = [tuple(None if r[k] is None else as_[kinds[k]](r[k]) for k in names) for r in rows]
+    return spark.createDataFrame(data, ", ".join(f"{k} {t}" for k, t in kinds.items()))
 
-    parts = stored(graph.components(g.canonical(), g.nodes), "parts")
-    rows = g.canonical().join(parts, F.col("src") == F.col("node")).select("component", "src", "dst", F.col("pw").alias("w"))
-    kind = g.edges.schema["pw"].dataType.simpleString()
 
-    def solve(batches):
-        from spanweave.operators.quotient import bounded_diameter
+def _solve(small: DataFrame, kind: str) -> DataFrame:
+    """(component, diameter) of components of bounded size, given as (component, src, dst, w): each lies in one task."""
+    number = pa.float64() if kind == "double" else pa.int64()
+
+    def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            names, found = [], []
+            for comp, edges in zip(batch.column("component").to_pylist(), batch.column("edges")):
+                e = edges.values
+                found.append(bounded_diameter(LocalGraph(*(e.field(c).to_numpy() for c in ("src", "dst", "w"))))[0])
+                names.append(comp)
+            yield pa.record_batch([pa.array(names, pa.int64()), pa.array(found, number)], names=["component", "diameter"])
 
-        for pdf in batches:
-            for comp, group in pdf.groupby("component"):
-                adj: dict = {}
-                for a, b, w in zip(group["src"].tolist(), group["dst"].tolist(), group["w"].tolist()):
-                    adj.setdefault(a, []).append((b, w))
-                    adj.setdefault(b, []).append((a, w))
-                yield pd.DataFrame({"component": [comp], "diameter": [bounded_diameter(adj)]})
+    # components are dealt whole to tasks; a group each would be slow for very many small ones
+    gathered = small.groupBy("component").agg(F.collect_list(F.struct("src", "dst", "w")).alias("edges"))
+    return gathered.mapInArrow(run, f"component long, diameter {kind}")
 
-    # components are dealt whole to tasks; applyInPandas would start a group for each of very many small ones
-    gathered = rows.groupBy("component").agg(F.collect_list(F.struct("src", "dst", "w")).alias("edges"))
 
-    def unpack(batches):
-        for pdf in batches:
-            out = [(c, e["src"], e["dst"], e["w"]) for c, es in zip(pdf["component"], pdf["edges"]) for e in es]
-            yield from solve([pd.DataFrame(out, columns=["component", "src", "dst", "w"])]) if out else ()
+def diameter_by_component(g: WeightedGraph, *, small: int = SMALL_COMPONENT, tau: int | None = None, seed: int = 7) -> DataFrame:
+    """(component, diameter, nodes, exact): components of up to ``small`` edges are solved, larger ones estimated.
 
-    solved = gathered.mapInPandas(unpack, f"component long, diameter {kind}")
+    The larger ones (their number is at most edges / small) are estimated one after the other by the fast estimator, so
+    that neither stages nor thresholds of one depend on the others; ``exact`` is false and the diameter an upper bound there."""
+    kind = decompose.weight_type(g)
+    parts = stored(graph.components(g.canonical(), g.nodes), "parts")
+    rows = g.canonical().join(parts, F.col("src") == F.col("node")).select("component", "src", "dst", F.col("pw").alias("w"))
     sizes = parts.groupBy("component").agg(F.count(F.lit(1)).alias("nodes"))
-    return sizes.join(solved, "component", "left").select("component", F.coalesce("diameter", F.lit(0)).alias("diameter"), "nodes")
+    counts = stored(rows.groupBy("component").agg(F.count(F.lit(1)).alias("edges")), "counts")
+    large = counts.filter(F.col("edges") > small)
+    solved = _solve(rows.join(large, "component", "left_anti"), kind)
+    for row in large.orderBy("component").toLocalIterator():
+        own = graph.build(rows.filter(F.col("component") == row["component"]).select("src", "dst", "w"))
+        got, _ = fast_estimate(own, seed=seed, tau=tau)
+        own.release()
+        one = g.spark.createDataFrame([(row["component"], got["estimate"])], f"component long, diameter {kind}")
+        solved = solved.unionByName(one)
+    beyond = large.select(F.col("component").alias("_large"))
+    known = sizes.join(solved, "component", "left").join(beyond, F.col("component") == F.col("_large"), "left")
+    diameter = F.coalesce("diameter", F.lit(0)).alias("diameter")
+    return known.select("component", diameter, "nodes", F.col("_large").isNull().alias("exact"))
+
+
+def estimate_components(g: WeightedGraph, **options) -> dict:
+    """An upper bound of the largest distance within a component, for graphs of any number of components."""
+    per = diameter_by_component(g, **options)
+    row = per.agg(
+        F.max("diameter").alias("estimate"), F.count(F.lit(1)).alias("components"), F.sum((~F.col("exact")).cast("long")).alias("estimated")
+    ).first()
+    return {"estimate": row["estimate"] or 0, "components": row["components"], "estimated": row["estimated"] or 0}

@@ -2,71 +2,146 @@
 
 from __future__ import annotations
 
-from dataclasses import dataclass
+import uuid
+from collections.abc import Callable
+from dataclasses import dataclass, replace
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from spanweave.operators.components import connected_components
-from spanweave.session import Stored, stored
+from spanweave.session import Stored, delete_path, shared_dir, stored
 from spanweave.sources.fixtures import canonical
+from spanweave.sources.sinks import write_bucketed
+
+#: A node is a hub if it has more edges than this and than ``HUB_SHARE`` of what an edge partition holds on average.
+HUB_EDGES, HUB_SHARE = 200_000, 0.5
+#: Sums of whole weights stay below this, so that sums of distances fit 64 bits.
+MOST = 2**61
 
 
 @dataclass
 class WeightedGraph:
-    """``edges``: src, dst, w (light test and growth) and pw (weight on paths), both directions; ``nodes``: node; n nodes."""
+    """Edges src, dst, w (light test and growth) and pw (weight on paths), both directions; ``nodes``: node; n nodes.
+
+    ``near``: edges in ``partitions`` buckets of ``src``, read in place by a state with as many partitions.
+    ``hub_edges``: those out of the few nodes of ``hubs`` (hub), spread evenly; null where there is no hub."""
 
-    edges: DataFrame
+    near: DataFrame
     nodes: DataFrame
     n: int
     scale: float = 1.0
+    partitions: int | None = None
+    hubs: DataFrame | None = None
+    hub_edges: DataFrame | None = None
+    table: str | None = None
 
     @property
     def spark(self):
-        return self.edges.sparkSession
+        return self.near.sparkSession
+
+    @property
+    def edges(self) -> DataFrame:
+        return self.near if self.hub_edges is None else self.near.unionByName(self.hub_edges)
 
     def canonical(self) -> DataFrame:
         return self.edges.filter("src < dst")
 
+    def mapped(self, change: Callable[[DataFrame], DataFrame]) -> WeightedGraph:
+        """The same layout after a change of each edge part that leaves ``src`` alone."""
+        return replace(self, near=change(self.near), hub_edges=None if self.hub_edges is None else change(self.hub_edges))
+
+    def along(self, senders: DataFrame, keep: Column | str | None = None, key: str = "node") -> DataFrame:
+        """``senders`` joined with their edges (of those that ``keep``): edges stay where they are.
+
+        The buckets of ``src`` meet a state that is dealt alike, so nothing is exchanged. Hubs are few (their number is
+        bounded by ``partitions / HUB_SHARE``): their rows are broadcast to their evenly spread edges."""
+        part = lambda e: e if keep is None else e.where(keep)
+        out = senders.hint("shuffle_hash").join(part(self.near), F.expr(f"{key} = src"))
+        if self.hubs is None:
+            return out
+        few = senders.join(F.broadcast(self.hubs), F.expr(f"{key} = hub"), "left_semi")
+        far = part(self.hub_edges).join(F.broadcast(few), F.expr(f"src = {key}"))
+        return out.unionByName(far.select(*out.columns))
+
+    def release(self) -> None:
+        """Drops the bucketed table and its files."""
+        if self.table:
+            self.spark.sql(f"DROP TABLE IF EXISTS {self.table}")
+            delete_path(self.spark, f"{shared_dir(self.spark)}/{self.table}")
+
 
 def symmetrize(edges: DataFrame) -> DataFrame:
     """Both directions of every edge, least weight of duplicates, no loops."""
-    one = canonical(edges)
+    return _both(canonical(edges))
+
+
+def _both(one: DataFrame) -> DataFrame:
     return one.unionByName(one.select(F.col("dst").alias("src"), F.col("src").alias("dst"), "w"))
 
 
-def validate(edges: DataFrame, nodes: int | None = None) -> DataFrame:
+def validate(edges: DataFrame) -> DataFrame:
     """One row of counts: bad (null end, null, NaN, infinite or non-positive weight), loops, duplicates, rows; raises nothing."""
     w = F.col("w")
-    bad = F.col("src").isNull() | F.col("dst").isNull() | w.isNull() | F.isnan(w.cast("double")) | (w <= 0) | (F.abs(w.cast("double")) == float("inf"))
+    unfit = w.isNull() | F.isnan(w.cast("double")) | (w <= 0) | (F.abs(w.cast("double")) == float("inf"))
+    bad = F.col("src").isNull() | F.col("dst").isNull() | unfit
+    loop = F.col("src") == F.col("dst")
     flagged = edges.groupBy(F.least("src", "dst").alias("a"), F.greatest("src", "dst").alias("b")).agg(
-        F.count(F.lit(1)).alias("n"), F.sum(bad.cast("long")).alias("bad"), F.sum((F.col("src") == F.col("dst")).cast("long")).alias("loops"), F.max(w.cast("double")).alias("most")
-    )
+        F.count(F.lit(1)).alias("n"), F.sum(bad.cast("long")).alias("bad"), F.sum(loop.cast("long")).alias("loops"),
+        F.max(w.cast("double")).alias("most"),
+    )
+    total = lambda c: F.coalesce(F.sum(c), F.lit(0))
     return flagged.agg(
-        F.coalesce(F.sum("n"), F.lit(0)).alias("rows"), F.coalesce(F.sum("bad"), F.lit(0)).alias("bad"), F.coalesce(F.sum("loops"), F.lit(0)).alias("loops"),
-        F.coalesce(F.sum(F.col("n") - 1), F.lit(0)).alias("duplicates"), F.max("most").alias("w_max"),
+        total("n").alias("rows"), total("bad").alias("bad"), total("loops").alias("loops"),
+        total(F.col("n") - 1).alias("duplicates"), F.max("most").alias("w_max"),
     )
 
 
-def build(edges: DataFrame, nodes: DataFrame | None = None, *, scale: float = 1.0, partitions: int | None = None, growth_weight: str = "w") -> WeightedGraph:
-    """Checks the weights, drops loops, keeps the least of parallel edges and deals both directions by ``src`` once.
+def build(
+    edges: DataFrame, nodes: DataFrame | None = None, *, scale: float = 1.0, partitions: int | None = None,
+    growth_weight: str = "w", hub_edges: int | None = None,
+) -> WeightedGraph:
+    """Checks the weights, drops loops, keeps the least of parallel edges and writes both directions in buckets of ``src`` once.
 
-    ``growth_weight``: ``w``, or ``unit`` to grow by hops while paths keep their weights."""
+    ``growth_weight``: ``w``, or ``unit`` to grow by hops while paths keep their weights. ``hub_edges``: from how many
+    edges on a node is a hub (default: ``HUB_EDGES`` and ``HUB_SHARE`` of an average partition)."""
     spark = edges.sparkSession
     checked = validate(edges).first()
     if checked["bad"]:
         raise ValueError(f"{checked['bad']} of {checked['rows']} edges have a null end or a weight that is not positive and finite")
+    kind = edges.schema["w"].dataType.typeName()
+    if kind not in ("byte", "short", "integer", "long", "float", "double"):
+        raise ValueError(f"weights must be whole or double, not {kind}")
     p = partitions or int(spark.conf.get("spark.sql.shuffle.partitions"))
-    both = symmetrize(edges).select("src", "dst", (F.lit(1).cast("long") if growth_weight == "unit" else F.col("w")).alias("w"), F.col("w").alias("pw"))
-    kept = stored(both.repartition(p, "src"), "edges")
-    node = kept.select(F.col("src").alias("node"))
+    w = F.col("w").cast("double" if kind in ("float", "double") else "long")
+    one = stored(canonical(edges.select("src", "dst", w.alias("w"))), "edges")
+    grow = F.lit(1).cast("long") if growth_weight == "unit" else F.col("w")
+    both = _both(one).select("src", "dst", grow.alias("w"), F.col("w").alias("pw"))
+    most = hub_edges if hub_edges is not None else max(HUB_EDGES, int(HUB_SHARE * 2 * checked["rows"] / p))
+    hubs = far = None
+    found = degrees(both).filter(F.col("degree") > most).select(F.col("node").alias("hub"))
+    if checked["rows"] > most:
+        hubs = stored(found, "hubs")
+        if hubs.isEmpty():
+            hubs = None
+        else:
+            out = F.col("src") == F.col("hub")
+            far = stored(both.join(F.broadcast(hubs), out, "left_semi").repartition(p, "dst"), "hub_edges")
+            both = both.join(F.broadcast(hubs), out, "left_anti")
+    table = f"edges_{uuid.uuid4().hex}"
+    near = write_bucketed(both, table, p, f"{shared_dir(spark)}/{table}")
+    node = one.select(F.col("src").alias("node")).union(one.select("dst"))
     node = (node if nodes is None else node.unionByName(nodes.select("node"))).distinct()
     held = stored(node, "nodes")
     n = held.count()
-    whole = not str(kept.schema["w"].dataType).startswith("Double")
-    if whole and n * float(checked["w_max"] or 0) >= 2**63:
-        raise ValueError("sums of weights may overflow 64 bits: use decimal weights or a coarser scale")
-    return WeightedGraph(kept, held, n, scale)
+    if kind not in ("float", "double") and n * float(checked["w_max"] or 0) >= MOST:
+        raise ValueError("sums of weights may overflow 64 bits: use double weights or a coarser scale")
+    return WeightedGraph(near, held, n, scale, p, hubs, far, table)
+
+
+def plain(edges: DataFrame, nodes: DataFrame, n: int) -> WeightedGraph:
+    """Edges (src, dst, w, pw) as they are, without a layout."""
+    return WeightedGraph(edges, nodes, n, partitions=int(edges.sparkSession.conf.get("spark.sql.shuffle.partitions")))
 
 
 def light(edges: DataFrame, delta) -> DataFrame:
@@ -83,12 +158,15 @@ def weight_between(edges: DataFrame, low, high) -> DataFrame:
 
 def encode_ids(values: DataFrame, column: str) -> DataFrame:
     """(column, id): dense ids in sorted order, by range partitions and their sizes; the values must be distinct."""
-    kept = stored(values.select(column).repartitionByRange(column).sortWithinPartitions(column).withColumn("at", F.monotonically_increasing_id()), "ids")
+    ordered = values.select(column).repartitionByRange(column).sortWithinPartitions(column)
+    kept = stored(ordered.withColumn("at", F.monotonically_increasing_id()), "ids")
     part = F.shiftright("at", 33)
     sizes = kept.groupBy(part.alias("part")).agg(F.count(F.lit(1)).alias("n"))
     # a row per range: the window's single task is bounded by the number of partitions
-    before = sizes.select("part", F.coalesce(F.sum("n").over(Window.orderBy("part").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("before"))
-    return kept.withColumn("part", part).join(F.broadcast(before), "part").select(column, (F.col("before") + F.col("at").bitwiseAND((1 << 33) - 1)).alias("id"))
+    earlier = F.sum("n").over(Window.orderBy("part").rowsBetween(Window.unboundedPreceding, -1))
+    before = sizes.select("part", F.coalesce(earlier, F.lit(0)).alias("before"))
+    placed = kept.withColumn("part", part).join(F.broadcast(before), "part")
+    return placed.select(column, (F.col("before") + F.col("at").bitwiseAND((1 << 33) - 1)).alias("id"))
 
 
 def degrees(edges_both: DataFrame) -> DataFrame:
@@ -101,7 +179,9 @@ def degree_histogram(edges_both: DataFrame) -> DataFrame:
 
 def degree_profile(edges_both: DataFrame) -> DataFrame:
     d = F.col("degree").cast("double")
-    return degrees(edges_both).agg(F.avg(d).alias("mean"), F.stddev_pop(d).alias("deviation"), F.max("degree").alias("most"), F.skewness(d).alias("skewness"))
+    return degrees(edges_both).agg(
+        F.avg(d).alias("mean"), F.stddev_pop(d).alias("deviation"), F.max("degree").alias("most"), F.skewness(d).alias("skewness")
+    )
 
 
 def subgraph(edges: DataFrame, keep: DataFrame) -> DataFrame:
@@ -130,17 +210,31 @@ def two_hop(edges: DataFrame, delta) -> DataFrame:
     """Least two-edge ways of weight up to delta between different nodes."""
     one = edges.select("src", F.col("dst").alias("mid"), F.col("w").alias("w1"))
     two = edges.select(F.col("src").alias("mid"), "dst", F.col("w").alias("w2"))
-    return one.join(two, "mid").filter((F.col("src") != F.col("dst")) & (F.col("w1") + F.col("w2") <= delta)).groupBy("src", "dst").agg(F.min(F.col("w1") + F.col("w2")).alias("w"))
+    way = F.col("w1") + F.col("w2")
+    ways = one.join(two, "mid").filter((F.col("src") != F.col("dst")) & (way <= delta))
+    return ways.groupBy("src", "dst").agg(F.min(way).alias("w"))
+
+
+def two_hop_rows(edges: DataFrame) -> int:
+    """How many two-edge ways there are, without listing them: the sum over nodes of arrivals times departures."""
+    ins = edges.groupBy(F.col("dst").alias("mid")).agg(F.count(F.lit(1)).alias("i"))
+    outs = edges.groupBy(F.col("src").alias("mid")).agg(F.count(F.lit(1)).alias("o"))
+    return ins.join(outs, "mid").agg(F.sum(F.col("i") * F.col("o")).alias("n")).first()["n"] or 0
 
 
 def add_shortcuts(edges: DataFrame, delta, *, max_rows: int, rounds: int = 32) -> DataFrame:
-    """Edges plus one for every pair at distance up to delta; raises beyond ``max_rows`` (their number can be quadratic)."""
+    """Edges plus one for every pair at distance up to delta; their number can be quadratic.
+
+    Raises before anything is joined if a round would list more than ``max_rows`` two-edge ways."""
     now = Stored(edges.select("src", "dst", "w"), "shortcuts")
     for _ in range(rounds):
-        grown = Stored(now.df.unionByName(two_hop(light(now.df, delta), delta)).groupBy("src", "dst").agg(F.min("w").alias("w")), "shortcuts")
+        ways = two_hop_rows(light(now.df, delta))
+        if ways > max_rows:
+            now.drop()
+            raise ValueError(f"{ways} two-edge ways, more than {max_rows}")
+        both = now.df.unionByName(two_hop(light(now.df, delta), delta))
+        grown = Stored(both.groupBy("src", "dst").agg(F.min("w").alias("w")), "shortcuts")
         before, after = (x.df.agg(F.count(F.lit(1)).alias("n"), F.sum("w").alias("s")).first() for x in (now, grown))
-        if after["n"] > max_rows:
-            raise ValueError(f"{after['n']} edges with shortcuts, more than {max_rows}")
         now.drop()
         now = grown
         if before == after:
@@ -150,5 +244,7 @@ def add_shortcuts(edges: DataFrame, delta, *, max_rows: int, rounds: int = 32) -
 
 def summary(g: WeightedGraph) -> DataFrame:
     """n, m, least, mean and largest weight, largest degree."""
-    one = g.canonical().agg(F.count(F.lit(1)).alias("m"), F.min("pw").alias("w_min"), F.avg("pw").alias("w_mean"), F.max("pw").alias("w_max"))
+    one = g.canonical().agg(
+        F.count(F.lit(1)).alias("m"), F.min("pw").alias("w_min"), F.avg("pw").alias("w_mean"), F.max("pw").alias("w_max")
+    )
     return one.crossJoin(degrees(g.edges).agg(F.max("degree").alias("degree_max"))).withColumn("n", F.lit(g.n))

@@ -1,12 +1,12 @@
-"""The quotient graph of a clustering and its diameter."""
+"""The quotient graph of a clustering, graphs small enough for one process, and their diameters."""
 
 from __future__ import annotations
 
-import heapq
-from collections.abc import Iterator
+from collections.abc import Callable, Iterable, Iterator
 
-import pandas as pd
-from pyspark.sql import DataFrame
+import numpy as np
+import pyarrow as pa
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from spanweave.operators.decompose import Decomposition
@@ -14,101 +14,267 @@ from spanweave.operators.graph import WeightedGraph
 
 #: Collected to the driver only below these counts, which the caller's tau is chosen to meet.
 MAX_NODES, MAX_EDGES = 100_000, 5_000_000
+#: Searches that one call holds together: cells of its distance table.
+CELLS = 1 << 19
+#: Distances that one wave of parallel searches brings to the driver.
+WAVE_CELLS = 1 << 23
+#: Up to so many directed edges the searches of a diameter run on the driver; beyond, in parallel tasks.
+HERE = 60_000
+
+Search = Callable[[list[np.ndarray]], np.ndarray]
 
 
 def quotient(g: WeightedGraph, d: Decomposition) -> DataFrame:
     """src < dst, w: for clusters with an edge between them, the least weight of edge and both ends' paths."""
-    a = d.clusters.select(F.col("node").alias("_a"), F.col("center").alias("ca"), F.col("path_weight").alias("pa"))
+    a = d.clusters.select("node", F.col("center").alias("ca"), F.col("path_weight").alias("pa"))
     b = d.clusters.select(F.col("node").alias("_b"), F.col("center").alias("cb"), F.col("path_weight").alias("pb"))
-    joined = g.canonical().join(a, F.col("src") == F.col("_a")).join(b, F.col("dst") == F.col("_b")).filter("ca <> cb")
-    return joined.groupBy(F.least("ca", "cb").alias("src"), F.greatest("ca", "cb").alias("dst")).agg(F.min(F.col("pw") + F.col("pa") + F.col("pb")).alias("w"))
+    joined = g.along(a, F.col("src") < F.col("dst")).join(b, F.col("dst") == F.col("_b")).filter("ca <> cb")
+    ends = [F.least("ca", "cb").alias("src"), F.greatest("ca", "cb").alias("dst")]
+    return joined.groupBy(*ends).agg(F.min(F.col("pw") + F.col("pa") + F.col("pb")).alias("w"))
+
+
+class LocalGraph:
+    """An undirected graph in arrays: the neighbours of node i are ``to[start[i]:start[i + 1]]``."""
+
+    def __init__(self, src: np.ndarray, dst: np.ndarray, w: np.ndarray, nodes: np.ndarray | None = None):
+        self.ids = np.unique(np.concatenate([src, dst] + ([] if nodes is None else [nodes])).astype(np.int64))
+        a, b = np.searchsorted(self.ids, src), np.searchsorted(self.ids, dst)
+        here, self.to, self.w = np.concatenate([a, b]), np.concatenate([b, a]), np.concatenate([w, w])
+        order = np.argsort(here, kind="stable")
+        self.to, self.w = self.to[order], self.w[order]
+        self.start = np.searchsorted(here[order], np.arange(len(self.ids) + 1))
+        self.far = np.inf if self.w.dtype.kind == "f" else np.int64(2**62)
+        # searches advance by this much at a time, so that few nodes are settled twice
+        self.width = 4 * self.w.mean() if len(self.w) else 1
+
+    def __len__(self) -> int:
+        return len(self.ids)
+
+    def place(self, ids) -> np.ndarray:
+        return np.searchsorted(self.ids, np.asarray(ids))
+
+    def search(self, sets: list[np.ndarray], hops: bool = False) -> np.ndarray:
+        """A row of distances per set of sources (places); ``far`` where none of them leads."""
+        n = len(self)
+        weight = np.ones(len(self.w), self.w.dtype) if hops else self.w
+        dist = np.full(len(sets) * n, self.far, self.w.dtype)
+        wait = np.concatenate([k * n + np.asarray(s) for k, s in enumerate(sets)])
+        dist[wait] = 0
+        while len(wait):
+            d = dist[wait]
+            near = d <= d.min() + self.width
+            now, later = wait[near], wait[~near]
+            node = now % n
+            degree = self.start[node + 1] - self.start[node]
+            at = np.repeat(self.start[node] - (np.cumsum(degree) - degree), degree) + np.arange(degree.sum())
+            goal = np.repeat(now - node, degree) + self.to[at]
+            found = np.repeat(d[near], degree) + weight[at]
+            better = found < dist[goal]
+            goal, found = goal[better], found[better]
+            np.minimum.at(dist, goal, found)
+            wait = np.unique(np.concatenate([later, goal]))
+        return dist.reshape(len(sets), n)
+
+    def batches(self, places: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+        """(sources, their distances), a bounded number together."""
+        few = max(1, CELLS // max(1, len(self)))
+        for k in range(0, len(places), few):
+            some = places[k : k + few]
+            yield some, self.search([np.array([s]) for s in some])
 
+    def components(self) -> np.ndarray:
+        """A number 0, 1, ... per node, equal for connected ones."""
+        label = np.arange(len(self))
+        here = np.repeat(label, np.diff(self.start))
+        while len(here):
+            new = label.copy()
+            np.minimum.at(new, here, label[self.to])
+            while not np.array_equal(new, new[new]):
+                new = new[new]
+            if np.array_equal(new, label):
+                break
+            label = new
+        return np.unique(label, return_inverse=True)[1]
 
-Adjacency = dict[int, list[tuple[int, float]]]
+    def eccentricities(self) -> np.ndarray:
+        """The largest finite distance of each node."""
+        out = np.zeros(len(self), self.w.dtype)
+        for some, dist in self.batches(np.arange(len(self))):
+            out[some] = np.where(dist < self.far, dist, 0).max(1)
+        return out
 
 
-def adjacency(edges: DataFrame, max_nodes: int = MAX_NODES, max_edges: int = MAX_EDGES) -> Adjacency:
-    """Neighbour lists on the driver; raises if the graph is larger than allowed."""
-    rows = edges.select("src", "dst", "w").limit(max_edges + 1).collect()
-    if len(rows) > max_edges:
+def local_graph(edges: DataFrame, max_nodes: int = MAX_NODES, max_edges: int = MAX_EDGES) -> LocalGraph:
+    """Edges src, dst, w on the driver; raises if there are more than allowed, before they are all fetched."""
+    rows = edges.select("src", "dst", "w").limit(max_edges + 1).toArrow()
+    if rows.num_rows > max_edges:
         raise ValueError(f"more than {max_edges} edges: choose a smaller tau or the recursive mode")
-    out: Adjacency = {}
-    for src, dst, w in rows:
-        out.setdefault(src, []).append((dst, w))
-        out.setdefault(dst, []).append((src, w))
-    if len(out) > max_nodes:
-        raise ValueError(f"{len(out)} nodes, more than {max_nodes}: choose a smaller tau or the recursive mode")
-    return out
-
-
-def local_sssp(adj: Adjacency, source: int) -> dict[int, float]:
-    """Distances from one node by a heap search."""
-    dist, heap, done = {source: 0}, [(0, source)], set()
-    while heap:
-        d, u = heapq.heappop(heap)
-        if u in done:
-            continue
-        done.add(u)
-        for v, w in adj.get(u, ()):
-            if v not in dist or d + w < dist[v]:
-                dist[v] = d + w
-                heapq.heappush(heap, (d + w, v))
-    return dist
+    g = LocalGraph(*(rows.column(c).to_numpy() for c in ("src", "dst", "w")))
+    if len(g) > max_nodes:
+        raise ValueError(f"{len(g)} nodes, more than {max_nodes}: choose a smaller tau or the recursive mode")
+    return g
 
 
 def eccentricities(edges: DataFrame, weight_type: str = "long", **limits) -> DataFrame:
-    """(node, ecc) of every node with an edge: the graph is broadcast once its size is checked, one search per source in parallel tasks."""
+    """(node, ecc) of every node with an edge: the graph is broadcast once its size is checked, searches run in parallel tasks."""
     spark = edges.sparkSession
-    adj = adjacency(edges, **limits)
-    shared = spark.sparkContext.broadcast(adj)
-    tasks = min(max(1, len(adj)), 4 * spark.sparkContext.defaultParallelism)
+    g = local_graph(edges, **limits)
+    shared = spark.sparkContext.broadcast(g)
+    tasks = min(max(1, len(g)), 4 * spark.sparkContext.defaultParallelism)
 
-    def search(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        local = shared.value
+        kind = pa.float64() if weight_type == "double" else pa.int64()
         for batch in batches:
-            yield pd.DataFrame({"node": batch["node"], "ecc": [max(local_sssp(shared.value, int(u)).values()) for u in batch["node"]]})
+            for some, dist in local.batches(batch.column(0).to_numpy()):
+                ecc = np.where(dist < local.far, dist, 0).max(1)
+                yield pa.record_batch([pa.array(local.ids[some]), pa.array(ecc, kind)], names=["node", "ecc"])
+
+    return spark.range(len(g)).repartition(tasks).mapInArrow(run, f"node long, ecc {weight_type}")
+
+
+def searches(spark: SparkSession, g: LocalGraph) -> tuple[Search, int]:
+    """How to run several searches and how many at a time: here for a small graph, else in parallel tasks over a broadcast."""
+    if len(g.to) <= HERE:
+        return g.search, 8
+    shared, ways = spark.sparkContext.broadcast(g), spark.sparkContext.defaultParallelism
+
+    def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for k, s in zip(batch.column("k").to_pylist(), batch.column("s").to_pylist()):
+                row = shared.value.search([np.frombuffer(s, np.int64)])[0]
+                yield pa.record_batch([pa.array([k], pa.int32()), pa.array([row.tobytes()], pa.binary())], names=["k", "d"])
+
+    def search(sets: list[np.ndarray]) -> np.ndarray:
+        rows = [(k, np.asarray(s, np.int64).tobytes()) for k, s in enumerate(sets)]
+        tasks = spark.createDataFrame(rows, "k int, s binary").repartition(min(len(sets), ways), "k")
+        # a wave's distances: at most WAVE_CELLS numbers
+        got = tasks.mapInArrow(run, "k int, d binary").toArrow()
+        out = np.empty((len(sets), len(g)), g.w.dtype)
+        for k, d in zip(got.column("k").to_pylist(), got.column("d").to_pylist()):
+            out[k] = np.frombuffer(d, g.w.dtype)
+        return out
+
+    return search, int(max(ways, min(16 * ways, WAVE_CELLS // max(1, len(g)))))
 
-    sources = spark.createDataFrame([(int(u),) for u in sorted(adj)], "node long").repartition(tasks)
-    return sources.mapInPandas(search, f"node long, ecc {weight_type}")
 
+def _rank(groups: np.ndarray) -> np.ndarray:
+    """0, 1, ... within each run of equal numbers."""
+    at = np.arange(len(groups))
+    return at - np.maximum.accumulate(np.where(np.append(True, np.diff(groups) != 0), at, 0))
 
-def bounded_diameter(adj: Adjacency) -> float:
-    """The exact diameter, by searches from nodes whose eccentricity bounds leave it open."""
+
+class Bounds:
+    """What searches tell about eccentricities, where each node has a leaf ``extra`` far out (0: the node itself)."""
+
+    def __init__(self, g: LocalGraph, part: np.ndarray, extra: np.ndarray | None):
+        self.part, self.parts = part, int(part.max()) + 1
+        self.extra = np.zeros(len(g), g.w.dtype) if extra is None else np.asarray(extra).astype(g.w.dtype)
+        self.low, self.high = np.zeros(len(g), g.w.dtype), np.full(len(g), g.far)
+        self.best = g.w.dtype.type(0)
+
+    def learn(self, sources: np.ndarray, dist: np.ndarray) -> None:
+        """One search, from at most one source per component: any leaf is within its way to the source and that one's reach."""
+        of = np.full(self.parts, -1)
+        of[self.part[sources]] = sources
+        hit = np.flatnonzero(of[self.part] >= 0)
+        d, out, part = dist[hit], self.extra[hit], self.part[hit]
+        most = np.zeros(self.parts, dist.dtype)
+        np.maximum.at(most, part, d + out)
+        self.low[hit] = np.maximum(self.low[hit], np.maximum(d + out, most[part] - d))
+        self.high[hit] = np.minimum(self.high[hit], d + out + most[part])
+        # from the source's own leaf to all others: exact
+        other = np.where(hit == of[part], 0, d + out)
+        reach = np.zeros(self.parts, dist.dtype)
+        np.maximum.at(reach, part, other)
+        exact = np.where(reach[self.part[sources]] > 0, reach[self.part[sources]] + self.extra[sources], 0)
+        self.high[sources] = np.minimum(self.high[sources], exact)
+        self.best = max(self.best, exact.max())
+
+    @property
+    def above(self):
+        return max(self.best, self.high.max()).item()
+
+
+def bounded_diameter(
+    g: LocalGraph, *, radius: np.ndarray | None = None, tolerance: float = 0.0, most_searches: int | None = None,
+    search: Search | None = None, wave: int = 8,
+) -> tuple:
+    """(below, above, plain) of the diameter over all components: lower and upper bound, and the upper bound without radii.
+
+    Both are equal unless ``tolerance`` (a share) or ``most_searches`` ends the work before. Searches start at nodes whose
+    eccentricity the triangle inequality leaves open, a wave of them at a time, those of one search in different
+    components. ``radius``: the way between u and v counts radius(u) + radius(v) more."""
+    n = len(g)
+    if not n:
+        return 0, 0, 0
+    search = search or g.search
+    part = g.components()
+    main, plain = Bounds(g, part, radius), Bounds(g, part, None)
+    first = np.lexsort((-np.diff(g.start), part))
+    sets, done = [first[_rank(part[first]) == 0]], 0
+    while True:
+        for sources, dist in zip(sets, search(sets)):
+            main.learn(sources, dist)
+            if radius is not None:
+                plain.learn(sources, dist)
+        done += len(sets)
+        open_ = np.flatnonzero(main.high > (main.best * (1 + tolerance) if tolerance else main.best))
+        if not len(open_) or (most_searches and done >= most_searches):
+            return main.best.item(), main.above, (main if radius is None else plain).above
+        # the nodes of the largest upper bounds close themselves, central ones lower those of many
+        far, mid = (open_[np.lexsort((key[open_], part[open_]))] for key in (-main.high, main.low))
+        ranks = _rank(part[far])  # the same for both orders: equal counts per component
+        few = min(wave, 8) if done < 4 * wave else wave
+        sets = [order[ranks == k] for k in range(max(1, few // 2)) for order in (far, mid) if (ranks == k).any()]
+
+
+def sweep_bound(g: LocalGraph, sweeps: int = 4, radius: np.ndarray | None = None):
+    """An upper bound: for each component twice the least eccentricity that a few farthest-node searches find."""
+    n, part = len(g), g.components()
+    if not n:
+        return 0
+    extra = np.zeros(n, g.w.dtype) if radius is None else radius.astype(g.w.dtype)
+    parts = int(part.max()) + 1
+    bound = np.full(parts, g.far)
+    sources = np.unique(part, return_index=True)[1]
+    for _ in range(sweeps):
+        d = g.search([sources])[0] + extra
+        far = np.lexsort((np.arange(n), -d, part))
+        sources = far[_rank(part[far]) == 0]
+        bound = np.minimum(bound, 2 * d[sources])
+    return bound.max().item()
+
+
+def local_sweeps(g: LocalGraph, source: int = 0, sweeps: int = 4):
+    """The largest eccentricity that farthest-node searches from one place find: a lower bound of its component's diameter."""
     best = 0
-    low, high = dict.fromkeys(adj, 0), dict.fromkeys(adj, float("inf"))
-    left, toggle = set(adj), False
-    while left:
-        pick = max(left, key=lambda u: (high[u], -u)) if toggle else min(left, key=lambda u: (low[u], u))
-        toggle = not toggle
-        dist = local_sssp(adj, pick)
-        ecc = max(dist.values())
-        best = max(best, ecc)
-        left.discard(pick)
-        for u, d in dist.items():
-            low[u], high[u] = max(low[u], d, ecc - d), min(high[u], ecc + d)
-        left = {u for u in left if high[u] > best and low[u] < high[u] or high[u] == float("inf")}
+    for _ in range(sweeps):
+        d = g.search([np.array([source])])[0]
+        d = np.where(d < g.far, d, -1)
+        source = int(d.argmax())
+        best = max(best, d[source].item())
     return best
 
 
-def sweep_bound(adj: Adjacency, sweeps: int = 4) -> float:
-    """An upper bound: for each component twice the least eccentricity that a few farthest-node searches find."""
-    seen: set[int] = set()
-    worst = 0
-    for start in sorted(adj):
-        if start in seen:
-            continue
-        bound, source = float("inf"), start
-        for _ in range(sweeps):
-            dist = local_sssp(adj, source)
-            seen.update(dist)
-            source = max(dist, key=lambda u: (dist[u], -u))
-            bound = min(bound, 2 * dist[source])
-        worst = max(worst, bound)
-    return worst
-
-
-def quotient_diameter(edges: DataFrame, mode: str = "exact", weight_type: str = "long"):
-    """exact (one search per node, in parallel), bounds (exact, fewer searches, one process) or sweep2 (an upper bound)."""
+def quotient_diameter(
+    edges: DataFrame, mode: str = "bounds", *, tolerance: float = 0.0, most_searches: int | None = None, radius: dict | None = None
+) -> tuple:
+    """(the diameter, the same with clusters' radii at both ends) of a quotient of checked size; the second null without radii.
+
+    ``exact``: one search per node in parallel tasks; ``bounds``: few searches, exact unless ``tolerance`` or
+    ``most_searches`` ends them (then an upper bound); ``sweep2``: twice an eccentricity."""
+    g = local_graph(edges)
+    spark = edges.sparkSession
+    at = None if radius is None else np.array([radius.get(i, 0) for i in g.ids.tolist()], g.w.dtype if len(g) else np.int64)
+    alone = 0 if radius is None else max([2 * r for r in radius.values()], default=0)
+    if mode == "sweep2":
+        return sweep_bound(g), None if radius is None else max(alone, sweep_bound(g, radius=at))
+    search, wave = searches(spark, g)
+    limits = {"tolerance": tolerance, "most_searches": most_searches, "search": search, "wave": wave}
     if mode == "exact":
-        return eccentricities(edges, weight_type).agg(F.max("ecc").alias("d")).first()["d"] or 0
-    adj = adjacency(edges)
-    return bounded_diameter(adj) if mode == "bounds" else sweep_bound(adj)
+        kind = "double" if g.w.dtype.kind == "f" else "long"
+        phi = eccentricities(edges, kind).agg(F.max("ecc").alias("d")).first()["d"] or 0
+        return phi, None if radius is None else max(alone, bounded_diameter(g, radius=at, **limits)[1])
+    _, above, plain = bounded_diameter(g, radius=at, **limits)
+    return plain, None if radius is None else max(alone, above)

@@ -9,7 +9,9 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from spanweave.functions.hashing import h32, joined
+from spanweave.operators.decompose import weight_type
 from spanweave.operators.graph import WeightedGraph
+from spanweave.operators.growth import number
 from spanweave.plans.loop import Superstep, fixed_plan
 
 
@@ -31,51 +33,62 @@ def pick_source(g: WeightedGraph, seed: int = 7) -> int:
     return g.nodes.orderBy(h32(joined("source", seed, F.col("node"))), "node").first()["node"]
 
 
-def _relax(state: DataFrame, senders: DataFrame, edges: DataFrame, mark) -> DataFrame:
-    """One synchronous relaxation; ``mark``: pending flags of improved nodes."""
-    sent = senders.select(F.col("node").alias("_from"), "dist", "hops").join(edges, F.col("_from") == F.col("src"))
-    best = sent.groupBy("dst").agg(F.min(F.struct((F.col("dist") + F.col("pw")).alias("d"), (F.col("hops") + 1).alias("h"), F.col("src").alias("p"))).alias("_offer"), F.count(F.lit(1)).alias("_n"))
-    joined_ = state.join(best, F.col("node") == F.col("dst"), "left").drop("dst")
-    better = F.coalesce(F.col("_offer").isNotNull() & (F.col("dist").isNull() | (F.col("_offer.d") < F.col("dist"))), F.lit(False))
-    joined_ = joined_.withColumn("_accepted", better)
-    take = lambda new, old: F.when(F.col("_accepted"), F.col(f"_offer.{new}")).otherwise(F.col(old)).alias(old)
-    return joined_.select("node", take("d", "dist"), take("p", "parent"), take("h", "hops"), *mark, "_offer", "_n", "_accepted")
+def _relax(state: DataFrame, mine: str, g: WeightedGraph, keep: str | None, marks: dict[str, str]) -> DataFrame:
+    """One synchronous relaxation from the nodes that ``mine`` names, along the edges that ``keep``.
+
+    ``marks``: the pending flags afterwards, over the old ones, ``_accepted`` and ``_mine``. Expressions are text, as each
+    Column call costs a trip to the JVM in every round."""
+    sent = g.along(state.where(mine).select("node", "dist", "hops"), keep)
+    offer = F.expr("min(struct(dist + pw as d, hops + 1 as h, src as p)) as _offer")
+    best = sent.groupBy("dst").agg(offer, F.expr("count(1) as _n"))
+    both = state.join(best.hint("shuffle_hash"), F.expr("node = dst"), "left")
+    better = "coalesce(_offer is not null and (dist is null or _offer.d < dist), false) as _accepted"
+    both = both.selectExpr("*", f"coalesce({mine}, false) as _mine", better)
+    take = lambda new, old: f"if(_accepted, _offer.{new}, {old}) as {old}"
+    flags = [f"{flag} as {name}" for name, flag in marks.items()]
+    return both.selectExpr("node", take("d", "dist"), take("p", "parent"), take("h", "hops"), *flags, *WORKING)
+
+
+WORKING = ("_offer", "_n", "_accepted")
 
 
 def bucketed_sssp(g: WeightedGraph, source: int, delta=None) -> Paths:
-    """Distances by buckets of width ``delta``: light edges until the bucket is stable, then heavy ones once. ``delta=None``: one bucket."""
+    """Distances by buckets of width ``delta``: light edges until the bucket is stable, then heavy ones once.
+
+    ``delta=None``: one bucket."""
     began, loop = time.time(), Superstep(g.spark)
-    kind = g.edges.schema["pw"].dataType.simpleString()
+    kind = weight_type(g)
     zero = F.lit(0).cast(kind)
     start = F.col("node") == source
     state = g.nodes.select(
-        "node", F.when(start, zero).alias("dist"), F.lit(None).cast("long").alias("parent"), F.when(start, F.lit(0)).alias("hops"), start.alias("light"), start.alias("heavy")
-    )
-    light, heavy = (g.edges, None) if delta is None else (g.edges.filter(F.col("pw") <= F.lit(delta)), g.edges.filter(F.col("pw") > F.lit(delta)))
-    bucket = (lambda c: F.lit(0)) if delta is None else (lambda c: F.floor(c / F.lit(delta)).cast("long"))
+        "node", F.when(start, zero).alias("dist"), F.lit(None).cast("long").alias("parent"),
+        F.when(start, F.lit(0)).alias("hops"), start.alias("light"), start.alias("heavy"),
+    )
+    width = None if delta is None else number(delta)
+    light, heavy = (None, None) if delta is None else (f"pw <= {width}", f"pw > {width}")
+    bucket = "0L" if delta is None else f"cast(floor(dist / {width}) as long)"
     now = 0
     waits = {
-        "messages": F.sum("_n"), "combined": F.count("_offer"), "updates": F.sum(F.col("_accepted").cast("long")), "uncovered": F.sum(F.col("dist").isNull().cast("long")),
-        "next_light": F.min(F.when(F.col("light"), bucket(F.col("dist")))), "next_any": F.min(F.when(F.col("light") | F.col("heavy"), bucket(F.col("dist")))),
+        "messages": "sum(_n)", "combined": "count(_offer)", "updates": "count_if(_accepted)", "uncovered": "count_if(dist is null)",
+        "next_light": f"min(if(light, {bucket}, null))", "next_any": f"min(if(light or heavy, {bucket}, null))",
     }
-    with fixed_plan(g.spark):
-        state = state.repartition(int(g.spark.conf.get("spark.sql.shuffle.partitions")), "node").checkpoint(eager=True)
+    waits = {k: F.expr(c) for k, c in waits.items()}
+    # an improved node waits for both kinds of edges; who sent its light edges no longer waits for those
+    after_light = {"light": "_accepted or (light and not _mine)", "heavy": "_accepted or heavy" if heavy else "false"}
+    after_heavy = {"light": "_accepted or light", "heavy": "_accepted or (heavy and not _mine)"}
+    with fixed_plan(g.spark, g.partitions):
+        state = loop.start(state, g.partitions)
         while True:
+            here = f"dist is not null and {bucket} = {now}"
             # light phases while something of this bucket waits
-            here = F.coalesce(bucket(F.col("dist")) == now, F.lit(False))
-            mine = F.col("light") & here
-            # an improved node waits for both kinds of edges; who sent its light edges no longer waits for those
-            plan = _relax(state.withColumn("_mine", mine), state.filter(mine), light, ["light", "heavy", "_mine"])
-            plan = plan.withColumns({"light": F.col("_accepted") | (F.col("light") & ~F.col("_mine")), "heavy": (F.col("_accepted") | F.col("heavy")) & F.lit(heavy is not None)})
-            state, got, seconds = loop.run(plan, waits, ("_offer", "_n", "_accepted", "_mine"))
+            plan = _relax(state, f"light and {here}", g, light, after_light)
+            state, got, seconds = loop.run(plan, waits, WORKING)
             loop.note("light", now, 0, delta or 0, got, seconds)
             if got["next_light"] == now:
                 continue
             if heavy is not None:
-                mine = F.col("heavy") & F.coalesce(bucket(F.col("dist")) == now, F.lit(False))
-                plan = _relax(state.withColumn("_mine", mine), state.filter(mine), heavy, ["light", "heavy", "_mine"])
-                plan = plan.withColumns({"light": F.col("_accepted") | F.col("light"), "heavy": F.col("_accepted") | (F.col("heavy") & ~F.col("_mine"))})
-                state, got, seconds = loop.run(plan, waits, ("_offer", "_n", "_accepted", "_mine"))
+                plan = _relax(state, f"heavy and {here}", g, heavy, after_heavy)
+                state, got, seconds = loop.run(plan, waits, WORKING)
                 loop.note("heavy", now, 0, delta, got, seconds)
             if got["next_any"] is None:
                 break
@@ -88,18 +101,21 @@ def bellman_ford(g: WeightedGraph, source: int) -> Paths:
 
 
 def tune_bucket_width(g: WeightedGraph, source: int, widths: dict[str, object]) -> list[dict]:
-    """One row of figures per width, fewest rounds first."""
+    """One row of figures per width, fewest rounds (then least work) first."""
     rows = []
     for name, delta in widths.items():
         p = bucketed_sssp(g, source, delta)
-        rows.append({"width": name, "delta": float(delta or 0), "rounds": p.rounds, "work": p.loop.work, "seconds": p.seconds, "ecc": p.dist.agg(F.max("dist").alias("d")).first()["d"]})
-    return sorted(rows, key=lambda r: (r["rounds"], r["seconds"]))
+        ecc = p.dist.agg(F.max("dist").alias("d")).first()["d"]
+        p.loop.release()
+        figures = {"rounds": p.rounds, "work": p.loop.work, "seconds": p.seconds, "ecc": ecc}
+        rows.append({"width": name, "delta": float(delta or 0)} | figures)
+    return sorted(rows, key=lambda r: (r["rounds"], r["work"], r["width"]))
 
 
 def widths(g: WeightedGraph) -> dict[str, object]:
     """The grid: least, mean, four and sixteen times the mean weight, no bound."""
-    row = g.edges.agg(F.min("pw").alias("a"), F.avg("pw").alias("b")).first()
-    mean = row["b"] if isinstance(row["a"], float) else int(-(-row["b"] // 1))
+    row = g.edges.agg(F.min("pw").alias("a"), F.sum("pw").alias("b"), F.count(F.lit(1)).alias("n")).first()
+    mean = row["b"] / row["n"] if isinstance(row["a"], float) else -(-int(row["b"]) // row["n"])
     return {"least": row["a"], "mean": mean, "mean4": 4 * mean, "mean16": 16 * mean, "none": None}
 
 
@@ -109,36 +125,54 @@ def sssp_diameter_bound(g: WeightedGraph, source: int, delta=None) -> tuple:
     return far, 2 * far
 
 
+#: Sources that one state carries, a column of distances each.
+MOST_SOURCES = 64
+
+
 def multi_source(g: WeightedGraph, sources: list[int]) -> DataFrame:
-    """(source, node, dist) of several sources at once, in one state keyed by both."""
+    """(source, node, dist) of several sources at once, for what each reaches: one row per node with a column per source."""
+    if not 1 <= len(sources) <= MOST_SOURCES:
+        raise ValueError(f"1 to {MOST_SOURCES} sources, not {len(sources)}")
     loop = Superstep(g.spark)
-    kind = g.edges.schema["pw"].dataType.simpleString()
-    with fixed_plan(g.spark):
-        state = g.spark.createDataFrame([(s, s) for s in sources], "source long, node long").withColumns({"dist": F.lit(0).cast(kind), "active": F.lit(True)})
+    kind = weight_type(g)
+    names = [f"d{i}" for i in range(len(sources))]
+    at = F.col("node")
+    start = [F.when(at == s, F.lit(0)).cast(kind).alias(d) for s, d in zip(sources, names)]
+    with fixed_plan(g.spark, g.partitions):
+        state = loop.start(g.nodes.select("node", *start, at.isin(sources).alias("active")), g.partitions)
         while True:
-            sent = state.filter("active").join(g.edges, F.col("node") == F.col("src")).groupBy("source", "dst").agg(F.min(F.col("dist") + F.col("pw")).alias("d"))
-            both = state.select("source", "node", "dist", F.lit(None).cast(kind).alias("d")).unionByName(sent.select("source", F.col("dst").alias("node"), F.lit(None).cast(kind).alias("dist"), "d"))
-            new = both.groupBy("source", "node").agg(F.min("dist").alias("old"), F.min("d").alias("d"))
-            better = F.col("d").isNotNull() & (F.col("old").isNull() | (F.col("d") < F.col("old")))
-            plan = new.select("source", "node", F.least("old", "d").alias("dist"), better.alias("active"))
+            sent = g.along(state.filter("active").select("node", *names))
+            offer = sent.groupBy("dst").agg(*[F.min(F.col(d) + F.col("pw")).alias(f"_{d}") for d in names])
+            both = state.join(offer.hint("shuffle_hash"), F.col("node") == F.col("dst"), "left")
+            better = F.lit(False)
+            for d in names:
+                new = F.col(f"_{d}")
+                better = better | F.coalesce(new.isNotNull() & (F.col(d).isNull() | (new < F.col(d))), F.lit(False))
+            plan = both.select("node", *[F.least(d, f"_{d}").alias(d) for d in names], better.alias("active"))
             state, got, seconds = loop.run(plan, {"updates": F.sum(F.col("active").cast("long"))})
             loop.note("sources", 0, 0, 0, got, seconds)
             if not got["updates"]:
-                return state.select("source", "node", "dist")
+                break
+    cell = lambda s, d: F.struct(F.lit(s).cast("long").alias("source"), F.col(d).alias("dist"))
+    each = F.explode(F.array(*[cell(s, d) for s, d in zip(sources, names)]))
+    return state.select("node", each.alias("x")).filter("x.dist is not null").select("x.source", "node", "x.dist")
 
 
 def multi_sssp_bound(g: WeightedGraph, k: int, strategy: str = "random", seed: int = 7) -> tuple:
-    """(largest eccentricity, least double eccentricity) of k sources: random, of largest degree, or each farthest from those before."""
+    """(largest eccentricity, least double eccentricity) of k sources: random, of largest degree, or each farthest from the others."""
     if strategy == "farthest":
         sources = [pick_source(g, seed)]
         while len(sources) < k:
             near = multi_source(g, sources).groupBy("node").agg(F.min("dist").alias("d"))
             sources.append(near.orderBy(F.desc("d"), "node").first()["node"])
     elif strategy == "degree":
-        sources = [r["src"] for r in g.edges.groupBy("src").count().orderBy(F.desc("count"), "src").limit(k).collect()]
+        most = g.edges.groupBy("src").count().orderBy(F.desc("count"), "src")
+        sources = [r["src"] for r in most.limit(k).collect()]
     else:
-        sources = [r["node"] for r in g.nodes.orderBy(h32(joined("source", seed, F.col("node"))), "node").limit(k).collect()]
-    row = multi_source(g, sources).groupBy("source").agg(F.max("dist").alias("e")).agg(F.max("e").alias("lower"), (2 * F.min("e")).alias("upper")).first()
+        drawn = g.nodes.orderBy(h32(joined("source", seed, F.col("node"))), "node")
+        sources = [r["node"] for r in drawn.limit(k).collect()]
+    each = multi_source(g, sources).groupBy("source").agg(F.max("dist").alias("e"))
+    row = each.agg(F.max("e").alias("lower"), (2 * F.min("e")).alias("upper")).first()
     return row["lower"], row["upper"]
 
 
@@ -155,4 +189,4 @@ def farthest_sweeps(g: WeightedGraph, source: int, rounds: int = 4) -> list[dict
 
 def light_distance(g: WeightedGraph, source: int, bound) -> DataFrame:
     """Distances along edges up to ``bound`` only; null where there is no such path."""
-    return bellman_ford(WeightedGraph(g.edges.filter(F.col("pw") <= F.lit(bound)), g.nodes, g.n, g.scale), source).dist.select("node", "dist")
+    return bellman_ford(g.mapped(lambda e: e.filter(F.col("pw") <= F.lit(bound))), source).dist.select("node", "dist")

@@ -1,8 +1,8 @@
 """Session helpers: shared storage for cutting lineage, and settings of one block of code.
 
 Intermediate results live in the folder that the cluster names in ``spark.checkpoint.dir``
-(every executor and the driver see it). Only where that setting is absent, as in local
-tests, a temporary folder of this machine is used.
+(every executor and the driver see it). Where neither that setting nor a checkpoint folder is
+set, a session on one machine (master ``local``) gets a temporary folder; on a cluster it is an error.
 """
 
 from __future__ import annotations
@@ -24,6 +24,8 @@ def shared_dir(spark: SparkSession) -> str:
             spark.sparkContext.setCheckpointDir(named)
         return named
     if known.isEmpty():
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         spark.sparkContext.setCheckpointDir(tempfile.mkdtemp(prefix="spanweave-"))
         known = spark.sparkContext._jsc.sc().getCheckpointDir()
     return known.get()

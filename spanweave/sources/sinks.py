@@ -10,9 +10,13 @@ def write_assignment(clusters: DataFrame, path: str) -> None:
     clusters.write.mode("overwrite").partitionBy("stage").parquet(path)
 
 
-def write_bucketed(edges: DataFrame, table: str, buckets: int) -> None:
-    """Edges in buckets of ``src``, sorted: joins with a state of as many partitions read them in place."""
-    edges.write.mode("overwrite").bucketBy(buckets, "src").sortBy("src").saveAsTable(table)
+def write_bucketed(edges: DataFrame, table: str, buckets: int, path: str | None = None) -> DataFrame:
+    """Edges as a table in buckets of ``src``, one sorted file each; joins with a state of as many partitions read them in place.
+
+    ``path``: where its files go (default: the warehouse)."""
+    out = edges.repartition(buckets, "src").write.mode("overwrite").bucketBy(buckets, "src").sortBy("src")
+    (out.option("path", path) if path else out).saveAsTable(table)
+    return edges.sparkSession.table(table)
 
 
 def append_metrics(rows: DataFrame, path: str, kind: str = "parquet") -> None:

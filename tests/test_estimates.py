@@ -1,8 +1,12 @@
+import numpy as np
 import pytest
+from hypothesis import given, settings
+from hypothesis import strategies as st
 from pyspark.sql import functions as F
 
 from spanweave.operators import baselines, decompose, estimate, graph, measures, sssp
 from spanweave.operators.components import connected_components
+from spanweave.operators.quotient import LocalGraph, bounded_diameter, sweep_bound
 from spanweave.sources import fixtures, generators
 from tests import reference
 
@@ -97,14 +101,87 @@ def test_components_of_a_path_a_star_and_a_loop(spark, edges):
     assert got == {**{i: 0 for i in range(51)}, **{100 + i: 100 for i in range(30)}}
 
 
+def test_components_take_logarithmic_rounds_on_an_ordered_path(spark):
+    path = spark.range(4000).select(F.col("id").alias("src"), (F.col("id") + 1).alias("dst"))
+    rounds = []
+    got = connected_components(path, "src", "dst", rounds)
+    assert got.agg(F.max("component"), F.count("*")).first() == (0, 4001)
+    assert len(rounds) <= 14
+
+
+def local(rows):
+    return LocalGraph(*(np.array(c) for c in zip(*rows)))
+
+
 def test_k_center_and_doubling(spark):
-    adj = reference.neighbours([tuple(r) for r in generators.mesh(spark, 3, "unit").collect()])
-    lists = {u: list(n.items()) for u, n in adj.items()}
-    assert measures.brute_k_center(lists, 1) == 2 and 2 <= measures.greedy_k_center(lists, 1) <= 4
-    adj = reference.neighbours([tuple(r) for r in generators.mesh(spark, 12, "unit").collect()])
-    assert 1 <= measures.doubling_estimate({u: list(n.items()) for u, n in adj.items()}, 3, (1, 2)) <= 4
+    g = local([tuple(r) for r in generators.mesh(spark, 3, "unit").collect()])
+    assert measures.brute_k_center(g, 1) == 2 and 2 <= measures.greedy_k_center(g, 1) <= 4
+    g = local([tuple(r) for r in generators.mesh(spark, 12, "unit").collect()])
+    assert 1 <= measures.doubling_estimate(g, 3, (1, 2)) <= 4
 
 
 def test_choose_tau():
     assert estimate.choose_tau(10**6, eps=0.5) == 1000
     assert estimate.choose_tau(10**9) >= estimate.choose_tau(10**9, max_quotient_nodes=10_000) >= 1
+
+
+@given(st.lists(st.tuples(st.integers(0, 14), st.integers(0, 14), st.integers(1, 9)).filter(lambda e: e[0] != e[1]), min_size=1, max_size=30), st.booleans())
+@settings(max_examples=60, deadline=None)
+def test_local_searches_against_a_heap(rows, real):
+    """Distances, eccentricities, both diameters (plain, and with a leaf at each node) of any graph, connected or not."""
+    adj = reference.neighbours(rows)
+    g = local([(a, b, w / 4 if real else w) for a, b, w in rows])
+    far = {u: reference.search(adj, u) for u in adj}
+    unit = 4 if real else 1
+    for i, u in enumerate(g.ids.tolist()):
+        d = g.search([np.array([i])])[0]
+        assert {v: x * unit for v, x in zip(g.ids.tolist(), d) if x < g.far} == far[u]
+    assert [e * unit for e in g.eccentricities()] == [max(far[u].values()) for u in g.ids.tolist()]
+    exact = max(max(x.values()) for x in far.values())
+    below, above, _ = bounded_diameter(g, wave=4)
+    assert below * unit == above * unit == exact <= sweep_bound(g) * unit
+    radius = np.array([u % 5 for u in g.ids.tolist()])
+    leaves = max((x + u % 5 + v % 5 for u in far for v, x in far[u].items() if u != v), default=0)
+    assert bounded_diameter(g, radius=radius / unit if real else radius)[1] * unit == leaves
+    assert bounded_diameter(g, tolerance=0.5)[1] * unit >= exact <= bounded_diameter(g, most_searches=1)[1] * unit
+    assert bounded_diameter(g, radius=radius)[2] * unit >= exact
+
+
+def test_parallel_searches_equal_local_ones(spark, small, monkeypatch):
+    from spanweave.operators import quotient as q
+
+    g, adj = small
+    monkeypatch.setattr(q, "HERE", 0)
+    assert q.quotient_diameter(g.canonical().select("src", "dst", F.col("pw").alias("w")))[0] == reference.diameter(adj)
+
+
+def test_components_of_all_sizes_are_estimated_apart(spark, edges):
+    """Many one-edge components and a large one: stages do not grow with their number, and the bound holds."""
+    pairs = [(10_000 + 2 * i, 10_001 + 2 * i, 1 + i % 5) for i in range(1000)]
+    mesh = [tuple(r) for r in generators.mesh(spark, 12).collect()]
+    g = graph.build(edges(pairs + mesh))
+    per = {r["component"]: r for r in estimate.diameter_by_component(g, small=100, tau=1).collect()}
+    exact = reference.diameter(reference.neighbours(mesh))
+    assert len(per) == 1001 and not per[0]["exact"] and exact <= per[0]["diameter"] <= 3 * exact
+    assert all(per[10_000 + 2 * i]["diameter"] == 1 + i % 5 for i in range(1000))
+    got = estimate.estimate_components(g, small=100, tau=1)
+    assert (got["estimate"], got["components"], got["estimated"]) == (per[0]["diameter"], 1001, 1)
+
+
+def test_real_weights(spark, data):
+    """Vectors' distances as weights: estimate, search and exact diameter on doubles."""
+    e = fixtures.embedding_knn(spark, data, k=4)
+    g = graph.build(e)
+    adj = reference.neighbours([tuple(r) for r in e.collect()])
+    source = min(adj)
+    dist = {r["node"]: r["dist"] for r in sssp.bucketed_sssp(g, source, 2.5).dist.filter("dist is not null").collect()}
+    assert dist == pytest.approx(reference.search(adj, source))
+    row, _ = estimate.estimate_diameter(g, 1)
+    assert reference.diameter(adj) <= row["estimate"] * (1 + 1e-9)
+
+
+def test_the_sum_per_cluster_is_tighter(small):
+    g, adj = small
+    d = decompose.staged_decompose(g, 1)
+    wide, fine = (estimate.estimate_diameter(g, base=d, bound=b)[0]["estimate"] for b in ("radius", "per_cluster"))
+    assert reference.diameter(adj) <= fine <= wide

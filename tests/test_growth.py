@@ -3,7 +3,7 @@ import math
 import pytest
 from pyspark.sql import functions as F
 
-from spanweave.operators import decompose, graph, growth
+from spanweave.operators import decompose, graph, growth, sssp
 from spanweave.operators.quotient import quotient
 from spanweave.plans.loop import Superstep, fixed_plan
 from spanweave.sources import generators
@@ -12,12 +12,12 @@ from tests import reference
 
 def run(spark, g, centers, delta, steps=None, **options):
     loop = Superstep(spark)
-    with fixed_plan(spark):
+    with fixed_plan(spark, g.partitions):
         state = growth.place_centers(growth.initial_state(g.nodes), F.col("node").isin(centers))
         if steps is None:
-            return growth.grow_to_fixpoint(loop, state, g.edges, delta, **options), loop
+            return growth.grow_to_fixpoint(loop, state, g, delta, **options), loop
         for i in range(steps):
-            state, got, s = loop.run(growth.grow_step(state, g.edges, delta, **options), growth.counters(), growth.WORKING)
+            state, got, s = loop.run(growth.grow_step(state, g, delta, **options), growth.counters(), growth.WORKING)
             loop.note("t", 0, 0, delta, got, s)
     return state, loop
 
@@ -72,7 +72,7 @@ def test_path_weight_survives_contraction(spark, edges):
     with fixed_plan(spark):
         state = growth.place_centers(growth.initial_state(g.nodes), F.col("node") == 0)
         for stage in range(3):
-            state, _, _ = loop.run(growth.grow_step(state, g.edges, 5), growth.counters(), growth.WORKING)
+            state, _, _ = loop.run(growth.grow_step(state, g, 5), growth.counters(), growth.WORKING)
             state = growth.settle(state, stage)
     got = {r["node"]: (r["grow_dist"], r["path_weight"]) for r in state.collect()}
     assert got == {0: (0, 0), 1: (5, 5), 2: (5, 10), 3: (5, 15)}
@@ -84,7 +84,7 @@ def test_rescaled_contraction(spark, edges):
     with fixed_plan(spark):
         state = growth.place_centers(growth.initial_state(g.nodes), F.col("node") == 0)
         for i in range(1, 4):
-            state = growth.grow_to_fixpoint(loop, state, g.edges, 4)
+            state = growth.grow_to_fixpoint(loop, state, g, 4)
             seen.append(sorted((r["node"], r["grow_dist"], r["path_weight"]) for r in state.filter("settled_stage is null and center is not null").collect()))
             state = growth.settle(state, i, rescale=4)
     assert seen == [[(0, 0, 0), (1, 3, 3)], [(2, 2, 6)], [(3, 1, 9)]]
@@ -93,8 +93,8 @@ def test_rescaled_contraction(spark, edges):
 def test_explicit_contraction(spark, edges):
     g = graph.build(edges([(0, 1, 3), (1, 2, 3), (2, 3, 3)]))
     state, _ = run(spark, g, [0], 4)
-    assert sorted(map(tuple, growth.contract(state, g.edges).collect())) == [(0, 2, 3), (2, 0, 3), (2, 3, 3), (3, 2, 3)]
-    assert sorted(map(tuple, growth.contract_rescaled(state, g.edges, 4).collect())) == [(0, 2, 2), (2, 0, 2), (2, 3, 3), (3, 2, 3)]
+    assert sorted(map(tuple, growth.contract(state, g).collect())) == [(0, 2, 3), (2, 0, 3), (2, 3, 3), (3, 2, 3)]
+    assert sorted(map(tuple, growth.contract_rescaled(state, g, 4).collect())) == [(0, 2, 2), (2, 0, 2), (2, 3, 3), (3, 2, 3)]
 
 
 @pytest.mark.parametrize("seed", [7, 8])
@@ -108,9 +108,65 @@ def test_staged_decomposition_matches_sequential(spark, seed):
     assert {r["node"]: (r["center"], r["path_weight"]) for r in d.clusters.collect()} == {v: (center[v], path[v]) for v in center}
 
 
-def test_plan_exchanges_only_offers(spark):
+def plan_text(df):
+    return df._jdf.queryExecution().executedPlan().toString()
+
+
+@pytest.mark.parametrize("hub_edges", [None, 3])
+def test_a_step_exchanges_only_offers(spark, hub_edges):
+    """The edges as built, no broadcast by size: one exchange of any kind, of offers; hubs add broadcasts of marked rows only."""
+    g = graph.build(generators.mesh(spark, 8), hub_edges=hub_edges)
+    loop = Superstep(spark)
+    with fixed_plan(spark, g.partitions):
+        state = loop.start(growth.place_centers(growth.initial_state(g.nodes), F.col("node") == 0), g.partitions)
+        state, _, _ = loop.run(growth.grow_step(state, g, 10), growth.counters(), growth.WORKING)
+        text = plan_text(growth.grow_step(state, g, 10))
+    exchanges = text.count("Exchange") - text.count("BroadcastExchange")
+    assert exchanges == text.count("Exchange hashpartitioning(dst") == 1
+    assert "Cartesian" not in text and "NestedLoop" not in text and "SortMergeJoin" not in text
+    assert ("BroadcastExchange" in text) == (hub_edges is not None)
+    assert "PushedFilters: [IsNotNull(w), LessThanOrEqual(w,10)" in text
+
+
+def test_a_relaxation_exchanges_only_offers(spark):
     g = graph.build(generators.mesh(spark, 8))
-    with fixed_plan(spark):
-        state = growth.place_centers(growth.initial_state(g.nodes), F.col("node") == 0).repartition(4, "node").checkpoint(eager=True)
-        text = growth.grow_step(state, g.edges.repartition(4, "src").checkpoint(eager=True), 10)._jdf.queryExecution().executedPlan().toString()
-    assert text.count("Exchange hashpartitioning(dst") == 1 and "Cartesian" not in text
+    loop = Superstep(spark)
+    with fixed_plan(spark, g.partitions):
+        start = F.col("node") == 0
+        state = g.nodes.select(
+            "node", F.when(start, F.lit(0).cast("long")).alias("dist"), F.lit(None).cast("long").alias("parent"), F.lit(0).alias("hops")
+        )
+        state = loop.start(state, g.partitions)
+        text = plan_text(sssp._relax(state, "dist is not null", g, None, {}))
+    assert text.count("Exchange") == text.count("Exchange hashpartitioning(dst") == 1
+
+
+def test_hubs_give_the_same_clusters_and_distances(spark):
+    edges = generators.hub_and_tail(spark, 40, 10)
+    flat, split = graph.build(edges), graph.build(edges, hub_edges=5)
+    assert split.hubs.collect()[0]["hub"] == 0 and split.hub_edges.count() == 41 and split.edges.count() == flat.edges.count()
+    one, two = (sorted(map(tuple, decompose.staged_decompose(g, 1).clusters.collect())) for g in (flat, split))
+    assert one == two
+    assert sorted(map(tuple, sssp.bellman_ford(flat, 50).dist.collect())) == sorted(map(tuple, sssp.bellman_ford(split, 50).dist.collect()))
+
+
+def test_old_checkpoints_are_dropped(spark):
+    """While a loop runs two states stay on disk; at its end the clusters alone."""
+    import os
+
+    from spanweave.session import shared_dir
+
+    shared_dir(spark)
+    folder = spark.sparkContext._jsc.sc().getCheckpointDir().get().removeprefix("file:")
+    count = lambda: sum(n.startswith("rdd-") for n in os.listdir(folder))
+    g = graph.build(generators.mesh(spark, 8))
+    before = count()
+    loop = Superstep(spark)
+    with fixed_plan(spark, g.partitions):
+        state = loop.start(growth.place_centers(growth.initial_state(g.nodes), F.col("node") == 0), g.partitions)
+        for _ in range(6):
+            state, _, _ = loop.run(growth.grow_step(state, g, 2**40), growth.counters(), growth.WORKING)
+    assert count() == before + 2
+    loop.release()
+    decompose.staged_decompose(g, 1)
+    assert count() == before + 1
