@@ -9,26 +9,33 @@ A document is the set of its distinct shingles (``WORDS`` words); two are linked
    coordinates but for a chance below 3e-8. So values that no other class has are dropped, a class with
    fewer than ``AGREE`` shared values is done, and of the others only the rarest shared values are
    posted - all but ``AGREE`` - 1 of them (prefix): agreeing classes meet in one of these lists.
-3. The lists, read as stars around the class with the most common values, fall into families. A family is
-   compared in square blocks of bounded size: a block counts agreeing coordinates (pairs that a hub joins
-   already are skipped), confirms the pairs above the threshold on full sets, and emits a
-   spanning forest of its links. No list or family is gathered in one task, and no pairs are emitted.
-4. Components of the forests give each class, and so each document, its component.
+3. The lists, read as stars around the class with the most common values, fall into families. In a large family
+   every class is compared with the family's hub on full sets, which is linear in its size; classes that the hub does
+   not link are open. Small families share blocks, all their classes open; a large family's open classes meet all of
+   it in blocks bounded in rows and shingles.
+4. A block counts collisions on its inverted lists: of each open class the shortest lists, all but ``AGREE`` - 1, are
+   merged (prefix), the long ones are skipped over and looked up for the candidates alone. Pairs above the threshold
+   that are not connected yet are confirmed on full sets. A block emits a spanning forest of its links, never pairs;
+   no list or family is gathered in one task.
+5. Components of the forests give each class, and so each document, its component.
 
 Defined cases: a null or empty text, or one of separators only, has no shingle and is linked with nothing; fewer
-than ``WORDS`` words are one shingle; rows with one doc_id count as copies of that id if their texts are equal
-(else each row keeps its own figures); extra columns are ignored, in ``first_of_each`` kept.
+than ``WORDS`` words are one shingle. Rows of one doc_id are one document: each row keeps its own n_shingles, what
+links with any of its texts is in its component. A null doc_id never names a component: such rows get the component
+of an equal text with an id, or null, and have no ``kept``. An empty table gives no rows; extra columns are
+ignored, in ``first_of_each`` kept, whatever their names.
 """
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Iterable, Iterator
 from functools import cache
 
 import numpy as np
 import pandas as pd
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from spanweave.llm.batches import slices
@@ -39,9 +46,11 @@ WORDS = 5
 PERCENT = 75
 COORDINATES = 64
 AGREE = 28
-#: Rows of a block side, and the size up to which families share a block.
-BLOCK = 1024
+#: Classes and shingles of a block side, and the size up to which families share a block.
+BLOCK, BLOCK_SHINGLES = 1024, 2_000_000
 SMALL = 64
+#: List entries that a block merges at a time.
+MERGED = 2_000_000
 #: Most bits of the map that keeps texts without a family from being shuffled.
 FILTER_BITS = 1 << 26
 
@@ -170,20 +179,89 @@ def prefixes(tokens: DataFrame, agree: int = AGREE) -> DataFrame:
     return own.select("rep", "weight", F.explode(F.slice("own", 1, F.size("own") - (agree - 1))).alias("t")).select("t.token", "rep", "weight")
 
 
-def families(prefix: DataFrame) -> DataFrame:
-    """(rep, family, hub): classes that meet in lists, transitively; hub: the family's class with the most common tokens."""
-    hub = stored(prefix.groupBy("token").agg(F.max(F.struct("weight", (-F.col("rep")).alias("r"))).alias("top"), F.count(F.lit(1)).alias("n")).filter("n > 1").select("token", (-F.col("top.r")).alias("hub")), "lists")
-    star = prefix.select("token", "rep").join(hub, "token").select(F.col("hub").alias("a"), F.col("rep").alias("b")).filter("a <> b").distinct()
-    parts = connected_components(star)
+def families(prefix: DataFrame, classes: DataFrame) -> DataFrame:
+    """(rep, n_shingles, family, hub, size, shingles): classes that meet in lists, transitively; hub: the one with the most common tokens."""
+    top = F.max(F.struct("weight", (-F.col("rep")).alias("r"))).alias("top")
+    lists = prefix.groupBy("token").agg(top, F.count(F.lit(1)).alias("n")).filter("n > 1")
+    hub = stored(lists.select("token", (-F.col("top.r")).alias("hub")), "lists")
+    star = prefix.select("token", "rep").join(hub, "token").select(F.col("hub").alias("a"), F.col("rep").alias("b"))
+    parts = connected_components(star.filter("a <> b").distinct())
     weight = stored(prefix.groupBy("rep").agg(F.first("weight").alias("weight")), "weights")
-    member = stored(parts.join(weight, parts["node"] == weight["rep"]).select("rep", "weight", F.col("component").alias("family")), "members")
-    tops = stored(member.groupBy("family").agg(F.max(F.struct("weight", (-F.col("rep")).alias("r"))).alias("top"), F.count(F.lit(1)).alias("size")).select("family", (-F.col("top.r")).alias("hub"), "size"), "families")
-    return stored(member.join(tops, "family").select("rep", "family", "hub", "size"), "members")
-
-
-def compare(ids: np.ndarray, sets: list[np.ndarray], side: np.ndarray, hub: int, *, agree: int, percent: int, coordinates: int) -> list[tuple[int, int]]:
-    """Links that span what is linked between side 1 and side 2 (3: both) of one block."""
-    n, root = len(ids), np.arange(len(ids))
+    member = parts.join(weight, parts["node"] == weight["rep"]).select("rep", "weight", F.col("component").alias("family"))
+    # texts of one doc_id are one document's: their classes have one name
+    sizes = classes.groupBy("rep").agg(F.sum("n_shingles").alias("n_shingles"))
+    member = stored(member.join(sizes, "rep"), "members")
+    tops = member.groupBy("family").agg(top, F.count(F.lit(1)).alias("size"), F.sum("n_shingles").alias("shingles"))
+    tops = stored(tops.select("family", (-F.col("top.r")).alias("hub"), "size", "shingles"), "families")
+    return stored(member.join(tops, "family").select("rep", "n_shingles", "family", "hub", "size", "shingles"), "members")
+
+
+def pieces(count: Column, shingles: Column) -> Column:
+    """Into how many pieces of bounded rows and shingles something of that size is cut."""
+    return F.greatest(F.lit(1), F.ceil(count / BLOCK), F.ceil(shingles / BLOCK_SHINGLES)).cast("int")
+
+
+def collisions(rows: np.ndarray, columns: np.ndarray, agree: int) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """(row, column) of signatures that agree in at least ``agree`` coordinates, some rows' at a time in their order."""
+    n, width = rows.shape
+    place = np.arange(width, dtype=np.uint64) << np.uint64(32)
+    posted = (columns.astype(np.uint64) + place).ravel()
+    order = np.argsort(posted, kind="stable")
+    posted, owner = posted[order], order // width
+    wanted = rows.astype(np.uint64) + place
+    begin = np.searchsorted(posted, wanted.ravel(), side="left").reshape(n, width)
+    length = np.searchsorted(posted, wanted.ravel(), side="right").reshape(n, width) - begin
+    # all but the agree - 1 longest lists are merged: who agrees often enough is on one of them
+    short = np.argsort(length, axis=1, kind="stable")[:, : width - agree + 1]
+    begin, length = np.take_along_axis(begin, short, 1), np.take_along_axis(length, short, 1)
+    total = np.cumsum(length.sum(1))
+    start = 0
+    while start < n:
+        before = total[start - 1] if start else 0
+        stop = max(start + 1, int(np.searchsorted(total, before + MERGED, side="right")))
+        many, first = length[start:stop].ravel(), begin[start:stop].ravel()
+        at = np.repeat(first - (np.cumsum(many) - many), many) + np.arange(many.sum())
+        row = np.repeat(np.repeat(np.arange(start, stop), length.shape[1]), many)
+        pair = np.unique(row * np.int64(len(columns)) + owner[at])
+        i, j = pair // len(columns), pair % len(columns)
+        same = np.concatenate([(rows[i[k : k + 65536]] == columns[j[k : k + 65536]]).sum(1) for k in range(0, len(i), 65536)] or [i])
+        yield i[same >= agree], j[same >= agree]
+        start = stop
+
+
+class Sets:
+    """Shingle sets of a block, compared exactly."""
+
+    def __init__(self, sets: list[np.ndarray], percent: int):
+        self.sets, self.percent = sets, percent
+        self.sizes = np.array([len(s) for s in sets])
+        self.begin = np.concatenate([[0], np.cumsum(self.sizes)])
+        self.lists = None
+
+    def linked(self, i: int, others: np.ndarray) -> np.ndarray:
+        """Which of the others are linked with set i: by one count over inverted lists if they are many."""
+        if len(others) <= 12:
+            both = np.array([len(np.intersect1d(self.sets[i], self.sets[j], assume_unique=True)) for j in others], np.int64)
+        else:
+            if self.lists is None:
+                values, where = np.unique(np.concatenate(self.sets), return_inverse=True)
+                order = np.argsort(where, kind="stable")
+                owner = np.repeat(np.arange(len(self.sets)), self.sizes)[order]
+                self.lists = where, owner, np.searchsorted(where[order], np.arange(len(values) + 1))
+            where, owner, start = self.lists
+            mine = where[self.begin[i] : self.begin[i + 1]]
+            many = start[mine + 1] - start[mine]
+            at = np.repeat(start[mine] - (np.cumsum(many) - many), many) + np.arange(many.sum())
+            both = np.bincount(owner[at], minlength=len(self.sets))[others]
+        return 100 * both >= self.percent * (self.sizes[others] + self.sizes[i] - both)
+
+
+def compare(
+    ids: np.ndarray, sets: list[np.ndarray], row: np.ndarray, column: np.ndarray, joined: np.ndarray,
+    *, agree: int, percent: int, coordinates: int,
+) -> list[tuple[int, int]]:
+    """Links that span what is linked between the rows and the columns of one block; those ``joined`` are connected already."""
+    root = np.arange(len(ids))
 
     def find(i: int) -> int:
         while root[i] != i:
@@ -191,68 +269,83 @@ def compare(ids: np.ndarray, sets: list[np.ndarray], side: np.ndarray, hub: int,
             i = root[i]
         return i
 
-    sizes = np.array([len(s) for s in sets])
-    out: list[tuple[int, int]] = []
-
-    def link(i: int, j: int) -> None:
-        a, b = find(i), find(j)
-        if a != b:
-            root[max(a, b)] = min(a, b)
-            out.append((int(ids[i]), int(ids[j])))
-
-    values, where = np.unique(np.concatenate(sets), return_inverse=True)
-    order = np.argsort(where, kind="stable")
-    owner = np.repeat(np.arange(n), sizes)[order]
-    from_ = np.searchsorted(where[order], np.arange(len(values) + 1))
-    begin = np.concatenate([[0], np.cumsum(sizes)])
-
-    def linked_with(i: int) -> np.ndarray:
-        """Which sets are linked with set i, by exact counts over the block's own inverted lists."""
-        mine = where[begin[i] : begin[i + 1]]
-        lengths = from_[mine + 1] - from_[mine]
-        flat = np.repeat(from_[mine] - np.concatenate([[0], np.cumsum(lengths)[:-1]]), lengths) + np.arange(lengths.sum())
-        both = np.bincount(owner[flat], minlength=n)
-        return 100 * both >= percent * (sizes + sizes[i] - both)
-
-    at_hub = np.flatnonzero(ids == hub)
-    if len(at_hub) and n > 2:
-        i = int(at_hub[0])
-        for j in np.flatnonzero(linked_with(i)):
-            if j != i:
-                link(i, int(j))
+    exact, out = Sets(sets, percent), []
+    if joined.any():
+        root[joined] = np.flatnonzero(joined)[0]
     sig = signatures(sets, coordinates)
-    for i in np.flatnonzero(side & 1):
-        if find(i) == find(int(at_hub[0]) if len(at_hub) else i) and len(at_hub) and n > 2:
-            open_ = np.flatnonzero((side & 2 > 0) & (root != root[i]))
-        else:
-            open_ = np.flatnonzero(side & 2)
-        open_ = open_[(open_ > i) | (side[open_] != side[i])]
-        near = open_[(sig[open_] == sig[i]).sum(1) >= agree]
-        near = near[[find(int(j)) != find(int(i)) for j in near]] if len(near) else near
-        if len(near) > 12:
-            ok = linked_with(int(i))
-            near = near[ok[near]]
-        for j in near:
-            if find(int(j)) != find(int(i)):
-                both = len(np.intersect1d(sets[i], sets[j], assume_unique=True))
-                if 100 * both >= percent * (sizes[i] + sizes[j] - both):
-                    link(int(i), int(j))
+    rows, columns = np.flatnonzero(row), np.flatnonzero(column)
+    for i, j in collisions(sig[rows], sig[columns], agree):
+        i, j = rows[i], columns[j]
+        once = (i != j) & ~(row[j] & column[i] & (ids[j] < ids[i]))
+        i, j = i[once], j[once]
+        for group in np.split(np.arange(len(i)), np.flatnonzero(np.diff(i)) + 1):
+            if not len(group):
+                continue
+            x = int(i[group[0]])
+            near = j[group]
+            fits = 100 * np.minimum(exact.sizes[near], exact.sizes[x]) >= percent * np.maximum(exact.sizes[near], exact.sizes[x])
+            near = np.array([y for y in near[fits] if find(int(y)) != find(x)], np.int64)
+            for y in near[exact.linked(x, near)] if len(near) else ():
+                a, b = find(x), find(int(y))
+                if a != b:
+                    root[max(a, b)] = min(a, b)
+                    out.append((int(ids[x]), int(ids[y])))
     return out
 
 
-def blocks(member: DataFrame, block: int = BLOCK, small: int = SMALL) -> DataFrame:
-    """Members dealt to blocks (g, i, j): many small families share one, a large one fills squares; its hub is in each. side: 1 row, 2 column, 3 both, 0 hub."""
-    total = F.lit(max(1, -(-member.filter(F.col("size") <= small).count() // block)))
-    few = member.filter(F.col("size") <= small).select("rep", "family", "hub", (-1 - F.pmod(F.xxhash64("family"), total)).alias("g"), F.lit(0).alias("i"), F.lit(0).alias("j"), F.lit(3).alias("side"))
-    parts = F.ceil(F.col("size") / block).cast("int")
-    large = member.filter(F.col("size") > small).withColumn("p", parts).withColumn("c", F.pmod(F.xxhash64("rep"), F.col("p")).cast("int"))
-    squares = F.flatten(F.transform(F.sequence(F.lit(0), F.col("p") - 1), lambda k: F.when(k == F.col("c"), F.array(F.struct(k.alias("i"), k.alias("j"), F.lit(3).alias("side")))).when(
-        k < F.col("c"), F.array(F.struct(k.alias("i"), F.col("c").alias("j"), F.lit(2).alias("side")))).otherwise(F.array(F.struct(F.col("c").alias("i"), k.alias("j"), F.lit(1).alias("side"))))))
+def _sets(table: pa.Table, words: int) -> list[np.ndarray]:
+    texts = table.column("text").to_pylist()
+    return [x for k in range(0, len(texts), 64) for x in shingle_sets(texts[k : k + 64], words)]
+
+
+def stars(texts: DataFrame, member: DataFrame, *, words: int, percent: int) -> DataFrame:
+    """(hub, rep): the classes of large families that their hub links. The hub goes to each piece of its family."""
+    large = member.filter(F.col("size") > SMALL).withColumn("p", pieces(F.col("size"), F.col("shingles")))
     is_hub = F.col("rep") == F.col("hub")
-    n = F.sequence(F.lit(0), F.col("p") - 1)
-    everywhere = F.filter(F.flatten(F.transform(n, lambda i: F.transform(n, lambda j: F.struct(i.alias("i"), j.alias("j"), F.lit(0).alias("side"))))), lambda s: (s["i"] <= s["j"]) & (s["i"] != F.col("c")) & (s["j"] != F.col("c")))
-    dealt = large.select("rep", "family", "hub", F.explode(F.when(is_hub, F.concat(squares, everywhere)).otherwise(squares)).alias("s"))
-    return few.unionByName(dealt.select("rep", "family", "hub", F.col("family").alias("g"), "s.i", "s.j", "s.side"))
+    own = F.pmod(F.xxhash64("rep"), F.col("p")).cast("int")
+    dealt = large.filter(~is_hub).select("rep", "hub", own.alias("c"))
+    dealt = dealt.unionByName(large.filter(is_hub).select("rep", "hub", F.explode(F.sequence(F.lit(0), F.col("p") - 1)).alias("c")))
+
+    def run(table: pa.Table) -> pa.Table:
+        ids, hub = table.column("rep").to_numpy(), table.column("hub").to_numpy()
+        at = np.flatnonzero(ids == hub)
+        found = np.zeros(0, np.int64)
+        if len(at):
+            exact = Sets(_sets(table, words), percent)
+            others = np.flatnonzero(ids != hub)
+            found = ids[others[exact.linked(int(at[0]), others)]] if len(others) else found
+        return pa.table({"hub": pa.array(np.repeat(hub[:1], len(found)), pa.int64()), "rep": pa.array(found, pa.int64())})
+
+    full = dealt.join(texts, F.col("rep") == F.col("doc_id")).drop("doc_id")
+    return full.groupBy("hub", "c").applyInArrow(run, "hub long, rep long")
+
+
+def blocks(member: DataFrame, star: DataFrame) -> DataFrame:
+    """Members dealt to blocks (g, i, j): side 1 is a row, 2 a column, 3 both; ``joined``: linked by the hub of the family already.
+
+    Many small families share one block. Of a large one the open classes are rows and all are columns; without open ones there is none."""
+    few = member.filter(F.col("size") <= SMALL)
+    sums = few.agg(F.count(F.lit(1)).alias("n"), F.coalesce(F.sum("n_shingles"), F.lit(0)).alias("s")).first()
+    total = F.lit(max(1, -(-sums["n"] // BLOCK), -(-sums["s"] // BLOCK_SHINGLES)))
+    shared = few.select(
+        "rep", (-1 - F.pmod(F.xxhash64("family"), total)).alias("g"), F.lit(0).alias("i"), F.lit(0).alias("j"),
+        F.lit(3).alias("side"), F.lit(False).alias("joined"),
+    )
+    linked = star.select(F.col("rep").alias("_r"))
+    large = member.filter(F.col("size") > SMALL).join(linked, F.col("rep") == F.col("_r"), "left")
+    joined = F.col("_r").isNotNull() | (F.col("rep") == F.col("hub"))
+    large = stored(large.withColumn("joined", joined).drop("_r"), "starred")
+    open_ = large.filter("not joined")
+    rows = open_.groupBy(F.col("family").alias("_f")).agg(F.count(F.lit(1)).alias("n"), F.sum("n_shingles").alias("s"))
+    rows = stored(rows.select("_f", pieces(F.col("n"), F.col("s")).alias("pr")), "open")
+    left = large.join(rows, F.col("family") == F.col("_f")).withColumn("pc", pieces(F.col("size"), F.col("shingles")))
+    i, j = (F.pmod(F.xxhash64("rep", F.lit(k)), F.col(p)).cast("int") for k, p in ((1, "pr"), (2, "pc")))
+    every = lambda p: F.explode(F.sequence(F.lit(0), F.col(p) - 1))
+    base = left.select("rep", F.col("family").alias("g"), "joined", i.alias("i"), j.alias("j"), "pr", "pc")
+    across = base.filter("not joined").select("rep", "g", "i", every("pc").alias("j"), F.lit(1).alias("side"), "joined")
+    down = base.select("rep", "g", every("pr").alias("i"), "j", F.lit(2).alias("side"), "joined")
+    both = across.unionByName(down).groupBy("rep", "g", "i", "j").agg(F.sum("side").cast("int").alias("side"), F.first("joined").alias("joined"))
+    return shared.unionByName(both.select(*shared.columns))
 
 
 def bit_map(ids: DataFrame, column: str, most_bits: int = FILTER_BITS) -> tuple[np.ndarray, int]:
@@ -274,8 +367,8 @@ def bit_map(ids: DataFrame, column: str, most_bits: int = FILTER_BITS) -> tuple[
     return table, bits
 
 
-def maybe_in(docs: DataFrame, ids: DataFrame, column: str) -> DataFrame:
-    """The rows with ``_maybe``: true for every doc_id among the ids and a few others, null for null; decided where the rows are read."""
+def maybe_in(docs: DataFrame, ids: DataFrame, column: str, mark: str) -> DataFrame:
+    """The rows with ``mark``: true for every doc_id among the ids and a few others, null for null; decided where the rows are read."""
     table, bits = bit_map(ids, column)
     shared = docs.sparkSession.sparkContext.broadcast(table)
 
@@ -285,45 +378,51 @@ def maybe_in(docs: DataFrame, ids: DataFrame, column: str) -> DataFrame:
         hit = (shared.value[(at >> np.uint64(6)).astype(np.int64)] >> (at & np.uint64(63))) & np.uint64(1)
         return pd.Series(hit > 0)
 
-    return docs.withColumn("_maybe", F.when(F.col("doc_id").isNotNull(), look(F.coalesce("doc_id", F.lit(0)))))
+    return docs.withColumn(mark, F.when(F.col("doc_id").isNotNull(), look(F.coalesce("doc_id", F.lit(0)))))
 
 
 def links(docs: DataFrame, member: DataFrame, *, words: int, agree: int, percent: int, coordinates: int) -> DataFrame:
     """(a, b): spanning links between classes, each confirmed on full sets."""
-    dealt = stored(blocks(member), "blocks")
-    texts = maybe_in(docs.select("doc_id", "text"), member, "rep").filter("_maybe").drop("_maybe")
-    full = dealt.join(texts, F.col("rep") == F.col("doc_id")).drop("doc_id")
+    texts = lambda some: maybe_in(docs.select("doc_id", "text"), some, "rep", "_maybe").filter("_maybe").drop("_maybe")
+    star = stored(stars(texts(member.filter(F.col("size") > SMALL)), member, words=words, percent=percent), "stars")
+    dealt = stored(blocks(member, star), "blocks")
+    full = dealt.join(texts(dealt.select("rep")), F.col("rep") == F.col("doc_id")).drop("doc_id")
 
     def run(table: pa.Table) -> pa.Table:
-        family, hub, ids, side = (table.column(n).to_numpy() for n in ("family", "hub", "rep", "side"))
-        texts = table.column("text").to_pylist()
-        data = [x for k in range(0, len(texts), 256) for x in shingle_sets(texts[k : k + 256], words)]
-        order = np.lexsort((ids, family))
-        cuts = np.flatnonzero(np.append(True, np.diff(family[order]) != 0))
-        out: list[tuple[int, int]] = []
-        for k, start in enumerate(cuts):
-            at = order[start : cuts[k + 1] if k + 1 < len(cuts) else len(order)]
-            if len(at) > 1:
-                out += compare(ids[at], [data[x] for x in at], side[at], int(hub[at[0]]), agree=agree, percent=percent, coordinates=coordinates)
+        ids, side = table.column("rep").to_numpy(), table.column("side").to_numpy()
+        joined = table.column("joined").to_numpy(zero_copy_only=False).astype(bool)
+        limits = {"agree": agree, "percent": percent, "coordinates": coordinates}
+        out = compare(ids, _sets(table, words), side & 1 > 0, side & 2 > 0, joined, **limits)
         a, b = zip(*out) if out else ((), ())
         return pa.table({"a": pa.array(a, pa.int64()), "b": pa.array(b, pa.int64())})
 
-    return full.groupBy("g", "i", "j").applyInArrow(run, "a long, b long")
+    found = full.groupBy("g", "i", "j").applyInArrow(run, "a long, b long")
+    return found.unionByName(star.select(F.col("hub").alias("a"), F.col("rep").alias("b")))
 
 
-def find(docs: DataFrame, *, words: int = WORDS, percent: int = PERCENT, coordinates: int = COORDINATES, agree: int = AGREE) -> DataFrame:
-    """doc_id, n_shingles, component_id, kept of each document."""
+KEY = ["n_shingles", "h1", "h2"]
+
+
+def _grouped(docs: DataFrame, words: int, percent: int, coordinates: int, agree: int) -> tuple[DataFrame, DataFrame]:
+    """(summaries, component of each class) of the documents."""
     docs = docs.select("doc_id", "text")
     summary = stored(summarize(docs, words, coordinates), "signatures")
     some = summary.filter("n_shingles > 0")
-    classes = stored(some.groupBy("n_shingles", "h1", "h2").agg(F.min(F.struct("doc_id", "sig")).alias("x")).select("n_shingles", "h1", "h2", F.col("x.doc_id").alias("rep"), "x.sig"), "classes")
-    prefix = stored(prefixes(postings(classes, coordinates), agree), "prefixes")
-    member = families(prefix)
+    least = F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "sig")).alias("x")
+    classes = stored(some.groupBy(*KEY).agg(least).select(*KEY, F.col("x.doc_id").alias("rep"), "x.sig"), "classes")
+    named = classes.filter("rep is not null")
+    prefix = stored(prefixes(postings(named, coordinates), agree), "prefixes")
+    member = families(prefix, named)
     found = stored(links(docs, member, words=words, agree=agree, percent=percent, coordinates=coordinates), "found")
     parts = connected_components(found)
-    merged = stored(classes.join(parts, F.col("rep") == F.col("node"), "left").select("n_shingles", "h1", "h2", F.coalesce("component", "rep").alias("component_id")), "merged")
-    on = ["n_shingles", "h1", "h2"]
-    result = some.join(merged, on).select("doc_id", "n_shingles", "component_id")
+    merged = classes.join(parts, F.col("rep") == F.col("node"), "left")
+    return summary, stored(merged.select(*KEY, F.coalesce("component", "rep").alias("component_id")), "merged")
+
+
+def find(docs: DataFrame, *, words: int = WORDS, percent: int = PERCENT, coordinates: int = COORDINATES, agree: int = AGREE) -> DataFrame:
+    """doc_id, n_shingles, component_id, kept of each document."""
+    summary, merged = _grouped(docs, words, percent, coordinates, agree)
+    result = summary.filter("n_shingles > 0").join(merged, KEY).select("doc_id", "n_shingles", "component_id")
     alone = summary.filter("n_shingles = 0").select("doc_id", "n_shingles", F.col("doc_id").alias("component_id"))
     return result.unionByName(alone).withColumn("kept", F.col("doc_id") == F.col("component_id"))
 
@@ -331,9 +430,18 @@ def find(docs: DataFrame, *, words: int = WORDS, percent: int = PERCENT, coordin
 def first_of_each(docs: DataFrame, **options) -> DataFrame:
     """The documents that are the least doc_id of their component (and those without doc_id), with all their columns.
 
-    Texts stay where they are read unless their id may be one to drop; only those meet the list of ids."""
-    drop = stored(find(docs, **options).filter("not kept").select(F.col("doc_id").alias("_drop")).distinct(), "drop")
-    marked = maybe_in(docs, drop, "_drop")
-    sure = marked.filter(~F.coalesce("_maybe", F.lit(False))).drop("_maybe")
-    asked = marked.filter("_maybe").drop("_maybe")
-    return sure.unionByName(asked.join(drop, F.col("doc_id") == F.col("_drop"), "left_anti"))
+    Of rows with one doc_id and one text one stays. Texts stay where they are read unless their id may be one to drop or
+    repeated; only those meet the lists of ids."""
+    rows = stored(find(docs, **options), "groups")
+    drop = rows.filter("not kept").select(F.col("doc_id").alias("_id")).distinct().withColumn("_drop", F.lit(True))
+    again = rows.filter("kept").groupBy(F.col("doc_id").alias("_id")).agg(F.count(F.lit(1)).alias("n")).filter("n > 1")
+    asked_ids = stored(drop.unionByName(again.select("_id", F.lit(False).alias("_drop"))), "drop")
+    mark = f"_maybe_{uuid.uuid4().hex}"
+    names = docs.columns
+    marked = maybe_in(docs, asked_ids, "_id", mark)
+    sure = marked.filter(~F.coalesce(mark, F.lit(False))).select(*names)
+    ids = asked_ids.toDF(f"id{mark}", f"drop{mark}")
+    asked = marked.filter(mark).join(ids, F.col("doc_id") == F.col(f"id{mark}"), "left").filter(f"not coalesce(drop{mark}, false)")
+    once = asked.filter(f"drop{mark} is null").select(*names)
+    repeated = asked.filter(f"drop{mark} is not null").select(*names).dropDuplicates(["doc_id", "text"])
+    return sure.unionByName(once).unionByName(repeated)

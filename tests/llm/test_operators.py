@@ -57,6 +57,28 @@ def test_embeddings_equal_brute_force(spark):
     assert embedding_dedup.find(df.filter("vec_id < 0")).count() == 0
 
 
+def test_probes_are_few_and_find_nearly_all_links():
+    """Against brute force on vectors without clusters: recall, and lists probed as their number grows."""
+    r = np.random.default_rng(4)
+    x = r.normal(size=(3000, 64))
+    x[2000:] = x[:1000] + 0.3 * r.normal(size=(1000, 64)) * r.uniform(0.1, 1, size=(1000, 1))
+    x /= np.linalg.norm(x, axis=1)[:, None]
+    truth = {(i, j) for i, j in np.argwhere(x @ x.T >= 0.95) if i != j}
+    probed = []
+    for lists in (30, 120):
+        q = embedding_dedup.Quantizer(x, lists)
+        at, codes, error = q.index(x)
+        asked = q.probes(x)
+        found = set()
+        for one in range(len(q.centroids)):
+            mine, asking = np.flatnonzero(at == one), np.flatnonzero(asked[:, one])
+            for i, good in q.links(x[asking], x[mine], one, codes[mine], error[mine]):
+                found |= {(int(asking[i]), int(j)) for j in mine[good] if j != asking[i]}
+        assert found <= truth and len(found) >= 0.999 * len(truth)
+        probed.append(asked.sum(1).mean())
+    assert probed[1] < 3 * probed[0]
+
+
 # 2
 def test_benchmark_passages_are_found_and_clean_texts_left(spark, rng):
     items = [words(rng, 30) for _ in range(12)] + ["short", "", None, words(rng, 8)]
@@ -292,13 +314,34 @@ def test_near_duplicates_equal_brute_force(spark, rng):
 
 
 def test_large_families_in_squares(spark, rng, monkeypatch):
-    monkeypatch.setattr(near_duplicates.blocks, "__defaults__", (8, 4))
+    monkeypatch.setattr(near_duplicates, "BLOCK", 8)
+    monkeypatch.setattr(near_duplicates, "SMALL", 4)
     b = words(rng, 80).split()
     texts = [" ".join(b[: k % 7] + [f"new{i}"] + b[k % 7 + 1 + i % 2 :]) for i, k in enumerate(rng.choices(range(70), k=60))]
     got = {r["doc_id"]: r["component_id"] for r in near_duplicates.find(table(spark, texts)).collect()}
     assert got == {i: c for i, (_, c) in brute_near(texts).items()}
 
 
+def test_collisions_equal_brute_force():
+    r = np.random.default_rng(1)
+    rows, columns = r.integers(0, 6, (40, 12), dtype=np.uint32), r.integers(0, 6, (70, 12), dtype=np.uint32)
+    for agree in (1, 4, 12):
+        got = {(int(i), int(j)) for a, b in near_duplicates.collisions(rows, columns, agree) for i, j in zip(a, b)}
+        assert got == {(i, j) for i in range(40) for j in range(70) if (rows[i] == columns[j]).sum() >= agree}
+
+
+def test_ids_that_are_null_repeated_or_shared(spark, rng):
+    """Rows of one doc_id are one document; a null id names no component; of equal rows one stays; clashing columns are kept."""
+    a, b, c = (words(rng, 30) for _ in range(3))
+    rows = [(1, a), (1, a), (2, a), (3, b), (3, c), (4, c), (None, a), (None, "alone and without an id or equal"), (7, b)]
+    docs = spark.createDataFrame([(i, t, 5, 6, 7) for i, t in rows], "doc_id long, text string, _maybe int, _drop int, rep int")
+    got = sorted((r["doc_id"] or -1, r["component_id"] or -1, r["kept"]) for r in near_duplicates.find(docs).collect())
+    assert got == sorted([(1, 1, True), (1, 1, True), (2, 1, False), (3, 3, True), (3, 3, True), (4, 3, False), (-1, 1, None), (-1, -1, None), (7, 3, False)])
+    kept = near_duplicates.first_of_each(docs)
+    assert kept.columns == docs.columns
+    assert sorted((r["doc_id"] or -1, r["_maybe"], r["_drop"], r["rep"]) for r in kept.collect()) == [(-1, 5, 6, 7)] * 2 + [(1, 5, 6, 7)] + [(3, 5, 6, 7)] * 2
+
+
 def test_no_documents(spark):
     assert near_duplicates.find(table(spark, ["x"]).limit(0)).count() == 0
 
