@@ -7,6 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from spanweave import replay, surroundings, workloads
 from spanweave.functions.hashing import SCALE, drawn, h32_sql
 from spanweave.operators import baselines, decompose, estimate, graph, growth, measures, relational, rounds, sssp
 from spanweave.operators.quotient import eccentricities, quotient
@@ -15,7 +16,6 @@ from spanweave.session import stored
 from spanweave.sources import fixtures, generators
 from spanweave.sources.tables import read_table
 from spanweave.streaming import edges as stream
-from spanweave.workloads import ABLATIONS
 
 Query = Callable[[SparkSession, str], DataFrame]
 
@@ -230,39 +230,61 @@ def _mesh(spark, sf_dir, weight="uniform") -> graph.WeightedGraph:
     return graph.build(fixtures.part_mesh(spark, sf_dir, weight))
 
 
-@query()
+_E = replay.both(fixtures.SQL["part_mesh"])
+_STAGED = f"WITH RECURSIVE {_E}, {replay.staged()}"
+_RESCALED = f"WITH RECURSIVE {_E}, {replay.rescaled()}"
+_HOPS = f"WITH RECURSIVE {replay.both(fixtures.SQL['part_mesh'], hops=True)}, {replay.staged(delta0='(SELECT count(DISTINCT src) FROM b)')}"
+
+
+@query(f"{_STAGED} SELECT node, center, path_weight, stage FROM st")
 def staged_clusters(spark, sf_dir):
     return decompose.staged_decompose(_mesh(spark, sf_dir), 1).clusters
 
 
-@query()
+@query(f"WITH RECURSIVE {replay.both(fixtures.SQL['order_part'])}, {replay.staged(8, seed=11)} SELECT node, center, path_weight, stage FROM st")
+def staged_clusters_bipartite(spark, sf_dir):
+    """The same on a graph of small hop depth, with another tau and seed."""
+    return decompose.staged_decompose(graph.build(fixtures.order_part(spark, sf_dir)), 8, seed=11).clusters
+
+
+@query(f"{_STAGED}, {replay.quotient()} SELECT src, dst, w FROM q")
 def staged_quotient(spark, sf_dir):
     g = _mesh(spark, sf_dir)
     return quotient(g, decompose.staged_decompose(g, 1))
 
 
-@query()
+@query(f"{_STAGED} SELECT center, count(*) AS nodes, max(path_weight) AS radius FROM st GROUP BY center")
+def cluster_report(spark, sf_dir):
+    return measures.cluster_report(decompose.staged_decompose(_mesh(spark, sf_dir), 1))
+
+
+@query(f"{_STAGED}, {replay.quotient()}, f AS ({replay.figures('staged')}) SELECT *, 1::BIGINT AS tau FROM f")
 def fast_estimate(spark, sf_dir):
     """The flagship: the fast estimate of the uniform mesh, with its figures."""
     row, _ = estimate.fast_estimate(_mesh(spark, sf_dir), tau=1)
     return estimate.result_frame(spark, [row])
 
 
-@query()
+@query(f"{_RESCALED} SELECT node, center, path_weight, stage FROM rs")
 def rescaled_clusters(spark, sf_dir):
     return decompose.rescaled_decompose(_mesh(spark, sf_dir), 1).clusters
 
 
-@query()
+@query(f"{_RESCALED}, {replay.quotient('rs')} {replay.figures('rescaled', 'rs', 'contractions')}")
 def rescaled_estimate(spark, sf_dir):
     return estimate.result_frame(spark, [estimate.estimate_diameter(_mesh(spark, sf_dir), 1, method="rescaled")[0]])
 
 
-@query()
+@query(f"{_HOPS}, {replay.quotient()} {replay.figures('hop')}")
 def hop_estimate(spark, sf_dir):
     return estimate.result_frame(spark, [estimate.estimate_diameter(_mesh(spark, sf_dir), 1, method="hop")[0]])
 
 
+@query(f"{_HOPS} SELECT node, center, path_weight, stage FROM st")
+def hop_clusters(spark, sf_dir):
+    return decompose.hop_decompose(decompose.by_hops(_mesh(spark, sf_dir)), 1).clusters
+
+
 _PAIRS = f"""WITH RECURSIVE {SMALL}, p(a, z, d) USING KEY (a, z) AS (SELECT id, id, 0::BIGINT FROM n
   UNION SELECT q.a, q.z, q.d FROM (SELECT p.a, b.dst AS z, min(p.d + b.w) AS d FROM p JOIN b ON b.src = p.z GROUP BY ALL) q
     LEFT JOIN recurring.p old ON old.a = q.a AND old.z = q.z WHERE old.a IS NULL OR q.d < old.d)"""
@@ -544,12 +566,13 @@ def _steps(spark, sf_dir) -> DataFrame:
     return decompose.staged_decompose(_mesh(spark, sf_dir), 1).loop.frame()
 
 
-@query()
+@query(f"{_STAGED} SELECT CASE WHEN grouping(phase) = 0 THEN phase END AS phase, stage, count(*) AS steps, sum(messages)::BIGINT AS messages, sum(updates)::BIGINT AS updates "
+       "FROM (SELECT 'staged' AS phase, * FROM st_steps) GROUP BY ROLLUP (phase, stage)")
 def metrics_rollup(spark, sf_dir):
     return relational.work_rollup(_steps(spark, sf_dir))
 
 
-@query()
+@query(f"{_STAGED} SELECT 'staged' AS phase, guess, sum(messages)::BIGINT AS messages, sum(updates)::BIGINT AS updates, count(*) AS steps FROM st_steps GROUP BY guess")
 def work_by_phase(spark, sf_dir):
     return _steps(spark, sf_dir).groupBy("phase", "guess").agg(F.sum("messages").alias("messages"), F.sum("updates").alias("updates"), F.count(F.lit(1)).alias("steps"))
 
@@ -570,4 +593,50 @@ def recursive_quotient_is_conservative(spark, sf_dir):
     return spark.createDataFrame([(modes[0] == modes[1] and min(modes[2:]) >= modes[0] and modes[0] >= exact,)], "same boolean")
 
 
-QUERIES.update(ABLATIONS)
+@query(_distances(f"e AS (SELECT * FROM ({fixtures.SQL['part_mesh']}) WHERE w <= {SCALE // 2}), b AS (SELECT src, dst, w FROM e UNION ALL SELECT dst, src, w FROM e)", "0")
+       + f" SELECT v.node, r.dist FROM (SELECT src AS node FROM ({fixtures.SQL['part_mesh']}) UNION SELECT dst FROM ({fixtures.SQL['part_mesh']})) v LEFT JOIN r ON r.node = v.node")
+def light_distance(spark, sf_dir):
+    """Distances along light edges only."""
+    return sssp.light_distance(_mesh(spark, sf_dir), 0, SCALE // 2)
+
+
+_KNN = f"e AS MATERIALIZED ({fixtures.SQL['embedding_knn']}), b AS (SELECT src, dst, w FROM e UNION ALL SELECT dst, src, w FROM e)"
+
+
+@query(_distances(_KNN, "SELECT min(src) FROM b").replace("0::BIGINT AS dist", "0::DOUBLE AS dist") + _ALL.replace("r.dist", "round(r.dist, 9) AS dist"))
+def sssp_real_weights(spark, sf_dir):
+    """A search on real weights: distances between vectors along nearest neighbours."""
+    g = graph.build(fixtures.embedding_knn(spark, sf_dir))
+    dist = sssp.bucketed_sssp(g, g.nodes.agg(F.min("node")).first()[0], 2.5).dist
+    return dist.select("node", F.round("dist", 9).alias("dist"))
+
+
+_SWEEP_ORDER = f"WITH RECURSIVE {replay.both(fixtures.SQL['order_part'])}, {replay.sweeps(replay.source(), 3)}"
+_EACH = " UNION ALL ".join(f"SELECT {i}::BIGINT AS sweep, max(dist) AS ecc FROM sw{i}" for i in range(3))
+
+
+@query(f"{_SWEEP_ORDER} {_EACH}")
+def farthest_sweeps_bipartite(spark, sf_dir):
+    """Farthest-node searches on a graph of the tables."""
+    g = graph.build(fixtures.order_part(spark, sf_dir))
+    rows = sssp.farthest_sweeps(g, sssp.pick_source(g), 3)
+    return spark.createDataFrame([(r["sweep"], r["ecc"]) for r in rows], "sweep long, ecc long")
+
+
+@query(f"WITH RECURSIVE {_E}, {replay.sweeps(replay.source(), 3)} {_EACH}")
+def farthest_sweeps_mesh(spark, sf_dir):
+    g = _mesh(spark, sf_dir)
+    rows = sssp.farthest_sweeps(g, sssp.pick_source(g), 3)
+    return spark.createDataFrame([(r["sweep"], r["ecc"]) for r in rows], "sweep long, ecc long")
+
+
+@query(_chain_sql("page_link") + f", q AS (SELECT c, count(*) AS nodes FROM r GROUP BY c) SELECT c AS component, nodes, true AS exact FROM q")
+def component_diameters(spark, sf_dir):
+    """Components of the link graph, small ones solved apart; their diameters are compared in the tests."""
+    return estimate.diameter_by_component(graph.build(fixtures.page_link(spark, sf_dir))).select("component", "nodes", "exact")
+
+
+QUERIES.update(workloads.QUERIES)
+ORACLES.update(workloads.ORACLES)
+QUERIES.update(surroundings.QUERIES)
+ORACLES.update(surroundings.ORACLES)

@@ -40,6 +40,11 @@ def _side(n: int, side: int | None) -> int:
     return math.isqrt(n) if side is None else side
 
 
+def side_of(spark: SparkSession, sf_dir: str, table: str) -> int:
+    """The side of the square mesh over a table's rows."""
+    return math.isqrt(read_table(spark, sf_dir, table).count())
+
+
 def part_mesh(spark: SparkSession, sf_dir: str, weight: str = "uniform", side: int | None = None) -> DataFrame:
     """Square mesh over part keys; weight: uniform, size, bimodal or unit."""
     part = read_table(spark, sf_dir, "part").select(F.col("p_partkey").cast("long").alias("id"), "p_size")
