@@ -34,7 +34,7 @@ def op5_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op6_preferences(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return preferences.from_neighbours(_read(spark, sf_dir, "conversations"))
+    return preferences.from_exchanged_replies(_read(spark, sf_dir, "conversations"))
 
 
 def op7_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:

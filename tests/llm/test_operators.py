@@ -214,34 +214,43 @@ def test_added_tokens_have_their_own_ids(rng):
 
 
 # 6
+TURNS = "conv_id long, turn long, role string, text string, pair_id int"
+
+
 def test_preferences(spark):
-    rows = [(1, 0, "user", "hi", 9), (1, 1, "assistant", "good long answer", 9), (2, 0, "user", "hi", 9), (2, 1, "assistant", "no", 9), (3, 0, "user", None, 9), (None, 0, "user", "z", 9), (2, 1, "assistant", "no", 9), (4, 0, None, "a<|end|>b", 9)]
-    got = preferences.from_neighbours(spark.createDataFrame(rows, "conv_id long, turn long, role string, text string, pair_id int")).collect()
-    pair = [r for r in got if r["conv_id"] in (1, 2)]
-    if len({r["pair_id"] for r in pair}) == 1:
-        assert sorted((r["part"], r["conv_id"], r["turn"]) for r in pair) == [("chosen", 1, 1), ("prompt", 1, 0), ("rejected", 2, 1)]
-        chosen = next(r for r in pair if r["part"] == "chosen")
-        assert chosen["rendered"][chosen["mask_start"] : chosen["mask_end"]] == "good long answer<|end|>"
-    assert all(r["rendered"].count("<|end|>") == 1 for r in got)
-    assert preferences.from_neighbours(spark.createDataFrame([], "conv_id long, turn long, role string, text string")).count() == 0
-
-
-def test_equal_openings_meet(spark):
-    # openings of 1 to 7 conversations, and a hot one that spans the ranges
-    sizes = {f"q{i}": 1 + i % 7 for i in range(40)} | {"hot": 301}
-    first = [q for q, n in sizes.items() for _ in range(n)]
-    rows = [(c, t, role, text) for c, q in enumerate(first) for t, role, text in ((0, "user", q), (1, "assistant", f"answer {c}"))]
-    got = preferences.from_neighbours(spark.createDataFrame(rows, "conv_id long, turn long, role string, text string")).collect()
-    pairs = {}
-    for r in got:
-        pairs.setdefault(r["pair_id"], []).append(r)
-    held = [sorted({r["conv_id"] for r in p}) for p in pairs.values()]
-    assert all(len(p) == 2 for p in held) and sum(map(len, held)) == len({c for p in held for c in p}) == len(first) // 2 * 2
-    met = [p for p in held if first[p[0]] == first[p[1]]]
-    assert len(met) == sum(n // 2 for n in sizes.values())
-    for rows in pairs.values():
-        same = len({first[r["conv_id"]] for r in rows}) == 1
-        assert sorted((r["part"], r["turn"]) for r in rows) == ([("chosen", 1), ("prompt", 0), ("rejected", 1)] if same else [("chosen", 0), ("chosen", 1), ("rejected", 0), ("rejected", 1)])
+    """Both sides of every pair: one prompt, two completions whose masks hold the replies; odd rows, a long conversation."""
+    rows = [
+        (1, 0, "user", "hi", 9), (1, 1, "assistant", "good long answer", 9), (1, 2, "user", "and?", 9), (1, 3, "assistant", "more", 9), (1, 4, "user", "bye", 9),
+        (2, 0, "user", "hi", 9), (2, 1, "assistant", "no", 9), (2, 1, "assistant", "no", 9), (3, 0, "user", None, 9), (None, 0, "user", "z", 9),
+        (4, 0, None, "a<|end|>b", 9), (4, 1, "assistant", "c<|user|>", 9),
+    ] + [(5, i, "assistant" if i % 2 else "user", f"t{i}", 9) for i in range(600)]
+    said = preferences.turns(spark.createDataFrame(rows, TURNS)).cache()
+    donors = {r["conv_id"]: r for r in preferences.neighbours(said).collect()}
+    assert sorted(donors) == [1, 2, 4, 5] and all(donors[d["donor"]]["donor"] == c for c, d in donors.items())
+    own = {c: {t: (r, x) for c2, t, r, x, _ in rows if c2 == c} for c in donors}
+    got = {}
+    for r in preferences.format_pairs(preferences.exchanged(said, preferences.neighbours(said))).orderBy("segment").collect():
+        got.setdefault((r["pair_id"], r["part"]), []).append(r)
+    safe = lambda x: (x or "").replace("<|", "< |")
+    show = lambda r, x: f"<|{safe(r)}|>\n{safe(x)}<|end|>\n"
+    for c, d in donors.items():
+        reply, other = own[c][d["last"]][1], own[d["donor"]][donors[d["donor"]]["last"]][1]
+        assert "".join(r["text"] for r in got[c, "prompt"]) == "".join(show(*own[c][t]) for t in sorted(own[c]) if t < d["last"])
+        assert all(not r["mask"] for r in got[c, "prompt"]) and all(r["turns"] <= preferences.SEGMENT for r in got[c, "prompt"])
+        for part, words_, whose in (("chosen", reply, c), ("rejected", other, d["donor"])):
+            (r,) = got[c, part]
+            ((first, end),) = r["mask"]
+            assert r["text"] == show("assistant", words_) and r["conv_id"] == whose and r["text"][first:end] == f"{safe(words_)}<|end|>"
+    assert preferences.from_exchanged_replies(spark.createDataFrame([], TURNS)).count() == 0
+
+
+def test_common_prefix_of_any_two_conversations(spark):
+    """A shorter side, a differing middle turn, equal sides and sides that differ from the start."""
+    a = [("user", "x"), ("assistant", "y"), ("user", "z"), ("assistant", "w")]
+    others = {1: a[:2], 2: [*a[:2], ("user", "other"), a[3]], 3: a, 4: [("assistant", "x"), *a[1:]]}
+    rows = [(k, side, k, t, r, x) for k, o in others.items() for side, s in (("chosen", a), ("rejected", o)) for t, (r, x) in enumerate(s)]
+    got = {(r["pair_id"], r["part"]): r["turns"] for r in preferences.format_pairs(spark.createDataFrame(rows, "pair_id long, side string, conv_id long, turn long, role string, text string")).collect()}
+    assert got == {(1, "prompt"): 2, (1, "chosen"): 2, (2, "prompt"): 2, (2, "chosen"): 2, (2, "rejected"): 2, (3, "prompt"): 4, (4, "chosen"): 4, (4, "rejected"): 4}
 
 
 # 7
