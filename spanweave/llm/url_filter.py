@@ -3,6 +3,10 @@
 All row work is DataFrame expressions. The trees are fitted on the driver from a bounded
 sample of labelled URLs (``TRAIN_ROWS``) and applied as CASE expressions.
 
+Labels are weak ones, as no table holds labelled URLs: a list of host words (``SEED_WORDS``). The trees do not see words,
+only lexical features and what other hosts under the same suffix are labelled; ``held_out`` measures them on hosts that
+neither trees nor statistics have seen. URLs are looked at whole, however long.
+
 Defined cases: a null URL, or one without ``://``, has empty host and path, fits no rule and
 is judged by the trees like any other; repeated rows each get their verdict; with no labelled
 URL of one class the trees are constant; extra columns are ignored.
@@ -100,39 +104,53 @@ def with_lexical(df: DataFrame, url: str = "url") -> DataFrame:
     })
 
 
-def suffix_statistics(labelled: DataFrame, suffix: str, out: str) -> DataFrame:
-    """Per suffix: log rows and smoothed share of unwanted URLs among the labelled ones."""
-    return labelled.groupBy(F.col(suffix).alias(f"_{suffix}")).agg(
-        ((F.sum("label") + 1.0) / (F.count("label") + 2.0)).alias(f"{out}_rate"), F.log2(F.count("label") + 1.0).alias(f"{out}_rows")
-    )
-
-
 def label_by_words(df: DataFrame, words=SEED_WORDS) -> DataFrame:
     """Adds ``label``: null where a rule decides or there is no host; 1 where a host word is a seed word; else 0."""
     named = F.arrays_overlap(F.split("host", "[.-]"), F.array(*[F.lit(w) for w in words]))
-    return df.withColumn("label", F.when(F.col("rule").isNotNull() | (F.col("host") == ""), F.lit(None)).when(named, F.lit(1.0)).otherwise(F.lit(0.0)))
+    unknown = F.col("rule").isNotNull() | (F.col("host") == "")
+    return df.withColumn("label", F.when(unknown, F.lit(None)).when(named, F.lit(1.0)).otherwise(F.lit(0.0)))
 
 
 def with_statistics(df: DataFrame, labelled: DataFrame) -> DataFrame:
-    one, two = suffix_statistics(labelled, "suffix1", "f_suffix"), suffix_statistics(labelled, "suffix2", "f_suffix2").drop("f_suffix2_rows")
-    df = df.join(one, df["suffix1"] == one["_suffix1"], "left").join(two, df["suffix2"] == two["_suffix2"], "left").drop("_suffix1", "_suffix2")
-    return df.fillna({"f_suffix_rate": 0.5, "f_suffix_rows": 0.0, "f_suffix2_rate": 0.5})
+    """Adds what the labelled URLs of *other* hosts under the same suffix say: smoothed share of unwanted ones, log of rows.
+
+    A host's own labels are taken out, in training as in judging: no feature holds the label that it is to predict."""
+    sums = lambda key, out: labelled.groupBy(F.col(key).alias(f"_{out}")).agg(F.sum("label").alias(f"_{out}_s"), F.count("label").alias(f"_{out}_n"))
+    for key, out in (("host", "h"), ("suffix1", "one"), ("suffix2", "two")):
+        df = df.join(sums(key, out), F.col(key) == F.col(f"_{out}"), "left").drop(f"_{out}")
+    mine = lambda c: F.coalesce(c, F.lit(0.0))
+    bad = lambda out: mine(f"_{out}_s") - mine("_h_s")
+    rows = lambda out: mine(f"_{out}_n") - mine("_h_n")
+    df = df.withColumns({
+        "f_suffix_rate": (bad("one") + 1.0) / (rows("one") + 2.0), "f_suffix_rows": F.log2(rows("one") + 1.0),
+        "f_suffix2_rate": (bad("two") + 1.0) / (rows("two") + 2.0),
+    })
+    return df.drop(*[f"_{out}_{k}" for out in ("h", "one", "two") for k in "sn"])
 
 
 def train(df: DataFrame, rows: int = TRAIN_ROWS, **options) -> boosting.Forest:
     """Fits trees to ``FEATURES`` and ``label`` of about ``rows`` labelled rows at most, those with the smallest hashes."""
-    sample = bounded_sample(df.filter("label is not null"), rows, "page_id").select("label", *FEATURES).orderBy("label", *FEATURES).collect()
+    sample = bounded_sample(df.filter("label is not null"), rows, "page_id").select("label", *FEATURES)
+    sample = sample.orderBy("label", *FEATURES).collect()
     x = np.array([[float(r[f]) for f in FEATURES] for r in sample]).reshape(len(sample), len(FEATURES))
     return boosting.fit(x, np.array([r["label"] for r in sample]), **({"trees": 20, "depth": 3, "rate": 0.3} | options))
 
 
 def judge(pages: DataFrame, rules=RULES, *, threshold: float = 0.5, train_rows: int = TRAIN_ROWS) -> DataFrame:
-    """page_id, host, path, rule, verdict, score of each page: the longest rule's verdict, else block where the trees' score reaches ``threshold``."""
+    """page_id, host, path, rule, verdict, score of each page: the longest rule's verdict, else block from ``threshold`` on."""
     base = label_by_words(with_lexical(with_rule(with_parts(pages.select("page_id", "url")), rules)))
     full = with_statistics(base, base.filter("label is not null"))
-    forest = train(full, train_rows)
-    score = forest.as_column(FEATURES)
-    return full.withColumn("score", score).select(
-        "page_id", "host", "path", "rule",
-        F.coalesce("rule_verdict", F.when(F.col("score") >= threshold, F.lit("block")).otherwise(F.lit("allow"))).alias("verdict"), "score",
-    )
+    score = train(full, train_rows).as_column(FEATURES)
+    by_trees = F.when(F.col("score") >= threshold, F.lit("block")).otherwise(F.lit("allow"))
+    judged = full.withColumn("score", score).withColumn("verdict", F.coalesce("rule_verdict", by_trees))
+    return judged.select("page_id", "host", "path", "rule", "verdict", "score")
+
+
+def held_out(pages: DataFrame, rules=RULES, *, threshold: float = 0.5, folds: int = 5) -> DataFrame:
+    """(label, blocked, rows) over the hosts of one fold, judged by trees and statistics of the other folds' hosts."""
+    base = label_by_words(with_lexical(with_rule(with_parts(pages.select("page_id", "url")), rules))).filter("label is not null")
+    out = F.pmod(F.xxhash64("host"), F.lit(folds)) == 0
+    full = with_statistics(base, base.filter(~out))
+    score = train(full.filter(~out)).as_column(FEATURES)
+    judged = full.filter(out).select("label", (score >= threshold).alias("blocked"))
+    return judged.groupBy("label", "blocked").agg(F.count(F.lit(1)).alias("rows"))
