@@ -32,8 +32,8 @@ TRAIN_ROWS = 4_000
 BUCKETS = 1 << 17
 SWITCH = 12.0
 SMOOTHING = 0.2
-#: Bytes of text labelled at once.
-SLICE = 1_200_000
+#: Bytes of text labelled at once; a longer text is read in windows of so many characters.
+SLICE = 1_000_000
 #: A language is a candidate for a script that holds this share of its words.
 SCRIPT_SHARE = 0.02
 
@@ -134,14 +134,17 @@ class Model:
 
     def label(self, words: Words) -> np.ndarray:
         """The language of each word: the best path of each text, all texts in step."""
-        score = self.emit(words)
+        return self.path(self.emit(words), words.text)
+
+    def path(self, score: np.ndarray, text: np.ndarray) -> np.ndarray:
+        """The best path over scores (words x languages) within each text, whose words lie together."""
         n, k = score.shape
-        counts = np.bincount(words.text)
+        counts = np.bincount(text)
         counts = counts[counts > 0]
         start = np.concatenate([[0], np.cumsum(counts)[:-1]])
         order = np.argsort(-counts, kind="stable")
         counts, start = counts[order], start[order]
-        best = np.zeros((n, k), np.int8)
+        best = np.zeros((n, k), np.int8 if k < 128 else np.int32)
         delta = score[start] + self.prior
         longest = int(counts[0])
         active = np.searchsorted(-counts, -np.arange(1, longest + 1), side="right")
@@ -155,7 +158,7 @@ class Model:
             at = start[:m] + t
             best[at] = np.where(stay, own, top[:, None])
             delta[:m] = np.maximum(d, high) + score[at]
-        path = np.zeros(n, np.int64)
+        path = np.zeros(n, best.dtype)
         now = delta.argmax(1)
         for t in range(longest - 1, -1, -1):
             m = active[t]
@@ -165,6 +168,24 @@ class Model:
                 now[:m] = best[at, now[:m]]
         return path
 
+    def windows(self, text: str, limit: int) -> tuple[np.ndarray, np.ndarray]:
+        """(scores, letters) of the words of one long text, read in windows of about ``limit`` characters that end between words.
+
+        Of a window only a number per word and language stays; a word longer than a window is read whole."""
+        scores, sizes, start = [], [], 0
+        while start < len(text):
+            stop = min(len(text), start + limit)
+            while stop < len(text) and text[stop - 1].isalpha() and text[stop].isalpha():
+                stop += 1
+            words = Words.of([text[start:stop]])
+            if len(words.first):
+                scores.append(self.emit(words))
+                sizes.append(words.size)
+            start = stop
+        if not scores:
+            return np.zeros((0, len(self.languages)), np.float32), np.zeros(0, np.int64)
+        return np.concatenate(scores), np.concatenate(sizes)
+
 
 def is_held_out(doc_id: str = "doc_id"):
     return F.pmod(F.crc32(F.col(doc_id).cast("string")), F.lit(3)) == 1
@@ -176,14 +197,22 @@ def train(docs: DataFrame, rows: int = TRAIN_ROWS) -> Model:
     return Model.fit(bounded_sample(known, rows, "doc_id").select("text", "lang").toLocalIterator())
 
 
-def classify(model: Model, texts: list[str | None]) -> tuple[list[str], np.ndarray]:
-    """Language of each text and the share of its letters labelled so."""
+def classify(model: Model, texts: list[str | None], limit: int = SLICE) -> tuple[list[str], np.ndarray]:
+    """Language of each text and the share of its letters labelled so; a text of more than ``limit`` characters by windows."""
     names, n, k = [*model.languages, "und"], len(texts), len(model.languages)
+    letters = np.zeros((n, k))
+    long = [i for i, t in enumerate(texts) if t and len(t) > limit]
+    if k:
+        for i in long:
+            score, size = model.windows(texts[i], limit)
+            if len(size):
+                letters[i] = np.bincount(model.path(score, np.zeros(len(size), np.int64)), size, k)
+        words = Words.of([None if i in long else t for i, t in enumerate(texts)] if long else texts)
+        if len(words.first):
+            letters += np.bincount(words.text * k + model.label(words), words.size, n * k).reshape(n, k)
+    total = letters.sum(1)
     winner, share = np.full(n, k), np.zeros(n)
-    words = Words.of(texts)
-    if k and len(words.first):
-        letters = np.bincount(words.text * k + model.label(words), words.size, n * k).reshape(n, k)
-        total = letters.sum(1)
+    if k:
         ranked = letters + np.exp(model.prior) * 1e-6
         winner = np.where(total > 0, ranked.argmax(1), k)
         share = np.where(total > 0, letters.max(1) / np.maximum(total, 1), 0.0)
@@ -213,9 +242,9 @@ def spans(docs: DataFrame, model: Model) -> DataFrame:
             cut = np.flatnonzero(np.append(True, (np.diff(label) != 0) | (np.diff(words.text) != 0)))
             last = np.append(cut[1:], len(label)) - 1
             ids = part.column("doc_id").take(pa.array(words.text[cut]))
-            yield pa.record_batch(
-                [ids, pa.array(words.begin[cut]), pa.array(words.begin[last] + words.size[last]), pa.array([model.languages[i] for i in label[cut]])], names=["doc_id", "start", "end", "lang"]
-            )
+            end, lang = words.begin[last] + words.size[last], [model.languages[i] for i in label[cut]]
+            columns = [ids, pa.array(words.begin[cut]), pa.array(end), pa.array(lang)]
+            yield pa.record_batch(columns, names=["doc_id", "start", "end", "lang"])
 
     return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, start long, end long, lang string")
 
@@ -228,7 +257,12 @@ def identify(docs: DataFrame, *, train_rows: int = TRAIN_ROWS) -> DataFrame:
 
 
 def keep_known(docs: DataFrame, least_share: float, *, train_rows: int = TRAIN_ROWS) -> DataFrame:
-    """The rows whose text has letters, at least ``least_share`` of them in one language; that language becomes ``lang``, other columns stay."""
+    """The rows whose text has letters, at least ``least_share`` of them in one language; other columns stay as they are.
+
+    That language becomes ``lang`` (a string column; without one, or without any text of a known language, there is
+    nothing to learn from and no row is known). Null and empty texts go; repeated rows are judged alike."""
+    if "lang" not in docs.columns:
+        return docs.filter("false")
     model = train(docs, train_rows)
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
