@@ -7,8 +7,10 @@ its q-grams with it, all on neighbouring diagonals (place in the text less place
 shared q-grams are counted in overlapping bands of diagonals, bands that reach the bound are
 aligned within the band, and those within the budget are kept. Nothing that meets the budget is lost.
 
-The benchmark goes to the executors in blocks of ``BLOCK_CHARS`` folded characters, each block one pass
-over the documents; documents are never shuffled.
+The benchmark goes to the executors in blocks of ``BLOCK_CHARS`` characters. If there are several, one pass over the
+documents first looks for places dense in q-grams of any block, by a bit map of all of them (``GATE_BITS`` at most, put
+together by the executors): only documents with such a place are searched for the blocks. Documents are never shuffled.
+An excerpt of an item is found wherever it lies if it has at least one and a half segments' characters.
 
 Defined cases: null and empty texts match nothing; items of fewer than ``LEAST`` folded characters never
 match; equal items each match; rows with one doc_id are merged to one row per (doc_id, item_id); extra
@@ -17,6 +19,7 @@ columns are ignored, and in ``clean`` kept, where each row is judged by itself.
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Iterable, Iterator
 from functools import cache
 
@@ -24,14 +27,17 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from spanweave.llm.batches import codepoints, slices
+from spanweave.session import stored
 
 Q = 10
 SEGMENT = 80
 EDIT_SHARE = 0.075
 LEAST = 24
 BLOCK_CHARS = 1_000_000
+GATE_BITS = 1 << 28
 _SPACE = 32
 _BITS = 23
 
@@ -89,6 +95,66 @@ def budget(m: int, share: float = EDIT_SHARE, q: int = Q) -> int:
     return e
 
 
+def dense(hit: np.ndarray, reach: int, need: int) -> np.ndarray:
+    """The hits that lie with ``need`` of them within ``reach`` places."""
+    total = np.concatenate([[0], np.cumsum(hit)])
+    at = np.flatnonzero(hit)
+    ends = np.minimum(at + reach, len(hit))
+    enough = np.zeros(len(hit) + 1, np.int64)
+    good = at[total[ends] - total[at] >= need]
+    np.add.at(enough, good, 1)
+    np.add.at(enough, np.minimum(good + reach, len(hit)), -1)
+    return at[np.cumsum(enough)[at] > 0]
+
+
+def laid_out(texts: list[str | None]) -> tuple[np.ndarray, np.ndarray, list[np.ndarray]]:
+    """Folded texts end to end (0 parts them, so no q-gram across them is in an index), their beginnings, their places."""
+    folded = [fold(codepoints(t or "")) for t in texts]
+    ends = np.cumsum([0] + [len(f) + 1 for f, _ in folded])
+    low = np.zeros(ends[-1], np.uint32)
+    for (f, _), at in zip(folded, ends):
+        low[at : at + len(f)] = f
+    return low, ends, [at for _, at in folded]
+
+
+class Gate:
+    """Whether a text has a place dense in q-grams of the whole benchmark, by a bit map of them."""
+
+    def __init__(self, words: np.ndarray, segment: int = SEGMENT, share: float = EDIT_SHARE, q: int = Q):
+        self.words, self.q = words, q
+        self.reach = segment + 2 * max(1, int(share * segment))
+        sizes = range(max(LEAST, q), segment + 1)
+        self.need = min(max(1, m + 1 - q * (budget(m, share, q) + 1)) for m in sizes)
+
+    @classmethod
+    def of(cls, benchmark: DataFrame, most_bits: int = GATE_BITS) -> Gate:
+        chars = benchmark.agg(F.sum(F.length("text")).alias("n")).first()["n"] or 0
+        bits = min(most_bits, 1 << max(16, int(16 * chars).bit_length()))
+
+        def mark(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for part in slices(batches, limit=2_000_000):
+                at = np.unique(grams(laid_out(part.column("text").to_pylist())[0]) % np.uint64(bits))
+                word, where = np.unique(at >> np.uint64(6), return_inverse=True)
+                value = np.zeros(len(word), np.uint64)
+                np.bitwise_or.at(value, where, np.uint64(1) << (at & np.uint64(63)))
+                yield pa.record_batch([pa.array(word.view(np.int64)), pa.array(value.view(np.int64))], names=["word", "value"])
+
+        rows = benchmark.select("text").mapInArrow(mark, "word long, value long").groupBy("word").agg(F.bit_or("value").alias("value"))
+        rows = rows.toArrow()  # bits / 64 rows at most
+        table = np.zeros(bits // 64, np.uint64)
+        table[rows.column("word").to_numpy()] = rows.column("value").to_numpy().view(np.uint64)
+        return cls(table)
+
+    def open(self, texts: list[str | None]) -> np.ndarray:
+        """Which texts may hold a segment."""
+        low, ends, _ = laid_out(texts)
+        at = grams(low, self.q) % np.uint64(64 * len(self.words))
+        hit = (self.words[(at >> np.uint64(6)).astype(np.int64)] >> (at & np.uint64(63))) & np.uint64(1) > 0
+        out = np.zeros(len(texts), bool)
+        out[np.searchsorted(ends, dense(hit, self.reach, self.need), side="right") - 1] = True
+        return out
+
+
 class Index:
     """Segments of some benchmark items and the places of their q-grams."""
 
@@ -130,16 +196,7 @@ class Index:
         if not len(key) or not len(self.keys):
             return none, none
         hit = self.maybe[(key >> np.uint64(64 - _BITS)).astype(np.int64)]
-        # a place needs that many hits within a segment's reach
-        reach, need = self.text.shape[1] + 2 * self.half, int(self.least.min())
-        total = np.concatenate([[0], np.cumsum(hit)])
-        at = np.flatnonzero(hit)
-        ends = np.minimum(at + reach, len(key))
-        enough = np.zeros(len(key) + 1, np.int64)
-        good = at[total[ends] - total[at] >= need]
-        np.add.at(enough, good, 1)
-        np.add.at(enough, np.minimum(good + reach, len(key)), -1)
-        at = at[np.cumsum(enough)[at] > 0]
+        at = dense(hit, self.text.shape[1] + 2 * self.half, int(self.least.min()))
         where = np.searchsorted(self.keys, key[at])
         where[where == len(self.keys)] = 0
         same = self.keys[where] == key[at]
@@ -186,12 +243,7 @@ class Index:
 
     def search(self, texts: list[str | None]) -> dict[str, np.ndarray]:
         """Rows (text index, item, start, end, edits) of the aligned segments in texts; places are codepoints of the text."""
-        points = [codepoints(t or "") for t in texts]
-        folded = [fold(p) for p in points]
-        ends = np.cumsum([0] + [len(f) + 1 for f, _ in folded])
-        low = np.zeros(ends[-1], np.uint32)  # 0 parts texts, so no q-gram across them is in the index
-        for (f, _), at in zip(folded, ends):
-            low[at : at + len(f)] = f
+        low, ends, places = laid_out(texts)
         segment, diagonal = self.candidates(low)
         parts = []
         for k in range(0, len(segment), 4096):
@@ -204,7 +256,7 @@ class Index:
         text, item, start, end, edits = np.unique(np.concatenate([np.stack(p) for p in parts], 1), axis=1) if parts else np.zeros((5, 0), np.int64)
         start, end = np.maximum(start - ends[text], 0), np.minimum(end - ends[text], ends[text + 1] - 1 - ends[text])
         for i, t in enumerate(text):
-            at = folded[t][1]
+            at = places[t]
             start[i], end[i] = at[min(start[i], len(at) - 1)], at[max(0, end[i] - 1)] + 1
         return {"text": text, "item_id": item, "start": start, "end": end, "edits": edits}
 
@@ -221,9 +273,22 @@ def blocks(benchmark: DataFrame, chars: int = BLOCK_CHARS) -> Iterator[Index]:
     yield Index(items)
 
 
+def _several(benchmark: DataFrame, chars: int) -> bool:
+    return (benchmark.agg(F.sum(F.length("text")).alias("n")).first()["n"] or 0) > chars
+
+
 def regions(docs: DataFrame, benchmark: DataFrame, *, chars: int = BLOCK_CHARS) -> DataFrame:
     """doc_id, item_id, start, end, edits of every aligned segment."""
     spark, out = docs.sparkSession, None
+    docs = docs.select("doc_id", "text")
+    if _several(benchmark, chars):
+        gate = spark.sparkContext.broadcast(Gate.of(benchmark))
+
+        def possible(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for part in slices(batches, limit=2_000_000):
+                yield part.filter(pa.array(gate.value.open(part.column("text").to_pylist())))
+
+        docs = stored(docs.mapInArrow(possible, docs.schema), "possible")
     for index in blocks(benchmark, chars):
         shared = spark.sparkContext.broadcast(index)
 
@@ -231,9 +296,10 @@ def regions(docs: DataFrame, benchmark: DataFrame, *, chars: int = BLOCK_CHARS)
             for part in slices(batches, limit=2_000_000):
                 got = shared.value.search(part.column("text").to_pylist())
                 ids = part.column("doc_id").take(pa.array(got["text"]))
-                yield pa.record_batch([ids, *(pa.array(got[n].astype(np.int64)) for n in ("item_id", "start", "end", "edits"))], names=["doc_id", "item_id", "start", "end", "edits"])
+                numbers = ("item_id", "start", "end", "edits")
+                yield pa.record_batch([ids, *(pa.array(got[n].astype(np.int64)) for n in numbers)], names=["doc_id", *numbers])
 
-        found = docs.select("doc_id", "text").mapInArrow(run, "doc_id long, item_id long, start long, end long, edits long")
+        found = docs.mapInArrow(run, "doc_id long, item_id long, start long, end long, edits long")
         out = found if out is None else out.unionByName(found)
     return out
 
@@ -246,15 +312,29 @@ def matches(docs: DataFrame, benchmark: DataFrame, **options) -> DataFrame:
 
 
 def clean(docs: DataFrame, benchmark: DataFrame, *, chars: int = BLOCK_CHARS) -> DataFrame:
-    """The rows in which no item is found, with all their columns; each block of the benchmark filters what the one before kept."""
+    """The rows in which no item is found, with all their columns; each row is judged by itself.
+
+    All blocks follow in one pass; with several of them the gate marks the rows that they look at."""
+    spark, names, several = docs.sparkSession, docs.columns, _several(benchmark, chars)
+    mark = f"_open_{uuid.uuid4().hex}"
+    if several:
+        gate = spark.sparkContext.broadcast(Gate.of(benchmark))
+
+        def look(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for part in slices(batches, limit=2_000_000):
+                yield part.append_column(mark, pa.array(gate.value.open(part.column("text").to_pylist())))
+
+        docs = docs.mapInArrow(look, T.StructType([*docs.schema.fields, T.StructField(mark, T.BooleanType())]))
     for index in blocks(benchmark, chars):
-        shared = docs.sparkSession.sparkContext.broadcast(index)
+        shared = spark.sparkContext.broadcast(index)
 
         def run(batches: Iterable[pa.RecordBatch], shared=shared) -> Iterator[pa.RecordBatch]:
             for part in slices(batches, limit=2_000_000):
+                at = np.flatnonzero(part.column(mark).to_numpy(zero_copy_only=False)) if several else np.arange(part.num_rows)
                 keep = np.ones(part.num_rows, bool)
-                keep[shared.value.search(part.column("text").to_pylist())["text"]] = False
+                if len(at):
+                    keep[at[shared.value.search(part.column("text").take(pa.array(at)).to_pylist())["text"]]] = False
                 yield part.filter(pa.array(keep))
 
         docs = docs.mapInArrow(run, docs.schema)
-    return docs
+    return docs.select(*names)

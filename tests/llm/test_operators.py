@@ -92,7 +92,10 @@ def test_benchmark_passages_are_found_and_clean_texts_left(spark, rng):
     got = {(r["doc_id"], r["item_id"]) for r in decontamination.matches(docs, bench).collect()}
     assert got == {(1, 0), (2, 2), (3, 15), (4, 1)}
     assert {r["doc_id"] for r in decontamination.clean(docs, bench).collect()} == set(range(len(texts))) - {1, 2, 3, 4}
+    # several blocks: a gate first, the same rows
     assert {(r["doc_id"], r["item_id"]) for r in decontamination.matches(docs, bench, chars=200).collect()} == got
+    kept = decontamination.clean(docs, bench, chars=200)
+    assert kept.columns == docs.columns and {r["doc_id"] for r in kept.collect()} == set(range(len(texts))) - {1, 2, 3, 4}
     assert decontamination.matches(docs.limit(0), bench).count() == decontamination.matches(docs, bench.limit(0)).count() == 0
 
 
@@ -297,6 +300,17 @@ def test_viterbi_equals_brute_force(rng):
         assert value(path[at]) == pytest.approx(max(value(p) for p in product((0, 1), repeat=len(at))), abs=1e-3)
 
 
+def test_long_texts_by_windows_and_many_languages(rng):
+    """A text read in windows has the labels that it has whole; more languages than a byte holds."""
+    one, two = words(rng, 40), words(rng, 40).upper().replace("A", "ö")
+    model = language_id.Model.fit([(one, "a"), (two, "b")])
+    texts = [f"{one} {two} 12 {one}", None, "", "x" * 300, "12 " * 200]
+    whole, parts = (language_id.classify(model, texts, limit) for limit in (10**6, 25))
+    assert whole[0] == parts[0] and np.allclose(whole[1], parts[1])
+    many = language_id.Model.fit([(chr(0x4E00 + 40 * i) * 3 + " " + chr(0x4E01 + 40 * i) * 4, f"l{i:03}") for i in range(200)])
+    assert language_id.classify(many, [chr(0x4E00 + 40 * 180) * 3 + " " + chr(0x4E01 + 40 * 180) * 4])[0] == ["l180"]
+
+
 # 8
 def brute_near(texts):
     import re
