@@ -111,6 +111,35 @@ def test_every_segment_within_its_budget_is_kept(rng):
         assert 1 in got["item_id"]
 
 
+def test_search_equals_brute_force(rng):
+    """Every segment against every place by a plain edit-distance table: the same items per text."""
+
+    def least(segment, text):
+        row = [0] * (len(text) + 1)
+        for i, a in enumerate(segment, 1):
+            new = [i]
+            for j, b in enumerate(text, 1):
+                new.append(min(row[j - 1] + (a != b), row[j] + 1, new[j - 1] + 1))
+            row = new
+        return min(row)
+
+    flat = lambda t: "".join(map(chr, decontamination.fold(decontamination.codepoints(t))[0])).strip()
+    items = [words(rng, rng.randint(6, 25)) for _ in range(5)]
+    index = decontamination.Index(list(enumerate(items)))
+    texts = []
+    for _ in range(24):
+        piece = list(flat(rng.choice(items)))
+        for _ in range(rng.randint(0, 9)):
+            piece[rng.randrange(len(piece))] = rng.choice("xyz")
+        texts.append(f"{words(rng, 4)} {''.join(piece[: rng.randint(30, len(piece))])} {words(rng, 4)}")
+    got = index.search(texts)
+    found = {(int(t), int(i)) for t, i in zip(got["text"], got["item_id"])}
+    segments = [("".join(map(chr, index.text[k, : index.size[k]])), int(index.item[k]), int(index.edits[k])) for k in range(len(index.size))]
+    assert found == {(t, i) for t, x in enumerate(texts) for s, i, e in segments if least(s, flat(x)) <= e}
+    gate = decontamination.Gate(np.full(4, np.uint64(2**64 - 1)))
+    assert gate.open(texts).all() and not decontamination.Gate(np.zeros(4, np.uint64)).open(texts).any()
+
+
 # 3
 VALUES = {
     "card": "4111 1111 1111 1111", "iban": "DE89 3704 0044 0532 0130 00", "phone": "+1 (017) 555-7713", "ssn": "123-45-6789", "ipv4": "97.51.17.173",
