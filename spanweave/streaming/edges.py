@@ -16,12 +16,15 @@ def transition_windows(events: DataFrame, *, width: str = "1 hour", slide: str |
     """(window start, event_type, n, least value): edges' raw material by time window; batch or stream."""
     by = F.window("ts", width, slide) if slide else F.window("ts", width)
     source = events.withWatermark("ts", late) if events.isStreaming else events
-    return source.groupBy(by.alias("win"), "event_type").agg(F.count(F.lit(1)).alias("n"), F.min("value").alias("least")).select(F.col("win.start").alias("started"), "event_type", "n", "least")
+    rows = source.groupBy(by.alias("win"), "event_type").agg(F.count(F.lit(1)).alias("n"), F.min("value").alias("least"))
+    return rows.select(F.col("win.start").alias("started"), "event_type", "n", "least")
 
 
 def session_windows(events: DataFrame, gap: str = "30 minutes", late: str = "10 minutes") -> DataFrame:
+    """(started, ended, user_id, n): sessions of a user that end after a gap; batch or stream."""
     source = events.withWatermark("ts", late) if events.isStreaming else events
-    return source.groupBy(F.session_window("ts", gap).alias("win"), "user_id").agg(F.count(F.lit(1)).alias("n")).select(F.col("win.start").alias("started"), F.col("win.end").alias("ended"), "user_id", "n")
+    rows = source.groupBy(F.session_window("ts", gap).alias("win"), "user_id").agg(F.count(F.lit(1)).alias("n"))
+    return rows.select(F.col("win.start").alias("started"), F.col("win.end").alias("ended"), "user_id", "n")
 
 
 def chain_edges(events: DataFrame, *, late: str = "10 minutes") -> DataFrame:
@@ -39,7 +42,8 @@ def chain_edges(events: DataFrame, *, late: str = "10 minutes") -> DataFrame:
         state.update((ids[-1], at[-1]))
         state.setTimeoutTimestamp(max(at[-1] * 1000 + 30 * 86_400_000, state.getCurrentWatermarkMs() + 1))
         if len(ids) > 1:
-            yield pd.DataFrame({"user_id": key[0], "src": [min(p) for p in zip(ids, ids[1:])], "dst": [max(p) for p in zip(ids, ids[1:])], "w": [max(1, b - a) for a, b in zip(at, at[1:])]})
+            ends, w = list(zip(ids, ids[1:])), [max(1, b - a) for a, b in zip(at, at[1:])]
+            yield pd.DataFrame({"user_id": key[0], "src": [min(p) for p in ends], "dst": [max(p) for p in ends], "w": w})
 
     source = events.select("user_id", "event_id", "ts").withWatermark("ts", late)
     return source.groupBy("user_id").applyInPandasWithState(follow, CHAIN_SCHEMA, "event bigint, at bigint", "append", GroupStateTimeout.EventTimeTimeout)
@@ -65,18 +69,29 @@ def proximity(a: DataFrame, b: DataFrame, seconds: int, late: str = "10 minutes"
 def keep_estimate(edges: DataFrame, estimate: Callable[[DataFrame], dict], known: dict) -> Callable[[DataFrame, int], None]:
     """A ``foreachBatch`` function that merges new edges into ``known['edges']`` and estimates anew only where the old bound may fail.
 
-    Added or lightened edges between known nodes never lengthen a distance, so the old upper bound stays valid; new nodes force a rerun."""
+    Added or lightened edges within a component never lengthen a distance there, so the old upper bound stays valid. A new
+    node, or an edge between two known components, can make the largest distance grow and forces a rerun. A batch that is
+    repeated after a failure changes nothing."""
     known.setdefault("edges", edges)
 
     def merge(batch: DataFrame, epoch: int) -> None:
+        from spanweave.operators.components import connected_components
         from spanweave.session import stored
 
-        old = known["edges"]
-        ends = batch.select(F.col("src").alias("node")).union(batch.select(F.col("dst").alias("node"))).distinct()
-        seen = old.select(F.col("src").alias("node")).union(old.select(F.col("dst").alias("node")))
-        fresh = not ends.join(seen, "node", "left_anti").isEmpty()
-        known["edges"] = stored(old.unionByName(batch.select("src", "dst", "w")).groupBy("src", "dst").agg(F.min("w").alias("w")), "known")
-        if fresh or "result" not in known:
+        new = batch.select("src", "dst", "w").filter("src <> dst")
+        if "parts" not in known:
+            known["parts"] = connected_components(known["edges"], "src", "dst")
+        at = lambda end: known["parts"].select(F.col("node").alias(f"_{end}"), F.col("component").alias(f"{end}_part"))
+        placed = new
+        for end in ("src", "dst"):
+            placed = placed.join(at(end), F.col(end) == F.col(f"_{end}"), "left")
+        apart = ~F.coalesce(F.col("src_part") == F.col("dst_part"), F.lit(False))
+        grows = not placed.filter(apart).isEmpty()
+        both = known["edges"].select("src", "dst", "w").unionByName(new)
+        known["edges"] = stored(both.groupBy("src", "dst").agg(F.min("w").alias("w")), "known")
+        if grows:
+            known["parts"] = connected_components(known["edges"], "src", "dst")
+        if grows or "result" not in known:
             known["result"] = estimate(known["edges"])
             known["runs"] = known.get("runs", 0) + 1
 

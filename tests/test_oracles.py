@@ -5,11 +5,15 @@ import pandas as pd
 import pytest
 
 import __spark_entry__ as entry
-from spanweave import catalog
+from spanweave import surroundings
 
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
-#: The slow ones run in the driver's own comparison.
-QUICK = [n for n in catalog.oracle_sql() if n.endswith(("_edges", "_counts", "_distribution", "_step", "_sort", "_sum", "_sessions", "_windows", "_draw", "_part", "_intervals", "_purchases", "_proximity", "_ways"))]
+#: One of each kind; all of them run in the driver's own comparison.
+QUICK = [
+    "mesh_edges", "road_like_edges", "order_part_edges", "page_link_edges", "light_heavy_counts", "degree_distribution", "center_draw", "grow_one_step",
+    "contract_stage", "staged_clusters", "fast_estimate", "rescaled_estimate", "hop_estimate", "work_by_phase", "component_diameters", "sssp_bucketed",
+    "farthest_sweeps_mesh", "bench_compare_mesh", "bench_method", "prefix_sum", "event_sessions", "transition_windows", *surroundings.QUERIES,
+]
 
 
 @pytest.fixture(scope="module")
