@@ -1,6 +1,6 @@
 """Licence notices and licence texts by Dice coefficient over word bigrams, in DataFrame expressions only.
 
-Units of a text are its lines, each two and three lines in a row, its paragraphs (between empty lines), and the
+Units of a text are its lines, each two lines in a row, its paragraphs (between empty lines), and the
 sentences of its paragraphs, which may run over several lines. Each is normalised (lower case, runs of other than letters
 and digits become a space); equal units of a text count once. A unit is compared with every template as sets of word
 bigrams. The licences of the best template are the unit's if it reaches the threshold; if several licences have the
@@ -128,16 +128,18 @@ def normal(c: Column) -> Column:
     return F.trim(F.regexp_replace(F.lower(c), r"[^\p{L}\p{N}]+", " "))
 
 
-def units_of(text: Column) -> Column:
-    """The distinct normalised units of a text."""
-    lines = F.split(text, "[\r\n]+")
-    several = lambda k: F.transform(
-        F.when(F.size(lines) >= k, F.sequence(F.lit(1), F.size(lines) - (k - 1))).otherwise(F.array().cast("array<int>")),
-        lambda i: F.array_join(F.slice(lines, i, k), " "),
-    )
-    blocks = F.transform(F.split(text, r"\r?\n[ \t]*\r?\n"), lambda b: F.regexp_replace(b, "[\r\n]+", " "))
-    sentences = F.flatten(F.transform(blocks, lambda b: F.split(F.regexp_replace(b, r"([.!?])[ \t]+", "$1\n"), "\n")))
-    return F.array_distinct(F.transform(F.concat(lines, several(2), several(3), blocks, sentences), normal))
+def with_units(df: DataFrame) -> DataFrame:
+    """doc_id and the distinct normalised ``units`` of each text; every line is cut out once, neighbours are zipped to it."""
+    breaks = F.split("text", r"\r?\n[ \t]*\r?\n")
+    df = df.select("doc_id", F.split("text", "[\r\n]+").alias("lines"), breaks.alias("blocks"))
+    both = lambda a, b: F.concat_ws(" ", a, b)
+    two = F.zip_with(F.slice("lines", 1, F.size("lines") - 1), F.slice("lines", 2, F.size("lines") - 1), both)
+    df = df.withColumn("two", F.when(F.size("lines") > 1, two).otherwise(F.array().cast("array<string>")))
+    df = df.withColumn("blocks", F.transform("blocks", lambda b: F.regexp_replace(b, "[\r\n]+", " ")))
+    cut = lambda b: F.split(F.regexp_replace(b, r"([.!?])[ \t]+", "$1\n"), "\n")
+    sentences = F.flatten(F.transform("blocks", cut))
+    every = F.transform(F.concat("lines", "two", "blocks", sentences), normal)
+    return df.select("doc_id", F.array_distinct(every).alias("units"))
 
 
 def _flat(templates: dict[str, list[str]] | None) -> list[tuple[str, str]]:
@@ -152,10 +154,10 @@ def scan(docs: DataFrame, templates: dict[str, list[str]] | None = None, *, thre
         return docs.select("doc_id").filter("false").selectExpr("doc_id", "'' licence", "0d dice", "'' unit")
     named = f"(?:^| ){one_of(anchors([t for _, t in flat], threshold))}(?: |$)"
     possible = docs.select("doc_id", "text").filter(normal(F.col("text")).rlike(named))
-    units = possible.select("doc_id", F.explode(units_of(F.col("text"))).alias("unit")).filter(F.col("unit").rlike(named))
-    w = F.split("unit", " ")
+    units = with_units(possible).select("doc_id", F.explode("units").alias("unit")).filter(F.col("unit").rlike(named))
+    w = F.split("unit", " ")  # two words at least, as the unit holds a bigram
     pairs = F.zip_with(F.slice(w, 1, F.size(w) - 1), F.slice(w, 2, F.size(w) - 1), lambda a, b: F.concat_ws(" ", a, b))
-    units = units.select("doc_id", "unit", F.when(F.size(w) > 1, F.array_distinct(pairs)).alias("grams")).filter("grams is not null")
+    units = units.select("doc_id", "unit", F.array_distinct(pairs).alias("grams"))
     found = []
     for name, text in flat:
         own = bigrams_of(text)
@@ -163,10 +165,12 @@ def scan(docs: DataFrame, templates: dict[str, list[str]] | None = None, *, thre
         both = F.size(F.array_intersect("grams", F.array(*[F.lit(g) for g in own])))
         dice = F.lit(2.0) * both / (F.size("grams") + F.lit(len(own)))
         found.append(F.when(F.size("grams").between(low, high), F.struct(dice.alias("dice"), F.lit(name).alias("licence"))))
-    hits = units.select("doc_id", "unit", F.array_compact(F.array(*found)).alias("f")).filter(F.size("f") > 0)
-    hits = hits.withColumn("dice", F.array_max("f.dice")).filter(F.col("dice") >= threshold)
-    names = F.array_distinct(F.transform(F.filter("f", lambda x: x["dice"] == F.col("dice")), lambda x: x["licence"]))
-    hits = hits.select("doc_id", "unit", "dice", names.alias("names"))
+    # a row per template that fits: no later filter is moved in front of what is computed here
+    hits = units.select("doc_id", "unit", F.explode(F.array(*found)).alias("f")).select("doc_id", "unit", "f.dice", "f.licence")
+    hits = hits.filter(F.col("dice") >= threshold)
+    per_unit = hits.groupBy("doc_id", "unit").agg(F.max("dice").alias("dice"), F.collect_set(F.struct("dice", "licence")).alias("f"))
+    names = F.array_sort(F.transform(F.filter("f", lambda x: x["dice"] == F.col("dice")), lambda x: x["licence"]))
+    hits = per_unit.select("doc_id", "unit", "dice", names.alias("names"))
     best = hits.groupBy("doc_id", "names").agg(F.min(F.struct((-F.col("dice")).alias("d"), "unit")).alias("x"))
     # at most one entry per set of licences and document
     per = best.groupBy("doc_id").agg(F.collect_list(F.struct("names", "x")).alias("all"))
@@ -184,8 +188,7 @@ def oracle(templates: dict[str, list[str]] | None = None, threshold: float = THR
 WITH template(licence, own) AS (VALUES {rows}),
 doc AS (SELECT doc_id, regexp_split_to_array(text, '[\r\n]+') AS lines, regexp_split_to_array(text, '\r?\n[ \t]*\r?\n') AS blocks FROM documents WHERE text IS NOT NULL),
 cut AS (SELECT doc_id, lines, list_transform(blocks, lambda b: regexp_replace(b, '[\r\n]+', ' ', 'g')) AS blocks FROM doc),
-unit AS (SELECT doc_id, unnest(lines || list_transform(range(1, len(lines)), lambda i: lines[i] || ' ' || lines[i + 1])
-  || list_transform(range(1, len(lines) - 1), lambda i: lines[i] || ' ' || lines[i + 1] || ' ' || lines[i + 2]) || blocks
+unit AS (SELECT doc_id, unnest(lines || list_transform(range(1, len(lines)), lambda i: lines[i] || ' ' || lines[i + 1]) || blocks
   || flatten(list_transform(blocks, lambda b: string_split(regexp_replace(b, '([.!?])[ \t]+', '\1' || chr(10), 'g'), chr(10))))) AS unit FROM cut),
 plain AS (SELECT DISTINCT doc_id, trim(regexp_replace(lower(unit), '[^\p{{L}}\p{{N}}]+', ' ', 'g')) AS unit FROM unit),
 word AS (SELECT *, string_split(unit, ' ') AS w FROM plain),
