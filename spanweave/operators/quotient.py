@@ -225,7 +225,7 @@ def bounded_diameter(
         # the nodes of the largest upper bounds close themselves, central ones lower those of many
         far, mid = (open_[np.lexsort((key[open_], part[open_]))] for key in (-main.high, main.low))
         ranks = _rank(part[far])  # the same for both orders: equal counts per component
-        few = min(wave, 8) if done < 4 * wave else wave
+        few = min(wave, max(8, done))  # early searches teach the most: waves grow with what is known
         sets = [order[ranks == k] for k in range(max(1, few // 2)) for order in (far, mid) if (ranks == k).any()]
 
 

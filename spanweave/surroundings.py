@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import numpy as np
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -143,8 +145,6 @@ def comparison_by_method(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def vector_distances(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Squared length of each vector by an Arrow user function and by built-in ones."""
-    import numpy as np
-    import pandas as pd
 
     @F.pandas_udf("double")
     def squared(x: pd.Series) -> pd.Series:
@@ -157,8 +157,6 @@ def vector_distances(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def cluster_profile(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Per customer chain its span in days by a grouped user function: small groups, each in one task."""
-    import pandas as pd
-
     e = fixtures.customer_chain(spark, sf_dir)
     o = read_table(spark, sf_dir, "orders").select("o_orderkey", "o_custkey")
     rows = e.join(o, F.col("src") == F.col("o_orderkey")).select("o_custkey", "w")
