@@ -59,6 +59,10 @@ def comparison_table(results: DataFrame, measure: str) -> DataFrame:
 
 
 def with_salt(df: DataFrame, hot: DataFrame, key: str, ways: int) -> DataFrame:
-    """Adds ``_salt``: spread over ``ways`` for keys listed in ``hot`` (a table of few keys), else 0; a partial result per (key, _salt) is combined by key afterwards."""
+    """Adds ``_salt``: spread over ``ways`` for keys listed in ``hot`` (a table of few keys), else 0.
+
+    A partial result per (key, _salt) is combined by key afterwards."""
     few = F.broadcast(hot.select(F.col(key).alias("_hot")))
-    return df.join(few, F.col(key) == F.col("_hot"), "left").withColumn("_salt", F.when(F.col("_hot").isNull(), F.lit(0)).otherwise(F.pmod(F.xxhash64(*[c for c in df.columns if c != key]), F.lit(ways)))).drop("_hot")
+    spread = F.pmod(F.xxhash64(*[c for c in df.columns if c != key]), F.lit(ways))
+    salted = df.join(few, F.col(key) == F.col("_hot"), "left")
+    return salted.withColumn("_salt", F.when(F.col("_hot").isNull(), F.lit(0)).otherwise(spread)).drop("_hot")

@@ -71,3 +71,35 @@ def staged(edges, tau, seed, delta, gamma=4 * math.log(2)):
         center.setdefault(v, v)
         path.setdefault(v, 0)
     return center, path
+
+
+def rescaled(edges, radius, seed):
+    """Center, path weight and iteration of every node: all clusters grow by twice the radius until nothing changes."""
+    adj = neighbours(edges)
+    n, reach = len(adj), 2 * radius
+    last = max(1, math.ceil(math.log2(n)))
+    center, dist, path, when, start = {}, {}, {}, {}, {}
+    for i in range(1, last + 1):
+        for v in adj:
+            if v not in center and (i == last or h32(f"{seed + 1}:{i}:{v}") < min(1, 2**i / n) * 2**32):
+                center[v], dist[v], path[v] = v, 0, 0
+        changed = True
+        while changed:
+            changed, offers = False, {}
+            for u in center:
+                # a settled node speaks for its cluster's center along an edge of weight d + w - reach, for one iteration
+                base = start.get(u) if u in when else dist[u]
+                if base is not None and base < reach:
+                    for v, w in adj[u].items():
+                        if w <= reach and base + w <= reach and v not in when:
+                            offers.setdefault(v, []).append((max(0, base + w), center[u], path[u] + w))
+            for v, got in offers.items():
+                best = min(got)
+                if v not in dist or best[0] < dist[v]:
+                    dist[v], center[v], path[v] = best
+                    changed = True
+        start = {v: dist[v] - reach for v in center if v not in when}
+        when |= {v: i for v in center if v not in when}
+        if len(when) == n:
+            break
+    return center, path, when

@@ -97,17 +97,30 @@ def test_explicit_contraction(spark, edges):
     assert sorted(map(tuple, growth.contract_rescaled(state, g, 4).collect())) == [(0, 2, 2), (2, 0, 2), (2, 3, 3), (3, 2, 3)]
 
 
-@pytest.mark.parametrize("seed", [7, 8])
-def test_staged_decomposition_matches_sequential(spark, seed):
-    edges = generators.mesh(spark, 14)
+@pytest.mark.parametrize(("seed", "tau", "side"), [(7, 1, 14), (8, 2, 15)])
+def test_staged_decomposition_matches_sequential(spark, seed, tau, side):
+    """Two seeds, two tau, an even and an odd number of nodes."""
+    edges = generators.mesh(spark, side)
     rows = [tuple(r) for r in edges.collect()]
     g = graph.build(edges)
     mean = math.ceil(sum(w for _, _, w in rows) / len(rows))
-    center, path = reference.staged(rows, 1, seed, mean)
-    d = decompose.staged_decompose(g, 1, seed=seed)
+    center, path = reference.staged(rows, tau, seed, mean)
+    d = decompose.staged_decompose(g, tau, seed=seed)
     assert {r["node"]: (r["center"], r["path_weight"]) for r in d.clusters.collect()} == {v: (center[v], path[v]) for v in center}
 
 
+@pytest.mark.parametrize("seed", [7, 9])
+def test_rescaled_decomposition_matches_sequential(spark, seed):
+    edges = generators.mesh(spark, 13)
+    g = graph.build(edges)
+    radius = decompose.staged_decompose(g, 1, seed=seed).radius
+    center, path, when = reference.rescaled([tuple(r) for r in edges.collect()], radius, seed)
+    d = decompose.rescaled_decompose(g, 1, seed=seed, radius=radius)
+    assert {r["node"]: (r["center"], r["path_weight"], r["stage"]) for r in d.clusters.collect()} == {v: (center[v], path[v], when[v]) for v in center}
+    log_n = decompose.logarithm(g.n)
+    assert d.count <= 8 * log_n**4 and d.radius <= 2 * radius * math.ceil(log_n)
+
+
 def plan_text(df):
     return df._jdf.queryExecution().executedPlan().toString()
 
