@@ -40,3 +40,10 @@ def test_query_equals_sql(spark, data, duck, name):
 
 def test_entry(spark):
     assert entry.entry(spark).count() == 1
+
+
+def test_intervals_meet_days_not_orders(spark, data):
+    """The join of intervals has as many rows as days in them: it was a row for every order within."""
+    got = entry.queries()["orders_in_intervals"](spark, data)
+    plan = got._jdf.queryExecution().optimizedPlan().toString()
+    assert "sum(n#" in plan
