@@ -183,3 +183,11 @@ def test_old_checkpoints_are_dropped(spark):
     loop.release()
     decompose.staged_decompose(g, 1)
     assert count() == before + 1
+
+
+def test_shortcuts_without_a_bound(spark, edges):
+    """Without a bound every pair within the distance gets its edge; a bound of two-edge ways was demanded before."""
+    both = graph.symmetrize(edges([(0, i, 1) for i in range(1, 6)]))
+    assert graph.add_shortcuts(both, 2, max_rows=None).count() == 30
+    with pytest.raises(ValueError):
+        graph.add_shortcuts(both, 2, max_rows=10)
