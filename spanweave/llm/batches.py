@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import ctypes
 from collections.abc import Iterable, Iterator
 
 import numpy as np
@@ -9,6 +10,14 @@ import pyarrow as pa
 import pyarrow.compute as pc
 
 
+def give_back() -> None:
+    """Freed memory goes back to the system: a worker lives on after its task and would keep it."""
+    pa.default_memory_pool().release_unused()
+    trim = getattr(ctypes.CDLL(None), "malloc_trim", None)
+    if trim is not None:
+        trim(0)
+
+
 def slices(batches: Iterable[pa.RecordBatch], column: str = "text", limit: int = 4_000_000) -> Iterator[pa.RecordBatch]:
     """Slices whose texts hold at most ``limit`` bytes together; a longer text stands alone."""
     for batch in batches:
@@ -21,6 +30,7 @@ def slices(batches: Iterable[pa.RecordBatch], column: str = "text", limit: int =
             stop = max(start + 1, int(np.searchsorted(ends, before + limit, side="right")))
             yield batch.slice(start, stop - start)
             start = stop
+        give_back()
 
 
 def codepoints(text: str) -> np.ndarray:

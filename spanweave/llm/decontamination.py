@@ -38,6 +38,8 @@ EDIT_SHARE = 0.075
 LEAST = 24
 BLOCK_CHARS = 1_000_000
 GATE_BITS = 1 << 28
+#: Bytes of text searched at once where texts are passed on.
+PASSED = 500_000
 _SPACE = 32
 _BITS = 23
 
@@ -321,7 +323,7 @@ def clean(docs: DataFrame, benchmark: DataFrame, *, chars: int = BLOCK_CHARS) ->
         gate = spark.sparkContext.broadcast(Gate.of(benchmark))
 
         def look(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            for part in slices(batches, limit=2_000_000):
+            for part in slices(batches, limit=PASSED):
                 yield part.append_column(mark, pa.array(gate.value.open(part.column("text").to_pylist())))
 
         docs = docs.mapInArrow(look, T.StructType([*docs.schema.fields, T.StructField(mark, T.BooleanType())]))
@@ -329,7 +331,7 @@ def clean(docs: DataFrame, benchmark: DataFrame, *, chars: int = BLOCK_CHARS) ->
         shared = spark.sparkContext.broadcast(index)
 
         def run(batches: Iterable[pa.RecordBatch], shared=shared) -> Iterator[pa.RecordBatch]:
-            for part in slices(batches, limit=2_000_000):
+            for part in slices(batches, limit=PASSED):
                 at = np.flatnonzero(part.column(mark).to_numpy(zero_copy_only=False)) if several else np.arange(part.num_rows)
                 keep = np.ones(part.num_rows, bool)
                 if len(at):

@@ -32,8 +32,8 @@ TRAIN_ROWS = 4_000
 BUCKETS = 1 << 17
 SWITCH = 12.0
 SMOOTHING = 0.2
-#: Bytes of text labelled at once; a longer text is read in windows of so many characters.
-SLICE = 1_000_000
+#: A text of more characters is read in windows of so many; bytes of text labelled at once where texts are passed on.
+SLICE, PASSED = 1_000_000, 500_000
 #: A language is a candidate for a script that holds this share of its words.
 SCRIPT_SHARE = 0.02
 
@@ -266,7 +266,7 @@ def keep_known(docs: DataFrame, least_share: float, *, train_rows: int = TRAIN_R
     model = train(docs, train_rows)
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for part in slices(batches, limit=SLICE):
+        for part in slices(batches, limit=PASSED):
             names, share = classify(model, part.column("text").to_pylist())
             at = part.schema.get_field_index("lang")
             part = part.set_column(at, part.schema.field(at), pa.array(names, part.schema.field(at).type))

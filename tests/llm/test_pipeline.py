@@ -3,10 +3,11 @@
 import random
 
 import numpy as np
+import pyarrow as pa
 import pytest
 
 import corpus_pipeline
-from spanweave.llm import language_id, near_duplicates, pii, tokens
+from spanweave.llm import batches, language_id, near_duplicates, pii, tokens
 from tests.llm.test_operators import ODD, brute_near, words
 
 SCHEMA = "doc_id long, text string, lang string, source string, n_chars long"
@@ -91,3 +92,10 @@ def test_the_whole_pipeline(spark, rows, bench):
     got = {r["doc_id"]: r["doc_tokens"] for r in corpus_pipeline.run(spark, bench).collect()}
     assert got == {i: len(tokens.encode(t, tokens.default_path())) + 1 for i, t in hidden.items()}
     assert near_duplicates.WORDS == 5 and near_duplicates.PERCENT == 75
+
+
+def test_slices_give_memory_back_after_each_batch(monkeypatch):
+    calls = []
+    monkeypatch.setattr(batches, "give_back", lambda: calls.append(1))
+    one = pa.record_batch([pa.array(["ab", None, "cde", "f"])], names=["text"])
+    assert [p.num_rows for p in batches.slices([one, one], limit=3)] == [2, 1, 1] * 2 and len(calls) == 2
