@@ -24,3 +24,14 @@ def test_rows_come_from_a_given_table(spark, data, name):
     want = con.execute(catalog.oracle_sql()[name])
     names = [c[0] for c in want.description]
     assert got.columns == names and sorted(map(tuple, got.collect())) == sorted(want.fetchall())
+
+
+@pytest.mark.parametrize("block", [64, 8192])
+def test_nearest_vectors_are_compared_by_products(spark, data, tmp_path, block):
+    con = duckdb.connect()
+    # copies and ties, too
+    con.execute(f"COPY (SELECT * FROM '{data}/embeddings.parquet' UNION ALL SELECT * REPLACE (vec_id + 100000 AS vec_id) FROM '{data}/embeddings.parquet' WHERE vec_id % 7 = 0) TO '{tmp_path}/embeddings.parquet'")
+    con.execute(f"CREATE VIEW embeddings AS SELECT * FROM '{tmp_path}/embeddings.parquet'")
+    got = fixtures.embedding_knn(spark, str(tmp_path), block=block)
+    assert "FlatMapGroupsInArrow" in got._jdf.queryExecution().toString()
+    assert sorted(map(tuple, got.collect())) == sorted(con.execute(fixtures.SQL["embedding_knn"]).fetchall())
